@@ -6,8 +6,9 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from pagecast.llm import bpe, quality_rules, url_filters
+from pagecast.llm import bpe, html_extract, near_dedup, quality_rules, url_filters, vector_search
 
 BYTE_VOCABULARY = public_tokenizers.path("byte_bpe_50k.json")
 WORD_VOCABULARY = public_tokenizers.path("word_bpe_49k.json")
@@ -17,6 +18,19 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_duplicates(_table(spark, sf_dir, "documents"), near_dedup.DedupPlan(shingle_words=4))
+
+
+def op2_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(_table(spark, sf_dir, "pages"))
+
+
+def op3_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = _table(spark, sf_dir, "embeddings")
+    return vector_search.search(vectors, F.col("vec_id") % 100 == 0)
+
+
 def op5_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.judge(_table(spark, sf_dir, "pages"), url_filters.QUERY_RULES)
 
@@ -32,8 +46,11 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_near_dedup": op1_near_dedup,
+    "op2_html_extraction": op2_html_extraction,
+    "op3_vector_search": op3_vector_search,
     "op5_url_filters": op5_url_filters,
     "op6_bpe_round_trip": op6_bpe_round_trip,
     "op10_quality_rules": op10_quality_rules,
 }
-ORACLES: dict[str, str] = {"op5_url_filters": url_filters.ORACLE}
+ORACLES: dict[str, str] = {"op1_near_dedup": near_dedup.ORACLE, "op5_url_filters": url_filters.ORACLE}
