@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagecast.llm import bpe, html_extract, near_dedup, quality_rules, url_filters, vector_search
+from pagecast.llm import bpe, html_extract, near_dedup, packing, quality_rules, token_files, url_filters, vector_search
 
 BYTE_VOCABULARY = public_tokenizers.path("byte_bpe_50k.json")
 WORD_VOCABULARY = public_tokenizers.path("word_bpe_49k.json")
@@ -39,6 +39,14 @@ def op6_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip_digests(_table(spark, sf_dir, "documents"), BYTE_VOCABULARY)
 
 
+def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(_table(spark, sf_dir, "documents"), WORD_VOCABULARY)
+
+
+def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_files.round_trip(_table(spark, sf_dir, "documents"), BYTE_VOCABULARY)
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
     judged = quality_rules.judged(docs, prefix="")
@@ -51,6 +59,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_vector_search": op3_vector_search,
     "op5_url_filters": op5_url_filters,
     "op6_bpe_round_trip": op6_bpe_round_trip,
+    "op8_packing": op8_packing,
+    "op9_token_files": op9_token_files,
     "op10_quality_rules": op10_quality_rules,
 }
 ORACLES: dict[str, str] = {"op1_near_dedup": near_dedup.ORACLE, "op5_url_filters": url_filters.ORACLE}
