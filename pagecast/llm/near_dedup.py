@@ -221,6 +221,23 @@ def near_duplicates(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str =
     return out.select(F.col("doc_id").alias(id_col), "n_shingles", F.col("component").alias("component_id"), F.coalesce(F.col("doc_id") == F.col("component"), F.lit(True)).alias("kept"))
 
 
+
+def keep_one(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``df`` with one document of each group of near-duplicates, the one with
+    the smallest id; of rows that repeat its id, one. Rows with a null id, and
+    texts without words, stay. Columns are those of ``df``."""
+    found = Written(near_duplicates(df, plan, id_col, text_col).select(F.col(id_col).alias("_dup_id"), "kept"), "dedup-verdicts")
+    gone = found.df.where("not kept").select("_dup_id").distinct()
+    if gone.count() <= BROADCAST_IDS:
+        gone = F.broadcast(gone)
+    out = df.join(gone, df[id_col] == F.col("_dup_id"), "left_anti")
+    repeated = found.df.where("kept and _dup_id is not null").groupBy("_dup_id").count().where("count > 1").select("_dup_id")
+    if repeated.limit(1).count():
+        at = out[id_col] == F.col("_dup_id")
+        out = out.join(repeated, at, "left_anti").unionByName(out.join(repeated, at, "left_semi").dropDuplicates([id_col]))
+    return out
+
+
 ORACLE = r"""
 WITH RECURSIVE words AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents

@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagecast.llm import bpe, html_extract, near_dedup, packing, quality_rules, token_files, url_filters, vector_search
+from pagecast.llm import bpe, html_extract, near_dedup, packing, quality_classifier, quality_rules, substring_dedup, token_files, url_filters, vector_search
 
 BYTE_VOCABULARY = public_tokenizers.path("byte_bpe_50k.json")
 WORD_VOCABULARY = public_tokenizers.path("word_bpe_49k.json")
@@ -31,6 +31,13 @@ def op3_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vector_search.search(vectors, F.col("vec_id") % 100 == 0)
 
 
+def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = quality_classifier.fit(docs, _table(spark, sf_dir, "labels"))
+    scored = quality_classifier.with_scores(docs, model)
+    return scored.select("doc_id", quality_classifier.held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
 def op5_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.judge(_table(spark, sf_dir, "pages"), url_filters.QUERY_RULES)
 
@@ -39,6 +46,11 @@ def op6_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip_digests(_table(spark, sf_dir, "documents"), BYTE_VOCABULARY)
 
 
+def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    return substring_dedup.remove_repeats(docs, counts=("n_sentences", "n_removed"))
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"), WORD_VOCABULARY)
 
@@ -57,8 +69,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_near_dedup": op1_near_dedup,
     "op2_html_extraction": op2_html_extraction,
     "op3_vector_search": op3_vector_search,
+    "op4_quality_classifier": op4_quality_classifier,
     "op5_url_filters": op5_url_filters,
     "op6_bpe_round_trip": op6_bpe_round_trip,
+    "op7_substring_dedup": op7_substring_dedup,
     "op8_packing": op8_packing,
     "op9_token_files": op9_token_files,
     "op10_quality_rules": op10_quality_rules,
