@@ -16,8 +16,8 @@ candidates.
    a member can only be linked to a member that is linked with the pivot if its
    own similarity to the pivot is high enough; those pairs are compared while
    the two lie in different components. The members not linked with the pivot
-   form a smaller bucket with a new pivot, and the rounds go on until no bucket
-   holds two components.
+   form a smaller bucket, and the rounds go on with more pivots each time until
+   no bucket holds two components.
 
 No pair between members of one component has to be looked at, so a group of
 thousands of copies costs one comparison a member, and no bucket is collected.
@@ -27,16 +27,17 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pagecast.cluster import Written, ship
 from pagecast.llm.components import connected_components
-from pagecast.llm.words import mix, shingle_set
+from pagecast.llm.words import mix, shingle_set, strings
 
 
 #: Ids of texts to compare are broadcast up to this number (16 MB); more are left to the shuffle joins.
@@ -90,7 +91,7 @@ def _summaries(docs: DataFrame, plan: DedupPlan) -> DataFrame:
         for batch in batches:
             sizes, digests, keys = [], [], []
             last: tuple[str | None, tuple] = (None, ())
-            for text in batch.column(1).to_pylist():
+            for text in strings(batch.column(1)):
                 if text is None or text != last[0]:
                     found = shingle_set(text, plan.shingle_words)
                     if len(found):
@@ -167,51 +168,56 @@ def near_duplicates(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str =
     classes = Written(some.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), "dedup-classes")
 
     banded = classes.df.select(F.col("rep").alias("id"), F.explode("bands").alias("bucket")).distinct()
-    sizes = banded.groupBy("bucket").agg(F.count("*").alias("n"), F.min("id").alias("pivot")).where("n > 1").drop("n")
-    active = Written(banded.join(sizes, "bucket").where("id <> pivot"), "dedup-buckets")
-    links: list[Written] = []
+    several = banded.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
+    active = Written(banded.join(several, "bucket"), "dedup-buckets")
+    ahead: Written | None = None  # pairs to compare besides those with pivots
     checked: list[Written] = []
     component: Written | None = None
-    ahead: DataFrame | None = None  # pairs to compare besides those with pivots
+    pivots = 1
 
     while True:
-        pairs = active.df.select(F.col("id").alias("a"), F.col("pivot").alias("b"))
+        order = Window.partitionBy("bucket").orderBy("id")
+        first = active.df.withColumn("place", F.row_number().over(order)).where(F.col("place") <= pivots).select("bucket", F.col("id").alias("pivot"))
+        met = Written(active.df.join(first, "bucket").where("id > pivot"), "dedup-met")
+        pairs = met.df.select(F.col("id").alias("a"), F.col("pivot").alias("b"))
         if ahead is not None:
-            pairs = pairs.unionByName(ahead)
+            pairs = pairs.unionByName(ahead.df)
         pairs = pairs.distinct()
         for old in checked:
             pairs = pairs.join(old.df.select("a", "b"), ["a", "b"], "left_anti")
         pairs = Written(pairs, "dedup-pairs")
-        fresh = Written(_confirmed(pairs.df, docs, plan), "dedup-checked")
+        checked.append(Written(_confirmed(pairs.df, docs, plan), "dedup-checked"))
         pairs.drop()
-        checked.append(fresh)
-        all_checked = fresh.df
-        for old in checked[:-1]:
-            all_checked = all_checked.unionByName(old.df)
+        every = reduce(DataFrame.unionByName, [c.df for c in checked])
         if component is not None:
             component.drop()
-        component = connected_components(all_checked.where("linked").select("a", "b"))
+        component = connected_components(every.where("linked").select("a", "b"))
         of = component.df
         seen = (
-            active.df.join(all_checked.select(F.col("a").alias("id"), F.col("b").alias("pivot"), "linked", "close"), ["id", "pivot"])
+            met.df.join(every.select(F.col("a").alias("id"), F.col("b").alias("pivot"), "linked", "close"), ["id", "pivot"])
             .join(of.select("id", F.col("component").alias("own")), "id", "left")
             .join(of.select(F.col("id").alias("pivot"), F.col("component").alias("theirs")), "pivot", "left")
             .select("bucket", "id", "pivot", "linked", "close", F.coalesce("own", "id").alias("own"), F.coalesce("theirs", "pivot").alias("theirs"))
         )
         seen = Written(seen, "dedup-seen")
-        # a bucket goes on without its pivot and what is linked with it, if it holds two components
-        rest = seen.df.where("not linked")
-        going = rest.groupBy("bucket").agg(F.min("id").alias("next"), F.min("own").alias("least"), F.max("own").alias("most")).where("least <> most")
-        following = Written(rest.select("bucket", "id").join(going.select("bucket", F.col("next").alias("pivot")), "bucket").where("id <> pivot"), "dedup-buckets")
-        near = seen.df.where("linked").select("bucket", F.col("id").alias("z"))
-        apart = rest.where("close and own <> theirs").select("bucket", "id")
-        cross = Written(apart.join(near, "bucket").select(F.greatest("id", "z").alias("a"), F.least("id", "z").alias("b")).distinct(), "dedup-cross")
-        seen.drop()
-        active.drop()
+        # a bucket goes on without its pivots and what is linked with one, if it holds two components
+        rest = seen.df.groupBy("bucket", "id").agg(F.max("linked").alias("linked"), F.min("own").alias("own")).where("not linked")
+        rest = rest.join(first, (rest["id"] == first["pivot"]) & (rest["bucket"] == first["bucket"]), "left_anti").select("bucket", "id", "own")
+        rest = Written(rest, "dedup-rest")
+        going = rest.df.groupBy("bucket").agg(F.min("own").alias("least"), F.max("own").alias("most")).where("least <> most").select("bucket")
+        following = Written(rest.df.join(going, "bucket").select("id", "bucket"), "dedup-buckets")
+        near = seen.df.where("linked").select("bucket", "pivot", F.col("id").alias("z"))
+        apart = seen.df.where("not linked and close and own <> theirs").select("bucket", "pivot", "id")
+        cross = apart.join(near, ["bucket", "pivot"]).where("id <> z").select(F.greatest("id", "z").alias("a"), F.least("id", "z").alias("b")).distinct()
+        if ahead is not None:
+            ahead.drop()
+        ahead = Written(cross, "dedup-cross")
+        for old in (active, met, seen, rest):
+            old.drop()
         active = following
-        ahead = cross.df
-        if not active.df.limit(1).count() and not ahead.limit(1).count():
+        if not active.df.limit(1).count() and not ahead.df.limit(1).count():
             break
+        pivots = max(16, 4 * pivots)
 
     member = some.select("digest", F.col("doc_id"), "n_shingles").join(classes.df.select("digest", "rep"), "digest")
     # ids that share a class are linked too; so are classes that share an id

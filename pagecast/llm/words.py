@@ -7,10 +7,13 @@ inside a longer character, so all work is done on bytes.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 import xxhash
 
-_CACHE_LIMIT = 300_000
+_CACHE_LIMIT = 200_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _MIX_A = np.uint64(0xBF58476D1CE4E5B9)
 _MIX_B = np.uint64(0x94D049BB133111EB)
@@ -27,6 +30,12 @@ class _HashOfWord(dict):
 _HASHES = _HashOfWord()
 
 
+def strings(column: pa.Array) -> Iterator[str | None]:
+    """The texts of a column, few at a time as Python strings."""
+    for at in range(0, len(column), 256):
+        yield from column.slice(at, 256).to_pylist()
+
+
 def utf8(text: str | None) -> bytes:
     return b"" if text is None else text.encode("utf-8", "surrogatepass")
 
