@@ -14,13 +14,15 @@ candidates.
 3. Confirmed links give components. A member that is not linked with its pivot
    may still belong with another member. Jaccard distance is a metric, so such
    a member can only be linked to a member that is linked with the pivot if its
-   own similarity to the pivot is high enough; those pairs are compared while
-   the two lie in different components. The members not linked with the pivot
-   form a smaller bucket, and the rounds go on with more pivots each time until
-   no bucket holds two components.
-
-No pair between members of one component has to be looked at, so a group of
-thousands of copies costs one comparison a member, and no bucket is collected.
+   own similarity to the pivot is high enough; it is compared with those if it
+   lies in another component than they do. The members that are not linked with
+   the pivot are compared with each other where they lie in different
+   components.
+
+A group of thousands of copies thus costs one comparison a member. Where many
+texts are close without being linked, members are compared in blocks: a task
+holds two blocks and returns only as many links as connect what is linked, so
+pairs are not rows and no bucket lies in one task.
 """
 
 from __future__ import annotations
@@ -44,6 +46,10 @@ from pagecast.llm.words import mix, shingle_set, strings
 BROADCAST_IDS = 2_000_000
 
 
+#: Members of a bucket whose sets one task holds from either side.
+BLOCK = 256
+
+
 @dataclass(frozen=True)
 class DedupPlan:
     shingle_words: int = 5
@@ -148,6 +154,126 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, plan: DedupPlan) -> DataFrame:
     return compared.groupBy("a", "b").agg(F.max("linked").alias("linked"), F.max("close").alias("close"))
 
 
+class _Links:
+    """The pairs compared so far and the components of the links among them."""
+
+    def __init__(self, docs: DataFrame, plan: DedupPlan):
+        self.docs, self.plan = docs, plan
+        self.checked: list[Written] = []
+        self.component: Written | None = None
+
+    def compare(self, pairs: DataFrame) -> None:
+        """Compare the pairs (a, b) that have not been compared yet."""
+        pairs = pairs.distinct()
+        for old in self.checked:
+            pairs = pairs.join(old.df.select("a", "b"), ["a", "b"], "left_anti")
+        new = Written(pairs, "dedup-pairs")
+        self.add(_confirmed(new.df, self.docs, self.plan))
+        new.drop()
+
+    def add(self, verdicts: DataFrame) -> None:
+        self.checked.append(Written(verdicts, "dedup-checked"))
+        if self.component is not None:
+            self.component.drop()
+        self.component = connected_components(self.verdicts().where("linked").select("a", "b"))
+
+    def verdicts(self) -> DataFrame:
+        return reduce(DataFrame.unionByName, [c.df for c in self.checked])
+
+    def placed(self, rows: DataFrame, column: str, name: str) -> DataFrame:
+        """``rows`` with the component of a column's id (the id itself without links)."""
+        of = self.component.df.select(F.col("id").alias(column), F.col("component").alias("_c"))
+        return rows.join(of, column, "left").withColumn(name, F.coalesce("_c", column)).drop("_c")
+
+    def compare_groups(self, left: DataFrame, right: DataFrame | None, keys: list[str], many: int) -> None:
+        """Compare, in each group, all left members (keys, id) with all right
+        ones, or with each other without ``right``.
+
+        Few pairs are compared one by one, each once. Many are compared in
+        blocks of members: a task gets the sets of two blocks, compares them
+        exactly and returns no more links than connect what is linked, so pairs
+        are never rows.
+        """
+        other = left if right is None else right
+        size = lambda df, name: df.groupBy(*keys).agg(F.count("*").alias(name))
+        sizes = Written(size(left, "n").join(size(other, "m"), keys), "dedup-sizes")
+        total = sizes.df.agg(F.sum(F.col("n") * F.col("m"))).first()[0] or 0
+        if not total:
+            return
+        renamed = other.select(*keys, F.col("id").alias("z"))
+        if total <= many:
+            self.compare(left.join(renamed, keys).where("id <> z").select(F.greatest("id", "z").alias("a"), F.least("id", "z").alias("b")))
+            return
+        ids = Written(left.select("id").unionByName(other.select("id")).distinct(), "dedup-ids").df
+        wanted = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+        sets = Written(_sets(self.docs.join(wanted, F.col("doc_id") == F.col("id"), "left_semi"), self.plan), "dedup-sets").df
+
+        def blocks(df: DataFrame, count: str, name: str) -> DataFrame:
+            number = F.ceil(F.col(count) / BLOCK)
+            cut = df.join(sizes.df, keys).withColumn(f"{name}_block", F.pmod(F.xxhash64("id"), number)).select(*keys, "id", f"{name}_block")
+            return cut.join(sets, "id").groupBy(*keys, f"{name}_block").agg(F.collect_list(F.struct("id", "shingles")).alias(name))
+
+        met = blocks(left, "n", "x").join(blocks(other, "m", "y"), keys)
+        if right is None:
+            met = met.where("x_block <= y_block")
+        merged, percent = right is not None, self.plan.percent
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for k in range(len(batch)):
+                    links = _forest(batch.column(0)[k].as_py(), batch.column(1)[k].as_py(), percent, merged)
+                    yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in links], pa.int64()), pa.array([p[1] for p in links], pa.int64())], ["a", "b"])
+
+        found = met.select("x", "y").repartition(max(8, 4 * self.docs.sparkSession.sparkContext.defaultParallelism)).mapInArrow(run, "a bigint, b bigint")
+        self.add(found.distinct().select("a", "b", F.lit(True).alias("linked"), F.lit(True).alias("close")))
+
+
+def _forest(xs: list[dict], ys: list[dict], percent: int, merged: bool) -> list[tuple[int, int]]:
+    """Links (larger id, smaller id) that connect the members of two blocks as
+    all links between them do. ``merged``: the second block's members lie in
+    one component already."""
+    union = np.unique(np.concatenate([np.array(m["shingles"], np.int64) for m in [*xs, *ys]]))
+
+    def bits(members: list[dict]) -> tuple[np.ndarray, np.ndarray]:
+        table = np.zeros((len(members), -(-len(union) // 64) * 8), np.uint8)
+        for row, m in zip(table, members):
+            held = np.zeros(table.shape[1] * 8, bool)
+            held[np.searchsorted(union, np.array(m["shingles"], np.int64))] = True
+            row[:] = np.packbits(held)
+        return table.view(np.uint64), np.array([len(m["shingles"]) for m in members])
+
+    (x, x_size), (y, y_size) = bits(xs), bits(ys)
+    root = {m["id"]: m["id"] for m in [*xs, *ys]}
+
+    def find(i: int) -> int:
+        while root[i] != i:
+            root[i] = root[root[i]]
+            i = root[i]
+        return i
+
+    if merged:
+        for m in ys:
+            root[find(m["id"])] = find(ys[0]["id"])
+    out = []
+    for i, m in enumerate(xs):
+        both = np.bitwise_count(x[i][None, :] & y).sum(1).astype(np.int64)
+        for j in np.flatnonzero((both > 0) & (100 * both >= percent * (x_size[i] + y_size - both))):
+            a, b = m["id"], ys[j]["id"]
+            if find(a) != find(b):
+                root[find(a)] = find(b)
+                out.append((max(a, b), min(a, b)))
+    return out
+
+
+def _sets(docs: DataFrame, plan: DedupPlan) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [shingle_set(t, plan.shingle_words).view(np.int64) for t in strings(batch.column(1))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.int64()))], ["id", "shingles"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, "id bigint, shingles array<bigint>")
+
+
 def near_duplicates(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, kept: one row per input row.
 
@@ -166,68 +292,38 @@ def near_duplicates(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str =
     some = known.df.where("digest is not null and doc_id is not null")
     # copies share their bands, so any of them will do
     classes = Written(some.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), "dedup-classes")
+    many = classes.df.count()
 
     banded = classes.df.select(F.col("rep").alias("id"), F.explode("bands").alias("bucket")).distinct()
     several = banded.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
     active = Written(banded.join(several, "bucket"), "dedup-buckets")
-    ahead: Written | None = None  # pairs to compare besides those with pivots
-    checked: list[Written] = []
-    component: Written | None = None
-    pivots = 1
-
-    while True:
-        order = Window.partitionBy("bucket").orderBy("id")
-        first = active.df.withColumn("place", F.row_number().over(order)).where(F.col("place") <= pivots).select("bucket", F.col("id").alias("pivot"))
-        met = Written(active.df.join(first, "bucket").where("id > pivot"), "dedup-met")
-        pairs = met.df.select(F.col("id").alias("a"), F.col("pivot").alias("b"))
-        if ahead is not None:
-            pairs = pairs.unionByName(ahead.df)
-        pairs = pairs.distinct()
-        for old in checked:
-            pairs = pairs.join(old.df.select("a", "b"), ["a", "b"], "left_anti")
-        pairs = Written(pairs, "dedup-pairs")
-        checked.append(Written(_confirmed(pairs.df, docs, plan), "dedup-checked"))
-        pairs.drop()
-        every = reduce(DataFrame.unionByName, [c.df for c in checked])
-        if component is not None:
-            component.drop()
-        component = connected_components(every.where("linked").select("a", "b"))
-        of = component.df
-        seen = (
-            met.df.join(every.select(F.col("a").alias("id"), F.col("b").alias("pivot"), "linked", "close"), ["id", "pivot"])
-            .join(of.select("id", F.col("component").alias("own")), "id", "left")
-            .join(of.select(F.col("id").alias("pivot"), F.col("component").alias("theirs")), "pivot", "left")
-            .select("bucket", "id", "pivot", "linked", "close", F.coalesce("own", "id").alias("own"), F.coalesce("theirs", "pivot").alias("theirs"))
-        )
-        seen = Written(seen, "dedup-seen")
-        # a bucket goes on without its pivots and what is linked with one, if it holds two components
-        rest = seen.df.groupBy("bucket", "id").agg(F.max("linked").alias("linked"), F.min("own").alias("own")).where("not linked")
-        rest = rest.join(first, (rest["id"] == first["pivot"]) & (rest["bucket"] == first["bucket"]), "left_anti").select("bucket", "id", "own")
-        rest = Written(rest, "dedup-rest")
-        going = rest.df.groupBy("bucket").agg(F.min("own").alias("least"), F.max("own").alias("most")).where("least <> most").select("bucket")
-        following = Written(rest.df.join(going, "bucket").select("id", "bucket"), "dedup-buckets")
-        near = seen.df.where("linked").select("bucket", "pivot", F.col("id").alias("z"))
-        apart = seen.df.where("not linked and close and own <> theirs").select("bucket", "pivot", "id")
-        cross = apart.join(near, ["bucket", "pivot"]).where("id <> z").select(F.greatest("id", "z").alias("a"), F.least("id", "z").alias("b")).distinct()
-        if ahead is not None:
-            ahead.drop()
-        ahead = Written(cross, "dedup-cross")
-        for old in (active, met, seen, rest):
-            old.drop()
-        active = following
-        if not active.df.limit(1).count() and not ahead.df.limit(1).count():
-            break
-        pivots = max(16, 4 * pivots)
+    links = _Links(docs, plan)
+
+    # every member with its bucket's pivot
+    first = active.df.groupBy("bucket").agg(F.min("id").alias("pivot"))
+    met = Written(active.df.join(first, "bucket").where("id > pivot"), "dedup-met")
+    links.compare(met.df.select(F.col("id").alias("a"), F.col("pivot").alias("b")))
+    seen = Written(met.df.join(links.verdicts().select(F.col("a").alias("id"), F.col("b").alias("pivot"), "linked", "close"), ["id", "pivot"]), "dedup-seen")
+    # members that are close to the pivot, with those that are linked with it
+    apart = links.placed(links.placed(seen.df.where("not linked and close"), "id", "own"), "pivot", "theirs").where("own <> theirs")
+    apart = Written(apart.select("bucket", "pivot", "id"), "dedup-apart")
+    near = seen.df.where("linked").select("bucket", "pivot", "id").join(apart.df.select("bucket").distinct(), "bucket", "left_semi")
+    links.compare_groups(apart.df, near, ["bucket", "pivot"], many)
+    # members that are not linked with the pivot, with each other, where they lie in different components
+    rest = Written(links.placed(seen.df.where("not linked").select("bucket", "id"), "id", "own"), "dedup-rest")
+    going = rest.df.groupBy("bucket").agg(F.min("own").alias("least"), F.max("own").alias("most")).where("least <> most").select("bucket")
+    links.compare_groups(Written(rest.df.join(going, "bucket").select("bucket", "id"), "dedup-going").df, None, ["bucket"], many)
+    for old in (active, met, seen, apart, rest):
+        old.drop()
 
     member = some.select("digest", F.col("doc_id"), "n_shingles").join(classes.df.select("digest", "rep"), "digest")
     # ids that share a class are linked too; so are classes that share an id
-    placed = member.join(component.df.select(F.col("id").alias("rep"), "component"), "rep", "left").select("doc_id", F.coalesce("component", "rep").alias("component"), "n_shingles")
+    placed = links.placed(member, "rep", "component").select("doc_id", "component", "n_shingles")
     rest = known.df.where("digest is null or doc_id is null").select("doc_id", F.col("doc_id").alias("component"), "n_shingles")
     out = placed.unionByName(rest)
     return out.select(F.col("doc_id").alias(id_col), "n_shingles", F.col("component").alias("component_id"), F.coalesce(F.col("doc_id") == F.col("component"), F.lit(True)).alias("kept"))
 
 
-
 def keep_one(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``df`` with one document of each group of near-duplicates, the one with
     the smallest id; of rows that repeat its id, one. Rows with a null id, and
