@@ -46,7 +46,7 @@ from pagecast.llm.words import mix, shingle_set, strings
 BROADCAST_IDS = 2_000_000
 
 
-#: Members of a bucket whose sets one task holds from either side.
+#: Members of a bucket whose texts one task holds from either side.
 BLOCK = 256
 
 
@@ -190,7 +190,7 @@ class _Links:
         ones, or with each other without ``right``.
 
         Few pairs are compared one by one, each once. Many are compared in
-        blocks of members: a task gets the sets of two blocks, compares them
+        blocks of members: a task gets the texts of two blocks, compares them
         exactly and returns no more links than connect what is linked, so pairs
         are never rows.
         """
@@ -206,41 +206,42 @@ class _Links:
             return
         ids = Written(left.select("id").unionByName(other.select("id")).distinct(), "dedup-ids").df
         wanted = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
-        sets = Written(_sets(self.docs.join(wanted, F.col("doc_id") == F.col("id"), "left_semi"), self.plan), "dedup-sets").df
+        texts = self.docs.join(wanted, F.col("doc_id") == F.col("id"), "left_semi").select(F.col("doc_id").alias("id"), "text")
 
         def blocks(df: DataFrame, count: str, name: str) -> DataFrame:
             number = F.ceil(F.col(count) / BLOCK)
             cut = df.join(sizes.df, keys).withColumn(f"{name}_block", F.pmod(F.xxhash64("id"), number)).select(*keys, "id", f"{name}_block")
-            return cut.join(sets, "id").groupBy(*keys, f"{name}_block").agg(F.collect_list(F.struct("id", "shingles")).alias(name))
+            return cut.join(texts, "id").groupBy(*keys, f"{name}_block").agg(F.collect_list(F.struct("id", "text")).alias(name))
 
         met = blocks(left, "n", "x").join(blocks(other, "m", "y"), keys)
         if right is None:
             met = met.where("x_block <= y_block")
-        merged, percent = right is not None, self.plan.percent
+        merged, plan = right is not None, self.plan
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for k in range(len(batch)):
-                    links = _forest(batch.column(0)[k].as_py(), batch.column(1)[k].as_py(), percent, merged)
+                    links = _forest(batch.column(0)[k].as_py(), batch.column(1)[k].as_py(), plan, merged)
                     yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in links], pa.int64()), pa.array([p[1] for p in links], pa.int64())], ["a", "b"])
 
-        found = met.select("x", "y").repartition(max(8, 4 * self.docs.sparkSession.sparkContext.defaultParallelism)).mapInArrow(run, "a bigint, b bigint")
+        found = met.select("x", "y").mapInArrow(run, "a bigint, b bigint")
         self.add(found.distinct().select("a", "b", F.lit(True).alias("linked"), F.lit(True).alias("close")))
 
 
-def _forest(xs: list[dict], ys: list[dict], percent: int, merged: bool) -> list[tuple[int, int]]:
+def _forest(xs: list[dict], ys: list[dict], plan: DedupPlan, merged: bool) -> list[tuple[int, int]]:
     """Links (larger id, smaller id) that connect the members of two blocks as
     all links between them do. ``merged``: the second block's members lie in
     one component already."""
-    union = np.unique(np.concatenate([np.array(m["shingles"], np.int64) for m in [*xs, *ys]]))
+    sets = {m["text"]: shingle_set(m["text"], plan.shingle_words) for m in [*xs, *ys]}
+    union, percent = np.unique(np.concatenate(list(sets.values()))), plan.percent
 
     def bits(members: list[dict]) -> tuple[np.ndarray, np.ndarray]:
         table = np.zeros((len(members), -(-len(union) // 64) * 8), np.uint8)
         for row, m in zip(table, members):
             held = np.zeros(table.shape[1] * 8, bool)
-            held[np.searchsorted(union, np.array(m["shingles"], np.int64))] = True
+            held[np.searchsorted(union, sets[m["text"]])] = True
             row[:] = np.packbits(held)
-        return table.view(np.uint64), np.array([len(m["shingles"]) for m in members])
+        return table.view(np.uint64), np.array([len(sets[m["text"]]) for m in members])
 
     (x, x_size), (y, y_size) = bits(xs), bits(ys)
     root = {m["id"]: m["id"] for m in [*xs, *ys]}
@@ -265,15 +266,6 @@ def _forest(xs: list[dict], ys: list[dict], percent: int, merged: bool) -> list[
     return out
 
 
-def _sets(docs: DataFrame, plan: DedupPlan) -> DataFrame:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = [shingle_set(t, plan.shingle_words).view(np.int64) for t in strings(batch.column(1))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.int64()))], ["id", "shingles"])
-
-    return docs.select("doc_id", "text").mapInArrow(run, "id bigint, shingles array<bigint>")
-
-
 def near_duplicates(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, kept: one row per input row.
 
