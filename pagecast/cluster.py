@@ -17,6 +17,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 _OWN_DIR: list[str] = []
 _SHIPPED: set[str] = set()
+#: Rows of a batch that a Python worker gets, at most (a setting of queries, not of the session's start).
+BATCH_ROWS = 2000
 
 
 def scratch_root(spark: SparkSession) -> str:
@@ -62,7 +64,11 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 def ship(spark: SparkSession) -> None:
     """Hand this package to the workers once per application, so that a
-    cluster without it on its path can run the vectorised stages."""
+    cluster without it on its path can run the vectorised stages. Batches to
+    the workers are kept small: whole documents are long rows, and both sides
+    of the pipe hold a batch."""
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     app = spark.sparkContext.applicationId
     if app in _SHIPPED:
         return
