@@ -13,10 +13,14 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def _laid_out(entries: Column, w: int, of) -> Column:
-    """An array of w cells from (row, value) entries, 0 where there is none."""
-    by_row = F.map_from_entries(entries)
-    return F.transform(F.sequence(F.lit(0), F.lit(w - 1)), lambda i: F.coalesce(of(F.try_element_at(by_row, i.cast("bigint"))), F.lit(0.0)))
+def _laid_out(entries: Column, w: int) -> Column:
+    """An array of w cells from (row, value) entries, 0 where there is none:
+    the missing rows are added with 0 and all are sorted, w log w steps."""
+    rows = F.transform(entries, lambda e: e["row"])
+    missing = F.array_except(F.sequence(F.lit(0).cast("bigint"), F.lit(w - 1).cast("bigint")), rows)
+    every = F.concat(entries, F.transform(missing, lambda i: F.struct(i.alias("row"), F.lit(0.0).alias("value"))))
+    cells = F.transform(F.array_sort(every), lambda e: e["value"])
+    return F.when(F.size(every) == w, cells).otherwise(F.raise_error(F.lit("two values for one step of a series")))
 
 
 def build(long: DataFrame, w: int, partial: bool = False, steps: int | None = None) -> DataFrame:
@@ -31,7 +35,8 @@ def build(long: DataFrame, w: int, partial: bool = False, steps: int | None = No
             rows = rows.join(ends, "cohort").where(F.col("step") < F.col("steps") - F.col("steps") % w).drop("steps")
     entry = F.struct((F.col("step") % w).alias("row"), F.col("value"))
     pages = rows.groupBy("cohort", "series_id", F.floor(F.col("step") / w).cast("bigint").alias("page")).agg(F.collect_list(entry).alias("e"))
-    return pages.select("cohort", "series_id", "page", _laid_out(F.col("e"), w, lambda x: x).alias("vals"), _laid_out(F.col("e"), w, lambda x: x * x).alias("sq"), F.size("e").cast("bigint").alias("seen"))
+    pages = pages.select("cohort", "series_id", "page", _laid_out(F.col("e"), w).alias("vals"), F.size("e").cast("bigint").alias("seen"))
+    return pages.select("cohort", "series_id", "page", "vals", F.transform("vals", lambda x: x * x).alias("sq"), "seen")
 
 
 def hankel(long: DataFrame, w: int) -> DataFrame:
