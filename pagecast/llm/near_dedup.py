@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 
 from pagecast.cluster import Written, ship
 from pagecast.llm.components import connected_components
-from pagecast.llm.words import mix, shingle_set, strings
+from pagecast.llm.words import mix, shingle_set, strings, worker_for
 
 
 #: Ids of texts to compare are broadcast up to this number (16 MB); more are left to the shuffle joins.
@@ -94,7 +94,7 @@ def _summaries(docs: DataFrame, plan: DedupPlan) -> DataFrame:
     """(doc_id, n_shingles, digest, bands); a text without words has no digest."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in worker_for("shingles", batches):
             sizes, digests, keys = [], [], []
             last: tuple[str | None, tuple] = (None, ())
             for text in strings(batch.column(1)):
@@ -135,7 +135,7 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, plan: DedupPlan) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: tuple[str | None, np.ndarray] = (None, np.empty(0, np.uint64))
-        for batch in batches:
+        for batch in worker_for("shingles", batches):
             linked, close = [], []
             for left, right in zip(batch.column(2), batch.column(3)):
                 left, right = left.as_py(), right.as_py()
@@ -219,7 +219,7 @@ class _Links:
         merged, plan = right is not None, self.plan
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
+            for batch in worker_for("shingles", batches):
                 for k in range(len(batch)):
                     links = _forest(batch.column(0)[k].as_py(), batch.column(1)[k].as_py(), plan, merged)
                     yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in links], pa.int64()), pa.array([p[1] for p in links], pa.int64())], ["a", "b"])

@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
 from pagecast.cluster import ship
-from pagecast.llm.words import mix, utf8
+from pagecast.llm.words import mix, utf8, worker_for
 
 PASSAGE_WORDS = 64
 BUCKETS = 48
@@ -234,7 +234,7 @@ def fit(docs: DataFrame, labels: DataFrame, plan: FitPlan = FitPlan(), id_col: s
     texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).join(F.broadcast(chosen), "doc_id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in worker_for("classifier", batches):
             features, sizes = passages(batch.column("text").to_pylist())
             out = []
             for at, n in zip(np.cumsum(sizes) - sizes, sizes):
@@ -263,9 +263,9 @@ def with_scores(df: DataFrame, model: AttentionBag | None, text_col: str = "text
     at = df.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            texts = batch.column(at).to_pylist()
-            parts = [shared.value.scores(texts[k : k + 256]) for k in range(0, len(texts), 256)] if shared.value else [np.full(len(texts), 0.5)]
+        for batch in worker_for("classifier", batches):
+            column = batch.column(at)
+            parts = [shared.value.scores(column.slice(k, 256).to_pylist()) for k in range(0, len(column), 256)] if shared.value else [np.full(len(column), 0.5)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(parts) if parts else np.empty(0), pa.float64())], [*batch.schema.names, score_col])
 
     return df.mapInArrow(run, StructType([*df.schema, StructField(score_col, DoubleType())]))

@@ -7,13 +7,16 @@ inside a longer character, so all work is done on bytes.
 
 from __future__ import annotations
 
+import ctypes
+import gc
+import sys
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
 
-_CACHE_LIMIT = 200_000
+_CACHE_LIMIT = 150_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _MIX_A = np.uint64(0xBF58476D1CE4E5B9)
 _MIX_B = np.uint64(0x94D049BB133111EB)
@@ -30,6 +33,35 @@ class _HashOfWord(dict):
 _HASHES = _HashOfWord()
 
 
+_LAST = [""]
+
+
+def worker_for(kind: str, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches of a task, with the worker's memory kept for this kind of
+    work only: workers live on from stage to stage, and what they remember of
+    another stage's words would add up."""
+    if _LAST[0] != kind:
+        _LAST[0] = kind
+        if kind in ("bpe", "library", "classifier"):
+            _HASHES.clear()
+        for name, own in (("bpe", "bpe"), ("library_tokens", "library")):
+            module = sys.modules.get(f"pagecast.llm.{name}")
+            if module is not None and kind != own:
+                module._LOADED.clear()
+        _give_back()
+    yield from batches
+    _give_back()
+
+
+def _give_back() -> None:
+    """Freed memory back to the system, as far as the allocators can."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def strings(column: pa.Array) -> Iterator[str | None]:
     """The texts of a column, few at a time as Python strings."""
     for at in range(0, len(column), 256):
