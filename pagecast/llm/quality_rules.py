@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
 from pagecast.cluster import Written, ship
-from pagecast.llm.words import utf8, window_hashes, word_hashes
+from pagecast.llm.words import strings, utf8, worker_for, window_hashes, word_hashes
 
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 _SYMBOLS = re.compile(rb"[#*$%&|<>]")
@@ -68,8 +68,8 @@ def with_counts(df: DataFrame, text_col: str = "text", prefix: str = "") -> Data
     at = df.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            values = np.array([measure(t) for t in batch.column(at).to_pylist()], np.int64).reshape(-1, len(COUNTS))
+        for batch in worker_for("rules", batches):
+            values = np.array([measure(t) for t in strings(batch.column(at))], np.int64).reshape(-1, len(COUNTS))
             yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(v) for v in values.T)], [*batch.schema.names, *names])
 
     return df.mapInArrow(run, StructType([*df.schema, *(StructField(name, LongType()) for name in names)]))
@@ -101,6 +101,8 @@ def fences(counted: DataFrame, lang_col: str, source_col: str, prefix: str, min_
     pair = shown.groupBy("_lang", "_source").agg(
         F.count("*").alias("_n"), *(F.kll_sketch_agg_double(F.coalesce(n, F.lit(0.0)), F.lit(k)).alias(n) for n in names)
     )
+    # read three times below; the texts are read for it once
+    pair = Written(pair, "quality-sketches").df
     merged = lambda keys: pair.groupBy(*keys).agg(F.sum("_n").alias("_m"), *(F.kll_merge_agg_double(n, F.lit(k)).alias(f"{n}_up") for n in names))
     language, corpus = merged(["_lang"]), merged([])
     pick = lambda up, own, n: F.when(F.col("_n") >= min_docs, F.col(own)).otherwise(F.col(up)).alias(n)
