@@ -25,11 +25,13 @@ from collections.abc import Callable, Iterator
 import ahocorasick
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql.types import ArrayType, IntegerType, StringType, StructField, StructType
 
 from pagecast.cluster import ship
+from pagecast.llm.words import worker_for
 
 _NEVER = 1 << 40
 
@@ -172,8 +174,16 @@ class ByteBpe:
         return np.frombuffer(b"".join(pieces), np.uint8), offsets
 
 
-#: White space beyond space, tab, newline and return; texts with it are encoded whole.
-_RARE_SPACE = re.compile("[\0\x0b\x0c\x1c-\x1f\x85\xa0\u1680\u180e\u2000-\u200b\u2028\u2029\u202f\u205f\u2060\u3000\ufeff]")
+#: NUL, and white space beyond space, tab, newline and return; texts with it are encoded whole.
+_RARE = [chr(c) for c in (0, 0x0B, 0x0C, 0x1C, 0x1D, 0x1E, 0x1F, 0x85, 0xA0, 0x1680, 0x180E, *range(0x2000, 0x200C), 0x2028, 0x2029, 0x202F, 0x205F, 0x2060, 0x3000, 0xFEFF)]
+
+
+def rare_space(text: str) -> bool:
+    # single-character searches scan many bytes at a time, a character class one by one
+    return any(map(text.__contains__, _RARE[:7] if text.isascii() else _RARE))
+
+
+_LETTERS_MARKS = re.compile(r"([^\W\d_]+)([^\w\s\0]+)")
 _CHUNK = re.compile(r"[ \t\n\r]*[^ \t\n\r]+|[ \t\n\r]+")
 
 
@@ -186,9 +196,10 @@ class KeptIds:
     64 characters are not kept.
     """
 
-    SHARE = 256
+    #: Bytes of text handled together: their distinct words are looked up once.
+    SHARE = 2_500_000
 
-    def __init__(self, encode: Callable[[list[str]], list[bytes]], half: int = 600_000):
+    def __init__(self, encode: Callable[[list[str]], list[bytes]], half: int = 400_000):
         self.encode, self.half = encode, half
         self.newer: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
@@ -201,24 +212,54 @@ class KeptIds:
     def piece(self, key: str) -> str:
         return key
 
+    def encode_new(self, keys: list[str]) -> list[bytes]:
+        return self.encode([self.piece(k) for k in keys])
+
+    def tail(self, marks: str) -> str:
+        """The key of marks that follow letters directly."""
+        return marks
+
     def _fill(self, wanted: set[str]) -> dict[str, bytes]:
-        """Make sure that all wanted keys are held; returns those held only now."""
+        """Make sure that all wanted keys are held; returns those held only now.
+
+        Letters and the marks behind them are different pieces in every
+        vocabulary here, so a new key of both is put together from the two.
+        """
         if len(self.newer) >= self.half:
             self.newer, self.older = {}, self.newer
-        new = []
-        for key in wanted - self.newer.keys():
-            ids = self.older.get(key)
-            if ids is None:
-                new.append(key)
+        newer, older = self.newer, self.older
+        new, joined = [], []
+        for key in wanted - newer.keys():
+            ids = older.get(key)
+            if ids is not None:
+                newer[key] = ids
+            elif (parts := _LETTERS_MARKS.fullmatch(key)) is not None:
+                joined.append((key, parts[1], self.tail(parts[2])))
             else:
-                self.newer[key] = ids
-        now = dict(zip(new, self.encode([self.piece(k) for k in new]))) if new else {}
-        self.newer.update((k, v) for k, v in now.items() if len(k) <= 64)
-        return {k: v for k, v in now.items() if len(k) > 64}
-
-    def texts(self, texts: list[str | None]) -> Iterator[bytes]:
-        for at in range(0, len(texts), self.SHARE):
-            share = texts[at : at + self.SHARE]
+                new.append(key)
+        if joined:
+            for part in {p for _, *both in joined for p in both} - newer.keys() - set(new):
+                ids = older.get(part)
+                if ids is not None:
+                    newer[part] = ids
+                else:
+                    new.append(part)
+        now = dict(zip(new, self.encode_new(new))) if new else {}
+        newer.update((k, v) for k, v in now.items() if len(k) <= 64)
+        now = {k: v for k, v in now.items() if len(k) > 64}
+        for key, letters, marks in joined:
+            ids = (newer.get(letters) or now[letters]) + (newer.get(marks) or now[marks])
+            (newer if len(key) <= 64 else now)[key] = ids
+        return now
+
+    def texts(self, column: pa.Array) -> Iterator[bytes]:
+        sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
+        ends, at = np.cumsum(sizes), 0
+        while at < len(column):
+            # at least one text, else as many as fill a share
+            end = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + self.SHARE, "right")))
+            share = column.slice(at, end - at).to_pylist()
+            at = end
             cut = [self.keys(t) if t else [] for t in share]
             long = self._fill(set().union(*(k for k in cut if k)))
             held = self.newer | long if long else self.newer
@@ -236,12 +277,12 @@ class SpacedIds(KeptIds):
     that starts with NUL stands for what follows the NUL.
     """
 
-    _UNUSUAL = re.compile(" [ \n]|\n\n|[\t\r]")
+    _UNUSUAL = ("  ", " \n", "\n\n", "\t", "\r")
 
     def keys(self, text: str) -> list[str] | None:
-        if _RARE_SPACE.search(text):
+        if rare_space(text):
             return None
-        if self._UNUSUAL.search(text):
+        if any(map(text.__contains__, self._UNUSUAL)):
             return ["\0" + c for c in _CHUNK.findall(text)]
         keys = text.replace("\n", " \n").split(" ")
         if keys[0]:
@@ -250,6 +291,9 @@ class SpacedIds(KeptIds):
             del keys[0]
         return keys
 
+    def tail(self, marks: str) -> str:
+        return "\0" + marks
+
     def piece(self, key: str) -> str:
         return key[1:] if key[:1] == "\0" else key if key[:1] == "\n" else " " + key
 
@@ -282,8 +326,8 @@ def encode(df: DataFrame, vocabulary: str, text_col: str = "text", ids_col: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = loaded(vocabulary)[1]
-        for batch in batches:
-            rows = [np.frombuffer(ids, "<u4").astype(np.int32) for ids in cache.texts(batch.column(at).to_pylist())]
+        for batch in worker_for("bpe", batches):
+            rows = [np.frombuffer(ids, "<u4").astype(np.int32) for ids in cache.texts(batch.column(at))]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rows, pa.list_(pa.int32()))], [*batch.schema.names, ids_col])
 
     return df.mapInArrow(run, StructType([*df.schema, StructField(ids_col, ArrayType(IntegerType()))]))
@@ -299,7 +343,7 @@ def decode(df: DataFrame, vocabulary: str, ids_col: str = "ids", text_col: str =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         _, _, blob, offsets = loaded(vocabulary)
-        for batch in batches:
+        for batch in worker_for("bpe", batches):
             texts = [gather(np.array(row or (), np.int64), blob, offsets).decode("utf-8", "replace") for row in batch.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], [*batch.schema.names, text_col])
 
@@ -320,9 +364,9 @@ def round_trip_digests(df: DataFrame, vocabulary: str, id_col: str = "doc_id", t
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         _, cache, blob, offsets = loaded(vocabulary)
         sha = lambda b: hashlib.sha256(b).hexdigest()
-        for batch in batches:
+        for batch in worker_for("bpe", batches):
             counts, of_ids, of_text = [], [], []
-            for raw in cache.texts(batch.column(1).to_pylist()):
+            for raw in cache.texts(batch.column(1)):
                 ids = np.frombuffer(raw, "<u4").astype(np.int64)
                 decoded = gather(ids, blob, offsets).decode("utf-8", "replace")
                 counts.append(len(ids))

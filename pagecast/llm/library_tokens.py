@@ -5,21 +5,68 @@ from __future__ import annotations
 import os
 import unicodedata
 from array import array
+from collections.abc import Callable
 
+import numpy as np
 
-from pagecast.llm.bpe import _RARE_SPACE, KeptIds, SpacedIds
+from pagecast.llm.bpe import KeptIds, SpacedIds, rare_space
 
 _LOADED: dict[str, KeptIds] = {}
+#: Words in one generation of a worker's memory (two generations take some 190 MB).
+LIBRARY_HALF = 600_000
+
+
+def _in_one_call(encode: Callable[[list[str]], list[bytes]], text: str, edge: np.ndarray, ends: bool, number: int) -> list[bytes]:
+    """Ids of many words written one after the other, cut into the words' own.
+
+    ``edge`` tells of each id whether it begins (or ends) a word.
+    """
+    raw = encode([text])[0]
+    marks = np.flatnonzero(edge[np.frombuffer(raw, "<u4")])
+    borders = marks + 1 if ends else np.append(marks[1:], len(raw) // 4)
+    if len(borders) != number:
+        raise ValueError("the words' pieces are not what was assumed")
+    cuts = [0, *(4 * borders).tolist()]
+    return [raw[a:b] for a, b in zip(cuts, cuts[1:])]
+
+
+class LibrarySpacedIds(SpacedIds):
+    """New words go to the library in one text; a word begins where a token
+    that holds the space does."""
+
+    def __init__(self, encode, starts: np.ndarray):
+        super().__init__(encode, LIBRARY_HALF)
+        self.starts = starts
+
+    def encode_new(self, keys: list[str]) -> list[bytes]:
+        plain = [k for k in keys if k and k[0] not in "\0\n"]
+        other = [k for k in keys if not k or k[0] in "\0\n"]
+        found = dict(zip(plain, _in_one_call(self.encode, " " + " ".join(plain), self.starts, False, len(plain)))) if plain else {}
+        found.update(zip(other, super().encode_new(other)) if other else ())
+        return [found[k] for k in keys]
 
 
 class WordIds(KeptIds):
-    """Pieces for a vocabulary that drops white space: the words themselves."""
+    """Pieces for a vocabulary that drops white space: the words themselves.
+    Words of ASCII letters are one piece."""
+
+    def __init__(self, encode, ends: np.ndarray):
+        super().__init__(encode, LIBRARY_HALF)
+        self.ends = ends
 
     def keys(self, text: str) -> list[str] | None:
         # a combining mark at a word's start is left to the library in its context
-        if _RARE_SPACE.search(text) or not text.isascii() and not unicodedata.is_normalized("NFC", text):
+        if rare_space(text) or not text.isascii() and ("\u03a3" in text or not unicodedata.is_normalized("NFC", text)):
             return None
-        return text.split()
+        # the vocabulary lower-cases; only the capital sigma does so by its place
+        return text.lower().split()
+
+    def encode_new(self, keys: list[str]) -> list[bytes]:
+        plain = [k for k in keys if k.isascii() and k.isalpha()]
+        other = [k for k in keys if not (k.isascii() and k.isalpha())]
+        found = dict(zip(plain, _in_one_call(self.encode, " ".join(plain), self.ends, True, len(plain)))) if plain else {}
+        found.update(zip(other, self.encode(other)) if other else ())
+        return [found[k] for k in keys]
 
 
 def library_ids(path: str) -> KeptIds:
@@ -28,7 +75,7 @@ def library_ids(path: str) -> KeptIds:
 
     Both kinds of vocabulary given cut a text into pieces ahead of the merges,
     and their pieces end where white space begins, so the library encodes each
-    new word once, in batches, and recurring words are joined from memory.
+    new word once, many in one call, and recurring words are joined from memory.
     Texts with unusual white space go to the library whole.
     """
     if path not in _LOADED:
@@ -42,5 +89,9 @@ def library_ids(path: str) -> KeptIds:
         def encode(texts: list[str]) -> list[bytes]:
             return [array("I", e.ids).tobytes() for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-        _LOADED[path] = (SpacedIds if tokenizer.normalizer is None else WordIds)(encode)
+        names = [tokenizer.id_to_token(i) or "" for i in range(tokenizer.get_vocab_size(with_added_tokens=True))]
+        if tokenizer.normalizer is None:
+            _LOADED[path] = LibrarySpacedIds(encode, np.array([n.startswith("\u0120") for n in names]))
+        else:
+            _LOADED[path] = WordIds(encode, np.array([n.endswith("</w>") for n in names]))
     return _LOADED[path]

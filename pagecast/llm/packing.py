@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 
 from pagecast.cluster import Written, ship
 from pagecast.llm.library_tokens import library_ids
+from pagecast.llm.words import worker_for
 
 #: Pieces of one length that one window task ranks.
 RANKED_TOGETHER = 50_000
@@ -34,9 +35,9 @@ def pieces(df: DataFrame, vocabulary: str, end_id: int, limit: int, id_col: str,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids_of = library_ids(vocabulary)
         end = np.array([end_id], "<u4").tobytes()
-        for batch in batches:
+        for batch in worker_for("library", batches):
             row, start, length, crc, total = [], [], [], [], []
-            for i, raw in enumerate(ids_of.texts(batch.column(1).to_pylist())):
+            for i, raw in enumerate(ids_of.texts(batch.column(1))):
                 raw += end
                 n = len(raw) // 4
                 for at in range(0, n, limit):
