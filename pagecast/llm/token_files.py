@@ -18,6 +18,7 @@ that is run again after a lost executor replaces a file by its equal.
 
 from __future__ import annotations
 
+import re
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -30,6 +31,7 @@ from pyspark.sql import functions as F
 
 from pagecast.cluster import Written, scratch_path, ship
 from pagecast.llm.library_tokens import library_ids
+from pagecast.llm.words import strings, worker_for
 
 MAGIC = 0x31564B54  # "TKV1"
 #: Ids in a file, about; a file holds whole documents.
@@ -111,29 +113,31 @@ def write(df: DataFrame, folder: str, vocabulary: str, end_id: int = 0, id_col:
     def ids_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = library_ids(vocabulary)
         end = np.array([end_id], "<u4").tobytes()
-        for batch in batches:
+        for batch in worker_for("library", batches):
             packed = []
-            for raw in held.texts(batch.column(1).to_pylist()):
+            for raw in held.texts(batch.column(1)):
                 ids = np.frombuffer(raw + end, "<u4")
                 # the narrower form where all ids of the text fit
                 packed.append(b"\2" + ids.astype("<u2").tobytes() if ids.max() < 1 << 16 else b"\4" + ids.tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary())], ["doc_id", "ids"])
+            part = [0 if d is None else int(np.searchsorted(bounds, d, "right")) for d in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(part, pa.int32()), pa.array(packed, pa.binary())], ["doc_id", "part", "ids"])
 
-    texts = df.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
-    encoded = texts.mapInArrow(ids_of, "doc_id bigint, ids binary")
-    # ids take a third of the text's room, so they are what is sorted
+    # cut points of the id order, so that texts are encoded once and only ids are shuffled
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ordered = Written(encoded.repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id").withColumn("part", F.spark_partition_id()), "token-ids")
+    cuts = df.select(F.percentile_approx(F.col(id_col).cast("bigint"), [k / parts for k in range(1, parts)] or [0.5], 10_000)).first()[0] or []
+    bounds = np.unique(np.array(cuts, np.int64))
+    texts = df.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
+    encoded = texts.mapInArrow(ids_of, "doc_id bigint, part int, ids binary")
+    ordered = Written(encoded.repartition(parts, "part").sortWithinPartitions("part", "doc_id"), "token-ids")
 
     def counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(0, np.int64)
         for batch in batches:
-            for raw in batch.column(0).to_pylist():
-                ids = _unpacked(raw)
-                top = int(ids.max()) + 1
-                if top > len(total):
-                    total = np.concatenate([total, np.zeros(top - len(total), np.int64)])
-                total[:top] += np.bincount(ids, minlength=top)
+            for at in range(0, len(batch), 256):
+                ids = np.concatenate([_unpacked(raw).astype(np.int64) for raw in batch.column(0).slice(at, 256).to_pylist()])
+                some = np.bincount(ids, minlength=len(total))
+                some[: len(total)] += total
+                total = some
         seen = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int64()), pa.array(total[seen], pa.int64())], ["id", "n"])
 
@@ -145,7 +149,10 @@ def write(df: DataFrame, folder: str, vocabulary: str, end_id: int = 0, id_col:
 
     jvm = spark.sparkContext._jvm
     home = jvm.org.apache.hadoop.fs.Path(folder)
-    home.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).mkdirs(home)
+    files = home.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    files.mkdirs(home)
+    # the workers open the folder by its full address, whatever the default file system is
+    folder = re.sub(r"^file:/+", "file:///", files.makeQualified(home).toString())
 
     def put(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         docs: list[int | None] = []
@@ -161,7 +168,7 @@ def write(df: DataFrame, folder: str, vocabulary: str, end_id: int = 0, id_col:
                 docs, rows, held, number = [], [], 0, number + 1
 
         for batch in batches:
-            for doc, raw, own in zip(*(c.to_pylist() for c in batch.columns)):
+            for doc, raw, own in zip(*map(strings, batch.columns)):
                 if own != part:
                     close()
                     part, number = own, 0
