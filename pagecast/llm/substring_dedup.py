@@ -13,7 +13,8 @@ sentence stays as it was, so a document without repeats is returned unchanged.
 
 A run is an aggregate of one count and one smallest place per hash, so a
 passage that a third of all documents share is summed up before the shuffle;
-the places to remove come from a join that can be split on a common hash.
+the places to remove come from a join with the repeated runs, broadcast if they
+are few, else split on common hashes.
 """
 
 from __future__ import annotations
@@ -28,11 +29,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from pagecast.cluster import ship
-from pagecast.llm.words import mix, utf8, window_hashes, word_hashes  # noqa: F401
+from pagecast.cluster import Written, ship
+from pagecast.llm.words import mix, strings, utf8, word_hashes, worker_for
 
 #: Fixed: a sentence ends with its last mark or at a line's end, white space after it included.
 _SENTENCE = re.compile(r"(?:[^.!?\n]|[.!?]+(?![.!?\s]))*(?:[.!?]+[ \t\r\x0b\x0c]*\n?|\n|$)")
+#: Repeated runs are broadcast up to this number (some 40 MB); more are joined by a shuffle, whose hot hashes Spark splits.
+BROADCAST_RUNS = 1_000_000
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -96,9 +99,9 @@ def spans(docs: DataFrame, plan: SpanPlan) -> DataFrame:
     """docs(doc_id, text) -> (hash, doc_id, first, last)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in worker_for("spans", batches):
             hashes, firsts, lasts, owner = [], [], [], []
-            for i, text in enumerate(batch.column(1).to_pylist()):
+            for i, text in enumerate(strings(batch.column(1))):
                 h, a, b = runs(sentences(text), plan)
                 hashes.append(h.view(np.int64))
                 firsts.append(a)
@@ -118,13 +121,19 @@ def _covered(spans_of: list[dict]) -> set[int]:
 
 
 def removals(docs: DataFrame, plan: SpanPlan) -> DataFrame:
-    """docs(doc_id, text) -> (doc_id, gone: runs to remove) for documents that lose a sentence."""
-    found = spans(docs, plan)
+    """docs(doc_id, text) -> (doc_id, gone: runs to remove) for documents that
+    lose a sentence; marked for broadcast if it is small."""
+    found = Written(spans(docs, plan), "span-runs")
     place = F.struct("doc_id", "first")
-    known = found.groupBy("hash").agg(F.count("*").alias("n"), F.min(place).alias("kept")).where("n > 1").select(F.col("hash"), "kept")
-    # runs are made again rather than kept: they would take as much room as the texts
-    later = found.join(known, "hash").where(place != F.col("kept")).select("doc_id", "first", "last")
-    return later.groupBy("doc_id").agg(F.collect_set(F.struct("first", "last")).alias("gone"))
+    repeated = found.df.groupBy("hash").agg(F.count("*").alias("n"), F.min(place).alias("kept")).where("n > 1").select("hash", "kept")
+    known = Written(repeated, "span-repeats")
+    first = F.broadcast(known.df) if known.df.count() <= BROADCAST_RUNS else known.df
+    later = found.df.join(first, "hash").where(place != F.col("kept")).select("doc_id", "first", "last")
+    out = Written(later.groupBy("doc_id").agg(F.collect_set(F.struct("first", "last")).alias("gone")), "span-removals")
+    found.drop()
+    known.drop()
+    runs = out.df.agg(F.sum(F.size("gone"))).first()[0] or 0
+    return F.broadcast(out.df) if runs <= BROADCAST_RUNS else out.df
 
 
 def remove_repeats(df: DataFrame, plan: SpanPlan = SpanPlan(), id_col: str = "doc_id", text_col: str = "text", counts: tuple[str, str] | None = None) -> DataFrame:
@@ -140,14 +149,15 @@ def remove_repeats(df: DataFrame, plan: SpanPlan = SpanPlan(), id_col: str = "do
     ship(spark)
     key, gone = "_span_doc", "_span_gone"
     docs = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
-    cut = removals(docs, plan).select(F.col("doc_id").alias(key), F.col("gone").alias(gone))
+    cut = removals(docs, plan)
+    cut = cut.select(F.col("doc_id").alias(key), F.col("gone").alias(gone))
     both = df.join(cut, df[id_col] == F.col(key), "left").drop(key)
     at, names = df.columns.index(text_col), df.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in worker_for("spans", batches):
             texts, total, lost = [], [], []
-            for text, marked in zip(batch.column(at).to_pylist(), batch.column(len(names)).to_pylist()):
+            for text, marked in zip(strings(batch.column(at)), strings(batch.column(len(names)))):
                 if marked or counts:
                     parts = sentences(text)
                     away = _covered(marked or [])
