@@ -12,8 +12,8 @@ import numpy as np
 from pagecast.llm.bpe import KeptIds, SpacedIds, rare_space
 
 _LOADED: dict[str, KeptIds] = {}
-#: Words in one generation of a worker's memory (two generations take some 190 MB).
-LIBRARY_HALF = 600_000
+#: Words in one generation of a worker's memory (two generations take some 100 MB).
+LIBRARY_HALF = 300_000
 
 
 def _in_one_call(encode: Callable[[list[str]], list[bytes]], text: str, edge: np.ndarray, ends: bool, number: int) -> list[bytes]:
