@@ -140,6 +140,8 @@ def _judged(array: DigestArray, urls: list[str | None], default: str) -> tuple[l
 
 
 _OPEN: dict[str, DigestArray] = {}
+#: Rule files that an application's workers have already.
+_SENT: set[tuple[str, str]] = set()
 
 
 def judge(df: DataFrame, rules: list[Rule], id_col: str = "page_id", url_col: str = "url", default: str = ALLOW) -> DataFrame:
@@ -156,9 +158,12 @@ def judge(df: DataFrame, rules: list[Rule], id_col: str = "page_id", url_col: st
     # the name carries the content, so that other rules get another file
     stamp = xxhash.xxh64_hexdigest(repr(sorted((r.host, r.path, r.verdict) for r in rules)))
     name = f"url-rules-{stamp}.bin"
-    local = os.path.join(tempfile.mkdtemp(prefix="pagecast-rules-"), name)
-    DigestArray.write(rules, local)
-    spark.sparkContext.addFile(local)
+    sent = (spark.sparkContext.applicationId, name)
+    if sent not in _SENT:
+        local = os.path.join(tempfile.mkdtemp(prefix="pagecast-rules-"), name)
+        DigestArray.write(rules, local)
+        spark.sparkContext.addFile(local)
+        _SENT.add(sent)
     id_type = df.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
