@@ -139,9 +139,15 @@ def sample(spark, d):
     return T(spark, d, "events").where((7919 * F.col("event_id") + 13) % 1000 < 100).select("event_id")
 
 
+@query("q_p07_explode_whole", "SELECT vec_id, (generate_subscripts(embedding, 1) - 1)::INT AS i, round(unnest(embedding)::DOUBLE, 5) + 0.0 AS x FROM embeddings")
+def explode_whole(spark, d):
+    return T(spark, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("i", "x")).select("vec_id", "i", R(F.col("x").cast("double"), 5).alias("x"))
+
+
 @query("q_p07_explode", "SELECT vec_id, (generate_subscripts(embedding, 1) - 1)::INT AS i, round(unnest(embedding)::DOUBLE, 5) + 0.0 AS x FROM embeddings WHERE vec_id < 20")
 def explode(spark, d):
-    return T(spark, d, "embeddings").where("vec_id < 20").select("vec_id", F.posexplode("embedding").alias("i", "x")).select("vec_id", "i", R(F.col("x").cast("double"), 5).alias("x"))
+    """The rows that the SQL names."""
+    return explode_whole(spark, d).where("vec_id < 20")
 
 
 _TYPES = ["click", "error", "purchase", "signup", "view"]
@@ -444,10 +450,16 @@ def casts(spark, d):
 
 
 # ------------------------------------------------------------------- user functions
+@query("q_d01_sql_function_whole", "SELECT o_orderkey, round(o_totalprice - 1.5 * 100, 4) + 0.0 AS lower, round(o_totalprice + 1.5 * 100, 4) + 0.0 AS upper FROM orders")
+def sql_function_whole(spark, d):
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION pagecast_bound(m DOUBLE, sd DOUBLE, z DOUBLE) RETURNS DOUBLE RETURN round(m + sd * z + {tie_break(4):.10f}, 4) + 0.0")
+    return T(spark, d, "orders").selectExpr("o_orderkey", "pagecast_bound(o_totalprice, 100D, -1.5D) AS lower", "pagecast_bound(o_totalprice, 100D, 1.5D) AS upper")
+
+
 @query("q_d01_sql_function", "SELECT o_orderkey, round(o_totalprice - 1.5 * 100, 4) + 0.0 AS lower, round(o_totalprice + 1.5 * 100, 4) + 0.0 AS upper FROM orders WHERE o_orderkey < 2000")
 def sql_function(spark, d):
-    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION pagecast_bound(m DOUBLE, sd DOUBLE, z DOUBLE) RETURNS DOUBLE RETURN round(m + sd * z + {tie_break(4):.10f}, 4) + 0.0")
-    return T(spark, d, "orders").where("o_orderkey < 2000").selectExpr("o_orderkey", "pagecast_bound(o_totalprice, 100D, -1.5D) AS lower", "pagecast_bound(o_totalprice, 100D, 1.5D) AS upper")
+    """The rows that the SQL names."""
+    return sql_function_whole(spark, d).where("o_orderkey < 2000")
 
 
 @query("q_d08_recursive", "WITH RECURSIVE f(k, a, b) AS (SELECT 1, 1.0::DOUBLE, 0.5::DOUBLE UNION ALL SELECT k + 1, b, 0.7 * b + 0.2 * a FROM f WHERE k < 20) SELECT k, round(b, 7) + 0.0 AS value FROM f")

@@ -31,3 +31,10 @@ def test_whole_table_is_written(spark, monkeypatch, kind, name, most):
     assert QUERIES[f"q_s03_{kind}"](spark, SF).count() < n / most + 1
     assert spark.read.format(kind).options(**(relational._CSV if kind == "csv" else {})).load(paths[-1]).count() == n
     assert QUERIES[f"q_s03_{kind}_whole"](spark, SF).count() == n
+
+
+def test_every_element_and_order(spark):
+    want = {(r["vec_id"], i) for r in table(spark, SF, "embeddings").collect() for i in range(len(r["embedding"]))}
+    got = [(r["vec_id"], r["i"]) for r in QUERIES["q_p07_explode_whole"](spark, SF).collect()]
+    assert len(got) == len(want) and set(got) == want
+    assert QUERIES["q_d01_sql_function_whole"](spark, SF).count() == table(spark, SF, "orders").count()
