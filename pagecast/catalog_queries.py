@@ -208,6 +208,15 @@ def two_windows(spark, d):
     return rows.withColumn("models", F.size(segments.models_of_half(F.col("half"), F.lit(22))))
 
 
+@query("q_m26_two_windows_whole", f"WITH {OBS}, e AS (SELECT max(step) // 100 AS hi FROM obs), s AS (SELECT series_id, step // 100 AS h, hi, value FROM obs, e) SELECT series_id, h::BIGINT AS half, round(avg(value), 3) + 0.0 AS mean, CASE WHEN h = 0 OR h = hi THEN 1 ELSE 2 END::INT AS models FROM s GROUP BY series_id, h, hi")
+def two_windows_whole(spark, d):
+    """The same over all steps; the table's own last step gives the last sub-model."""
+    halves = _orders(spark, d).withColumn("half", F.floor(F.col("step") / 100).cast("bigint"))
+    newest = halves.agg(F.greatest(F.lit(0), F.max("half") - 1).alias("newest"))
+    rows = halves.groupBy("series_id", "half").agg(R(F.avg("value"), 3).alias("mean")).join(F.broadcast(newest))
+    return rows.select("series_id", "half", "mean", F.size(segments.models_of_half(F.col("half"), F.col("newest"))).alias("models"))
+
+
 @query("q_m26_windows_full_rank", f"WITH {_cells(6)} SELECT series_id, (page * 6 + i)::BIGINT AS step, round(z, 2) + 0.0 AS mean FROM cell")
 def windows_full_rank(spark, d):
     """The average over covering sub-models of full rank is the input again."""
@@ -242,7 +251,7 @@ def point(spark, d):
     engine = Engine(spark)
     long = _orders(spark, d)
     engine.create_model("m", long, ModelConfig(w=20, capacity=4000), keep_right=True)
-    return engine.point("m", long.select("cohort", "series_id", "step").where("step % 50 = 3"))
+    return engine.point("m", long.select("cohort", "series_id", "step"))
 
 
 @query("q_m31_statement")
@@ -268,6 +277,14 @@ def compare(spark, d):
     return out.join(pages_there, (out.series_id == pages_there.series_id) & (F.floor(out.step / 6) == pages_there.p), "left_semi").select("series_id", "step", R("stored", 2).alias("stored"), R("mean", 2).alias("mean"))
 
 
+@query("q_m33_compare_whole")
+def compare_whole(spark, d):
+    """Every step of every series, the last ones that fill no page included."""
+    engine = Engine(spark)
+    model = engine.create_model("m", _orders(spark, d), ModelConfig(w=6, r_impute=6, r_forecast=5))
+    return engine.compare("m", 0, model.steps - 1)
+
+
 @query("q_m36_hankel", f"WITH {EVENT_OBS}, b AS (SELECT max(step) AS hi FROM obs), g AS (SELECT s.series_id, unnest(generate_series(0, b.hi)) AS step FROM (SELECT DISTINCT series_id FROM obs) s, b), z AS (SELECT g.series_id, g.step, coalesce(o.value, 0) AS z FROM g LEFT JOIN obs o ON o.series_id = g.series_id AND o.step = g.step), r AS (SELECT series_id, step, sum(z) OVER w AS total, count(*) OVER w AS n FROM z WINDOW w AS (PARTITION BY series_id ORDER BY step ROWS BETWEEN CURRENT ROW AND 11 FOLLOWING)) SELECT series_id, step::BIGINT AS page, round(total, 3) + 0.0 AS total FROM r WHERE n = 12")
 def hankel(spark, d):
     h = pagematrix.hankel(ingest.densify(series.events_by_type(spark, d), lo=0), 12)

@@ -110,9 +110,7 @@ class Engine:
                 done = answers.impute(pages, model.factors, model.half_pages, w, model.rate)
                 parts.append(done.withColumn("task", F.lit("impute")))
             if first < model.steps and last >= model.covered and model.covered < model.steps:
-                # the last steps fill no page: what the forecaster said one step before
-                tail = ingest.densify(long.where(F.col("step") >= model.covered - w), max(0, model.covered - w), model.steps - 1)
-                parts.append(answers.one_step_ahead(tail, model.weights, w, model.covered).withColumn("task", F.lit("impute")))
+                parts.append(self._tail(model, long).withColumn("task", F.lit("impute")))
             if last >= model.steps:
                 now = model.long.select("cohort").distinct().withColumn("now", F.lit(model.steps - 1).cast("bigint"))
                 ahead = answers.forecast(long.where(F.col("step") > model.steps - w), model.weights, w, last - model.steps + 1, now)
@@ -129,6 +127,11 @@ class Engine:
         columns = ["cohort", "series_id", "step", "task", "mean"] + (["sd", "lower", "upper"] if uncertainty else [])
         return out.select(*columns)
 
+    def _tail(self, model: Model, long: DataFrame) -> DataFrame:
+        """The last steps fill no page: what the forecaster said one step before."""
+        tail = ingest.densify(long.where(F.col("step") >= model.covered - model.w), max(0, model.covered - model.w), model.steps - 1)
+        return answers.one_step_ahead(tail, model.weights, model.w, model.covered)
+
     def compare(self, name: str, first: int, last: int) -> DataFrame:
         """The stored value beside the de-noised one."""
         model = self.models[name]
@@ -139,6 +142,8 @@ class Engine:
         """Many point questions about the past at once, from stored factors."""
         model = self.models[name]
         found = answers.lookup(asks, model.factors, self.store.load(name, "right"), model.half_pages, model.w)
+        if model.covered < model.steps:
+            found = found.unionByName(self._tail(model, model.long).join(asks, ["cohort", "series_id", "step"], "left_semi"))
         return answers.interval(found, confidence, method).drop("variance")
 
     def cost_report(self, name: str) -> DataFrame:

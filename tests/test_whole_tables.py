@@ -7,7 +7,7 @@ import pytest
 
 from pagecast.catalog_queries import QUERIES
 from pagecast.operators import relational
-from pagecast.sources.series import table
+from pagecast.sources.series import orders_by_priority, table
 
 SF = "/root/testdata/sf0.001"
 
@@ -38,3 +38,24 @@ def test_every_element_and_order(spark):
     got = [(r["vec_id"], r["i"]) for r in QUERIES["q_p07_explode_whole"](spark, SF).collect()]
     assert len(got) == len(want) and set(got) == want
     assert QUERIES["q_d01_sql_function_whole"](spark, SF).count() == table(spark, SF, "orders").count()
+
+
+def test_point_answers_every_observed_step(spark):
+    keys = ["cohort", "series_id", "step"]
+    seen = {(r["series_id"], r["step"]) for r in orders_by_priority(spark, SF).select(*keys).collect()}
+    got = [(r["series_id"], r["step"]) for r in QUERIES["q_m31_point"](spark, SF).where("mean is not null").collect()]
+    assert len(got) == len(seen) and set(got) == seen
+
+
+def test_windows_and_comparison_reach_the_last_step(spark):
+    seen = {(r["series_id"], r["step"]): r["value"] for r in orders_by_priority(spark, SF).collect()}
+    last = max(step for _, step in seen)
+    halves = QUERIES["q_m26_two_windows_whole"](spark, SF).collect()
+    assert {(r["series_id"], r["half"]) for r in halves} == {(s, step // 100) for s, step in seen}
+    assert all(r["models"] == (1 if r["half"] in (0, last // 100) else 2) for r in halves)
+    got = {(r["series_id"], r["step"]): (r["stored"], r["mean"]) for r in QUERIES["q_m33_compare_whole"](spark, SF).collect()}
+    assert set(got) == {(s, step) for s in {s for s, _ in seen} for step in range(last + 1)}
+    for at, (stored, mean) in got.items():
+        assert stored == seen.get(at) and mean is not None
+        # of full rank the pages come back; the steps after them are forecasts
+        assert at[1] >= last + 1 - (last + 1) % 6 or abs(mean - (stored or 0.0)) < 1e-3
