@@ -8,6 +8,11 @@ a fence is read from each, three quartile distances beyond the outer quartile.
 A pair with few documents uses its language's fence, a small language the
 corpus's. The fences are joined back and filter the documents.
 
+Repeated lines and passages are absent from most documents, so their quartiles
+are often equal. Their fence also looks at the tail of the documents that pass
+the base rule: it lies half as far again beyond the outer quartile as the last
+hundredth of those documents begins.
+
 Sketches merge in any order and hold a bounded number of values, so a pair with
 a third of all documents costs one sketch per task and no group is collected.
 """
@@ -79,27 +84,37 @@ def with_counts(df: DataFrame, text_col: str = "text", prefix: str = "") -> Data
 _RATIOS = (
     ("mean_word", "word_chars", "n_words", True, 2.0),
     ("symbols", "n_symbols", "word_chars", False, 0.05),
-    ("dup_lines", "n_dup_lines", "n_words", False, 0.05),
-    ("repeats", "n_repeat_words", "n_words", False, 0.2),
+    ("dup_lines", "n_dup_lines", "n_words", False, 0.005),
+    ("repeats", "n_repeat_words", "n_words", False, 0.05),
 )
+#: Measures that most documents have none of: sketched over what passes the base rule, which has a cutoff on the same counts.
+_RARE = ("dup_lines", "repeats")
+_TAIL, _TAIL_REACH = 0.99, 1.5
 
 
 def _ratios(prefix: str) -> dict[str, F.Column]:
     return {name: F.col(prefix + top) / F.nullif(F.col(prefix + below), F.lit(0)) for name, top, below, _, _ in _RATIOS}
 
 
+def _base_failed(prefix: str) -> F.Column:
+    n, repeats = F.col(prefix + "n_words"), F.col(prefix + "n_repeat_words")
+    return (n < 10) | (100 * repeats > 20 * n)
+
+
 def fences(counted: DataFrame, lang_col: str, source_col: str, prefix: str, min_docs: int, k: int = 400) -> DataFrame:
     """(language, source) -> one upper and lower fence per measure.
 
-    Rows whose counts fail nothing take part as they are; a null language or
-    source is a group of its own.
+    Rows that fail the base rule take no part in the rare measures' fences; a
+    null language or source is a group of its own.
     """
     values = _ratios(prefix)
     names = [r[0] for r in _RATIOS]
     keys = [F.col(lang_col).alias("_lang"), F.col(source_col).alias("_source")]
-    shown = counted.select(*keys, *(v.alias(n) for n, v in values.items())).where(F.col(names[0]).isNotNull())
+    # a null is no value of a sketch
+    taken = {n: F.when(~_base_failed(prefix), F.coalesce(v, F.lit(0.0))) if n in _RARE else v for n, v in values.items()}
+    shown = counted.where(values[names[0]].isNotNull()).select(*keys, *(v.alias(n) for n, v in taken.items()))
     pair = shown.groupBy("_lang", "_source").agg(
-        F.count("*").alias("_n"), *(F.kll_sketch_agg_double(F.coalesce(n, F.lit(0.0)), F.lit(k)).alias(n) for n in names)
+        F.count("*").alias("_n"), *(F.kll_sketch_agg_double(n if n in _RARE else F.coalesce(n, F.lit(0.0)), F.lit(k)).alias(n) for n in names)
     )
     # read three times below; the texts are read for it once
     pair = Written(pair, "quality-sketches").df
@@ -115,8 +130,11 @@ def fences(counted: DataFrame, lang_col: str, source_col: str, prefix: str, min_
     )
     out = []
     for name, _, _, low, least in _RATIOS:
-        q = lambda at, n=name: F.kll_sketch_get_quantile_double(F.col(n), F.lit(at))
+        # an empty sketch (every document fails the base rule) gives no fence
+        q = lambda at, n=name: F.when(F.kll_sketch_get_n_double(n) > 0, F.kll_sketch_get_quantile_double(F.col(n), F.lit(at)))
         reach = F.greatest(3 * (q(0.75) - q(0.25)), F.lit(least))
+        if name in _RARE:
+            reach = F.greatest(reach, _TAIL_REACH * (q(_TAIL) - q(0.75)))
         out.append((q(0.75) + reach).alias(f"{name}_most"))
         if low:
             out.append((q(0.25) - reach).alias(f"{name}_least"))
@@ -138,8 +156,7 @@ def judged(df: DataFrame, text_col: str = "text", lang_col: str = "lang", source
     if bound.count() <= BROADCAST_PAIRS:
         bound = F.broadcast(bound)
     both = counted.join(bound, counted[lang_col].eqNullSafe(F.col("_b_lang")) & counted[source_col].eqNullSafe(F.col("_b_source")), "left")
-    n, repeats = F.col(prefix + "n_words"), F.col(prefix + "n_repeat_words")
-    failed = (n < 10) | (100 * repeats > 20 * n)
+    failed = _base_failed(prefix)
     inside = F.lit(True)
     for name, value in _ratios(prefix).items():
         value = F.coalesce(value, F.lit(0.0))
