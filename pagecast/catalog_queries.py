@@ -487,11 +487,11 @@ def data_source(spark, d):
 # ---------------------------------------------------------------------- workloads
 for _name, _fn in {
     "q_w00_example": workloads.worked_example,
-    "q_w01_mean_imputation": lambda s, d: workloads.mean_imputation(s, d, only=("events",)),
-    "q_w02_mean_forecasting": lambda s, d: workloads.mean_forecasting(s, d, keeps=(1.0,)),
-    "q_w03_variance_imputation": lambda s, d: workloads.variance_imputation(s, d, keeps=(1.0,), n=6, steps=300),
-    "q_w04_variance_forecasting": lambda s, d: workloads.variance_forecasting(s, d, n=6, steps=300),
-    "q_w05_noise_kinds": lambda s, d: workloads.noise_kinds(s, d, n=6, steps=1000),
+    "q_w01_mean_imputation": lambda s, d: workloads.mean_imputation(s, d),
+    "q_w02_mean_forecasting": lambda s, d: workloads.mean_forecasting(s, d),
+    "q_w03_variance_imputation": lambda s, d: workloads.variance_imputation(s, d),
+    "q_w04_variance_forecasting": lambda s, d: workloads.variance_forecasting(s, d),
+    "q_w05_noise_kinds": lambda s, d: workloads.noise_kinds(s, d),
     "q_w06_poisson_or_not": workloads.poisson_or_not,
     "q_w13_series_count": workloads.series_count,
     "q_w14_capacity_growth": workloads.capacity_growth,
@@ -502,7 +502,7 @@ for _name, _fn in {
 
 @query("q_w16_summary")
 def summary(spark, d):
-    return workloads.summary(workloads.variance_imputation(spark, d, keeps=(1.0,), n=6, steps=300))
+    return workloads.summary(workloads.variance_imputation(spark, d))
 
 
 # ----------------------------------------------------------------------- streaming

@@ -19,6 +19,10 @@ from pagecast.plans.config import ModelConfig, half_window, settle
 from pagecast.plans.engine import Engine
 from pagecast.sources import series, synth
 
+#: The four data sets and the survey's grid: shares of cells kept, deviations of the added noise.
+DATASETS = ("orders", "lineitem", "events", "synthetic")
+KEEPS, SIGMAS = (1.0, 0.8, 0.5), (0.0, 0.1, 0.2, 0.5, 1.0)
+
 _UNION = lambda a, b: a.unionByName(b)
 
 
@@ -63,7 +67,7 @@ def _rescaled(long: DataFrame) -> tuple[DataFrame, DataFrame]:
     return ingest.standardize(long, stats), stats
 
 
-def mean_imputation(spark: SparkSession, sf_dir: str, keeps=(1.0, 0.5), sigmas=(0.2, 1.0), only: tuple[str, ...] = ("orders", "events"), rivals: bool = True) -> DataFrame:
+def mean_imputation(spark: SparkSession, sf_dir: str, keeps=KEEPS, sigmas=SIGMAS, only: tuple[str, ...] = DATASETS, rivals: bool = True) -> DataFrame:
     """De-noised values of masked, noisy series against the factorisation."""
     out = []
     for name, (cells, steps) in datasets(spark, sf_dir).items():
@@ -88,7 +92,7 @@ def mean_imputation(spark: SparkSession, sf_dir: str, keeps=(1.0, 0.5), sigmas=(
     return reduce(_UNION, out)
 
 
-def mean_forecasting(spark: SparkSession, sf_dir: str, keeps=(1.0, 0.5), sigmas=(0.2,), only: tuple[str, ...] = ("events",), horizon: int = 24) -> DataFrame:
+def mean_forecasting(spark: SparkSession, sf_dir: str, keeps=KEEPS, sigmas=SIGMAS, only: tuple[str, ...] = DATASETS, horizon: int = 24) -> DataFrame:
     """The first steps after the history, five methods and the plain average."""
     out = []
     for name, (cells, steps) in datasets(spark, sf_dir).items():
@@ -127,7 +131,7 @@ def _families(spark: SparkSession, keeps, n: int, steps: int) -> DataFrame:
     return reduce(_UNION, (_as_cohort(synth.observed(cells, steps, kind, model, p), f"{model}/{kind}/p{p:g}") for kind, model in FAMILIES for p in keeps))
 
 
-def variance_imputation(spark: SparkSession, sf_dir: str, keeps=(1.0, 0.5), n: int = 10, steps: int = 600, rivals: bool = True) -> DataFrame:
+def variance_imputation(spark: SparkSession, sf_dir: str, keeps=KEEPS, n: int = 10, steps: int = 600, rivals: bool = True) -> DataFrame:
     """Time-varying variance of nine families, against two factorisations."""
     noisy = _families(spark, keeps, n, steps).persist()
     pages, models, cfg, half = trained(noisy, n, steps, ModelConfig(fill="inverse_rate"))
@@ -146,7 +150,7 @@ def _error(pred: DataFrame, truth: DataFrame) -> DataFrame:
     return metrics.nrmse(pred, truth, ["cohort"], "variance", "latent_variance")
 
 
-def variance_forecasting(spark: SparkSession, sf_dir: str, keeps=(1.0,), n: int = 10, steps: int = 600, horizon: int = 20) -> DataFrame:
+def variance_forecasting(spark: SparkSession, sf_dir: str, keeps=KEEPS, n: int = 10, steps: int = 600, horizon: int = 20) -> DataFrame:
     noisy = _families(spark, keeps, n, steps).persist()
     cut = steps - horizon
     past, truth = noisy.where(F.col("step") < cut), noisy.where(F.col("step") >= cut)
