@@ -26,7 +26,10 @@ from pagecast.llm.library_tokens import library_ids
 from pagecast.llm.words import worker_for
 
 #: Pieces of one length that one window task ranks.
-RANKED_TOGETHER = 50_000
+RANKED_TOGETHER = 1000
+#: Places of patterns that are broadcast (some 40 bytes each); their number follows
+#: the number of lengths and levels off at 42 thousand for sequences of 4096.
+PLACES_BROADCAST = 500_000
 
 
 def pieces(df: DataFrame, vocabulary: str, end_id: int, limit: int, id_col: str, text_col: str) -> DataFrame:
@@ -74,38 +77,26 @@ def shortest_pack_first(histogram: dict[int, int], limit: int) -> list[tuple[lis
 
     for length in sorted(histogram, reverse=True):
         left = histogram[length]
-        touched = []
         while left:
             if packs and packs[0][0] + length <= limit:
+                # one into each of the packs that are equally short, which may be the shortest again
                 used, _, count, pattern = heapq.heappop(packs)
                 taken = min(count, left)
                 if taken < count:
-                    heapq.heappush(packs, (used, serial, count - taken, pattern))
-                    serial += 1
-                touched.append((used + length, taken, (length, pattern)))
+                    put(used, count - taken, pattern)
+                put(used + length, taken, (length, pattern))
+                left -= taken
             else:
-                # open packs, as many as the rest needs when each takes several
+                # a new pack stays the shortest until it is full
                 fits = limit // length
                 full, over = divmod(left, fits)
-                pattern: tuple = ()
-                for _ in range(fits):
-                    pattern = (length, pattern)
-                if full:
-                    touched.append((fits * length, full, pattern))
-                if over:
-                    pattern = ()
-                    for _ in range(over):
-                        pattern = (length, pattern)
-                    touched.append((over * length, 1, pattern))
-                taken = left
-            left -= taken
-            if left and not packs or left and packs and packs[0][0] + length > limit:
-                # those just touched may be the shortest now
-                for item in touched:
-                    put(*item)
-                touched = []
-        for item in touched:
-            put(*item)
+                for copies, count in ((fits, full), (over, 1)):
+                    if copies and count:
+                        pattern: tuple = ()
+                        for _ in range(copies):
+                            pattern = (length, pattern)
+                        put(copies * length, count, pattern)
+                left = 0
     done.extend((_unfold(pattern), count) for _, _, count, pattern in packs)
     return done
 
@@ -144,17 +135,18 @@ def pack(df: DataFrame, vocabulary: str, end_id: int = 2, limit: int = 4096, id_
     spark = df.sparkSession
     ship(spark)
     cut = Written(pieces(df, vocabulary, end_id, limit, id_col, text_col), "pieces")
-    total = cut.df.count()
-    salts = max(1, -(-total // RANKED_TOGETHER))
-    salted = cut.df.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(salts)))
+    histogram = {r["length"]: r["n"] for r in cut.df.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most ``limit`` rows
+    shares = [(length, -(-n // RANKED_TOGETHER)) for length, n in histogram.items()]
+    shares = F.broadcast(spark.createDataFrame(shares or [(0, 1)], "length bigint, shares bigint"))
+    salted = cut.df.join(shares, "length").withColumn("salt", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.col("shares"))).drop("shares")
     counts = Written(salted.groupBy("length", "salt").agg(F.count("*").alias("n")), "piece-counts")
-    histogram = {r["length"]: r["n"] for r in counts.df.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most ``limit`` rows
     ranges = rank_ranges(shortest_pack_first(histogram, limit))
     places = spark.createDataFrame(ranges or [(0, 0, 0, 0, 0)], "p_length bigint, first bigint, end bigint, sequence bigint, offset bigint")
     before = Window.partitionBy("length").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
     bases = counts.df.select("length", "salt", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
     within = Window.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32")
     ranked = salted.withColumn("own", F.row_number().over(within) - 1).join(bases, ["length", "salt"]).withColumn("rank", F.col("own") + F.col("base"))
-    # the number of places depends on the number of lengths, not of documents
-    placed = ranked.join(F.broadcast(places), (F.col("length") == F.col("p_length")) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("end")))
+    if len(ranges) <= PLACES_BROADCAST:
+        places = F.broadcast(places)
+    placed = ranked.join(places, (F.col("length") == F.col("p_length")) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("end")))
     return placed.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", (F.col("sequence") + F.col("rank") - F.col("first")).alias("sequence_id"), "offset")
