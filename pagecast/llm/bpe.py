@@ -18,19 +18,18 @@ from __future__ import annotations
 
 import hashlib
 import json
-import re
-from array import array
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
+from itertools import chain
 
 import ahocorasick
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql.types import ArrayType, IntegerType, StringType, StructField, StructType
 
 from pagecast.cluster import ship
+from pagecast.llm.piecetable import SpacedPieces
 from pagecast.llm.words import worker_for
 
 _NEVER = 1 << 40
@@ -162,10 +161,6 @@ class ByteBpe:
                     ids += self.encode_piece(piece.encode("utf-8"))
         return ids
 
-    def packed(self, texts: list[str]) -> list[bytes]:
-        """Ids of each text as little-endian unsigned 32-bit integers."""
-        return [array("I", self.encode(t)).tobytes() for t in texts]
-
     def offset_table(self) -> tuple[np.ndarray, np.ndarray]:
         """All tokens' bytes end to end, and where each id's bytes begin."""
         top = max(self.bytes_of) + 1
@@ -174,128 +169,19 @@ class ByteBpe:
         return np.frombuffer(b"".join(pieces), np.uint8), offsets
 
 
-#: NUL, and white space beyond space, tab, newline and return; texts with it are encoded whole.
-_RARE = [chr(c) for c in (0, 0x0B, 0x0C, 0x1C, 0x1D, 0x1E, 0x1F, 0x85, 0xA0, 0x1680, 0x180E, *range(0x2000, 0x200C), 0x2028, 0x2029, 0x202F, 0x205F, 0x2060, 0x3000, 0xFEFF)]
-
-
-def rare_space(text: str) -> bool:
-    # single-character searches scan many bytes at a time, a character class one by one
-    return any(map(text.__contains__, _RARE[:7] if text.isascii() else _RARE))
-
-
-_LETTERS_MARKS = re.compile(r"([^\W\d_]+)([^\w\s\0]+)")
-_CHUNK = re.compile(r"[ \t\n\r]*[^ \t\n\r]+|[ \t\n\r]+")
-
-
-class KeptIds:
-    """Packed ids of recurring pieces of text, for a worker's lifetime.
-
-    ``encode`` takes a list of pieces and gives the packed ids of each. Bounded:
-    when the newer generation is full it becomes the older one, and what the
-    older one held is dropped unless it was asked for meanwhile. Pieces beyond
-    64 characters are not kept.
-    """
-
-    #: Bytes of text handled together: their distinct words are looked up once.
-    SHARE = 2_500_000
-
-    def __init__(self, encode: Callable[[list[str]], list[bytes]], half: int = 400_000):
-        self.encode, self.half = encode, half
-        self.newer: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
-
-    def keys(self, text: str) -> list[str] | None:
-        """A text as keys of pieces that can be encoded one by one; None if it
-        has to be encoded whole."""
-        raise NotImplementedError
-
-    def piece(self, key: str) -> str:
-        return key
-
-    def encode_new(self, keys: list[str]) -> list[bytes]:
-        return self.encode([self.piece(k) for k in keys])
-
-    def tail(self, marks: str) -> str:
-        """The key of marks that follow letters directly."""
-        return marks
-
-    def _fill(self, wanted: set[str]) -> dict[str, bytes]:
-        """Make sure that all wanted keys are held; returns those held only now.
-
-        Letters and the marks behind them are different pieces in every
-        vocabulary here, so a new key of both is put together from the two.
-        """
-        if len(self.newer) >= self.half:
-            self.newer, self.older = {}, self.newer
-        newer, older = self.newer, self.older
-        new, joined = [], []
-        for key in wanted - newer.keys():
-            ids = older.get(key)
-            if ids is not None:
-                newer[key] = ids
-            elif (parts := _LETTERS_MARKS.fullmatch(key)) is not None:
-                joined.append((key, parts[1], self.tail(parts[2])))
-            else:
-                new.append(key)
-        if joined:
-            for part in {p for _, *both in joined for p in both} - newer.keys() - set(new):
-                ids = older.get(part)
-                if ids is not None:
-                    newer[part] = ids
-                else:
-                    new.append(part)
-        now = dict(zip(new, self.encode_new(new))) if new else {}
-        newer.update((k, v) for k, v in now.items() if len(k) <= 64)
-        now = {k: v for k, v in now.items() if len(k) > 64}
-        for key, letters, marks in joined:
-            ids = (newer.get(letters) or now[letters]) + (newer.get(marks) or now[marks])
-            (newer if len(key) <= 64 else now)[key] = ids
-        return now
-
-    def texts(self, column: pa.Array) -> Iterator[bytes]:
-        sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
-        ends, at = np.cumsum(sizes), 0
-        while at < len(column):
-            # at least one text, else as many as fill a share
-            end = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + self.SHARE, "right")))
-            share = column.slice(at, end - at).to_pylist()
-            at = end
-            cut = [self.keys(t) if t else [] for t in share]
-            long = self._fill(set().union(*(k for k in cut if k)))
-            held = self.newer | long if long else self.newer
-            for text, keys in zip(share, cut):
-                yield self.encode([text])[0] if keys is None else b"".join(map(held.__getitem__, keys))
-
-
-class SpacedIds(KeptIds):
-    """Pieces for vocabularies that set the space before a word into its token.
-
-    No token spans the border between a visible character and the white space
-    after it, and a single space belongs to the word behind it. So a text with
-    single spaces and newlines only is cut before each of them. A key that
-    starts with neither newline nor NUL stands for itself after a space; one
-    that starts with NUL stands for what follows the NUL.
-    """
-
-    _UNUSUAL = ("  ", " \n", "\n\n", "\t", "\r")
+class BacktrackedPieces(SpacedPieces):
+    """Ids of texts whose recurring pieces this encoder has met before."""
 
-    def keys(self, text: str) -> list[str] | None:
-        if rare_space(text):
-            return None
-        if any(map(text.__contains__, self._UNUSUAL)):
-            return ["\0" + c for c in _CHUNK.findall(text)]
-        keys = text.replace("\n", " \n").split(" ")
-        if keys[0]:
-            keys[0] = "\0" + keys[0]
-        else:
-            del keys[0]
-        return keys
+    def __init__(self, bpe: ByteBpe):
+        super().__init__(list(bpe.special))
+        self.bpe = bpe
 
-    def tail(self, marks: str) -> str:
-        return "\0" + marks
+    def encode_whole(self, raw: bytes) -> np.ndarray:
+        return np.array(self.bpe.encode(raw.decode("utf-8")), np.uint32)
 
-    def piece(self, key: str) -> str:
-        return key[1:] if key[:1] == "\0" else key if key[:1] == "\n" else " " + key
+    def encode_pieces(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        made = [self.bpe.encode(p.decode("utf-8")) for p in pieces]
+        return np.arange(len(pieces)), np.array(list(chain.from_iterable(made)), np.uint32), np.array([len(m) for m in made], np.int64)
 
 
 def gather(ids: np.ndarray, blob: np.ndarray, offsets: np.ndarray) -> bytes:
@@ -306,13 +192,13 @@ def gather(ids: np.ndarray, blob: np.ndarray, offsets: np.ndarray) -> bytes:
     return blob[np.repeat(offsets[ids] - (ends - sizes), sizes) + np.arange(total)].tobytes()
 
 
-_LOADED: dict[str, tuple[ByteBpe, SpacedIds, np.ndarray, np.ndarray]] = {}
+_LOADED: dict[str, tuple[ByteBpe, BacktrackedPieces, np.ndarray, np.ndarray]] = {}
 
 
-def loaded(path: str) -> tuple[ByteBpe, SpacedIds, np.ndarray, np.ndarray]:
+def loaded(path: str) -> tuple[ByteBpe, BacktrackedPieces, np.ndarray, np.ndarray]:
     if path not in _LOADED:
         bpe = ByteBpe(path)
-        _LOADED[path] = (bpe, SpacedIds(bpe.packed), *bpe.offset_table())
+        _LOADED[path] = (bpe, BacktrackedPieces(bpe), *bpe.offset_table())
     return _LOADED[path]
 
 
@@ -327,7 +213,7 @@ def encode(df: DataFrame, vocabulary: str, text_col: str = "text", ids_col: str
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = loaded(vocabulary)[1]
         for batch in worker_for("bpe", batches):
-            rows = [np.frombuffer(ids, "<u4").astype(np.int32) for ids in cache.texts(batch.column(at))]
+            rows = [ids.astype(np.int32) for ids in cache.texts(batch.column(at))]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rows, pa.list_(pa.int32()))], [*batch.schema.names, ids_col])
 
     return df.mapInArrow(run, StructType([*df.schema, StructField(ids_col, ArrayType(IntegerType()))]))
@@ -366,11 +252,10 @@ def round_trip_digests(df: DataFrame, vocabulary: str, id_col: str = "doc_id", t
         sha = lambda b: hashlib.sha256(b).hexdigest()
         for batch in worker_for("bpe", batches):
             counts, of_ids, of_text = [], [], []
-            for raw in cache.texts(batch.column(1)):
-                ids = np.frombuffer(raw, "<u4").astype(np.int64)
-                decoded = gather(ids, blob, offsets).decode("utf-8", "replace")
+            for ids in cache.texts(batch.column(1)):
+                decoded = gather(ids.astype(np.int64), blob, offsets).decode("utf-8", "replace")
                 counts.append(len(ids))
-                of_ids.append(sha(raw))
+                of_ids.append(sha(ids.astype("<u4").tobytes()))
                 of_text.append(sha(decoded.encode("utf-8")))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(counts, pa.int64()), pa.array(of_ids, pa.string()), pa.array(of_text, pa.string())], names)
 

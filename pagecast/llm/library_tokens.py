@@ -1,97 +1,80 @@
-"""Ids from the tokenizers library, with the ids of recurring words kept."""
+"""Ids from the tokenizers library, with the ids of recurring pieces kept."""
 
 from __future__ import annotations
 
 import os
-import unicodedata
-from array import array
-from collections.abc import Callable
 
 import numpy as np
 
-from pagecast.llm.bpe import KeptIds, SpacedIds, rare_space
+from pagecast.llm.piecetable import LoweredPieces, PieceIds, SpacedPieces, in_one_call, two_ways
 
-_LOADED: dict[str, KeptIds] = {}
-#: Words in one generation of a worker's memory (two generations take some 100 MB).
-LIBRARY_HALF = 300_000
+_LOADED: dict[str, PieceIds] = {}
 
 
-def _in_one_call(encode: Callable[[list[str]], list[bytes]], text: str, edge: np.ndarray, ends: bool, number: int) -> list[bytes]:
-    """Ids of many words written one after the other, cut into the words' own.
+class _Library:
+    """The tokenizer and the two ways in which it is called."""
 
-    ``edge`` tells of each id whether it begins (or ends) a word.
-    """
-    raw = encode([text])[0]
-    marks = np.flatnonzero(edge[np.frombuffer(raw, "<u4")])
-    borders = marks + 1 if ends else np.append(marks[1:], len(raw) // 4)
-    if len(borders) != number:
-        raise ValueError("the words' pieces are not what was assumed")
-    cuts = [0, *(4 * borders).tolist()]
-    return [raw[a:b] for a, b in zip(cuts, cuts[1:])]
+    def __init__(self, path: str):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # one task, one core
+        from tokenizers import Tokenizer
+
+        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer.no_truncation()
+        self.tokenizer.no_padding()
+        self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.names = [self.tokenizer.id_to_token(i) or "" for i in range(self.tokenizer.get_vocab_size(with_added_tokens=True))]
+
+    def one(self, text: str) -> np.ndarray:
+        return self.many([text])[0]
+
+    def many(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
 
-class LibrarySpacedIds(SpacedIds):
+class LibrarySpaced(SpacedPieces):
     """New words go to the library in one text; a word begins where a token
     that holds the space does."""
 
-    def __init__(self, encode, starts: np.ndarray):
-        super().__init__(encode, LIBRARY_HALF)
-        self.starts = starts
+    def __init__(self, library: _Library):
+        super().__init__(library.special)
+        self.library = library
+        self.starts = np.array([n.startswith("Ġ") for n in library.names])
 
-    def encode_new(self, keys: list[str]) -> list[bytes]:
-        plain = [k for k in keys if k and k[0] not in "\0\n"]
-        other = [k for k in keys if not k or k[0] in "\0\n"]
-        found = dict(zip(plain, _in_one_call(self.encode, " " + " ".join(plain), self.starts, False, len(plain)))) if plain else {}
-        found.update(zip(other, super().encode_new(other)) if other else ())
-        return [found[k] for k in keys]
+    def encode_whole(self, raw: bytes) -> np.ndarray:
+        return self.library.one(raw.decode("utf-8"))
 
+    def encode_pieces(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        # white space stands only at a piece's front
+        words = [i for i, p in enumerate(pieces) if p[:1] == b" " and p[1:2].strip()]
+        return two_ways(words, len(pieces), lambda at: in_one_call(self.library.one, b"".join([pieces[i] for i in at]).decode(), self.starts, False, len(at)), lambda at: self.library.many([pieces[i].decode() for i in at]))
 
-class WordIds(KeptIds):
-    """Pieces for a vocabulary that drops white space: the words themselves.
-    Words of ASCII letters are one piece."""
 
-    def __init__(self, encode, ends: np.ndarray):
-        super().__init__(encode, LIBRARY_HALF)
-        self.ends = ends
+class LibraryLowered(LoweredPieces):
+    """New words of ASCII letters go to the library in one text; each ends with
+    the one token that holds the word end."""
 
-    def keys(self, text: str) -> list[str] | None:
-        # a combining mark at a word's start is left to the library in its context
-        if rare_space(text) or not text.isascii() and ("\u03a3" in text or not unicodedata.is_normalized("NFC", text)):
-            return None
-        # the vocabulary lower-cases; only the capital sigma does so by its place
-        return text.lower().split()
+    def __init__(self, library: _Library):
+        super().__init__(library.special)
+        self.library = library
+        self.ends = np.array([n.endswith("</w>") for n in library.names])
 
-    def encode_new(self, keys: list[str]) -> list[bytes]:
-        plain = [k for k in keys if k.isascii() and k.isalpha()]
-        other = [k for k in keys if not (k.isascii() and k.isalpha())]
-        found = dict(zip(plain, _in_one_call(self.encode, " ".join(plain), self.ends, True, len(plain)))) if plain else {}
-        found.update(zip(other, self.encode(other)) if other else ())
-        return [found[k] for k in keys]
+    def encode_whole(self, raw: bytes) -> np.ndarray:
+        return self.library.one(raw.decode("utf-8"))
 
+    def encode_pieces(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        words = [i for i, p in enumerate(pieces) if p.isalpha()]  # of bytes: ASCII letters only
+        return two_ways(words, len(pieces), lambda at: in_one_call(self.library.one, b" ".join([pieces[i] for i in at]).decode(), self.ends, True, len(at)), lambda at: self.library.many([pieces[i].decode() for i in at]))
 
-def library_ids(path: str) -> KeptIds:
+
+def library_ids(path: str) -> PieceIds:
     """The library's ids for the vocabulary file at ``path``, without
     truncation, padding or tokens added at the ends.
 
     Both kinds of vocabulary given cut a text into pieces ahead of the merges,
-    and their pieces end where white space begins, so the library encodes each
-    new word once, many in one call, and recurring words are joined from memory.
-    Texts with unusual white space go to the library whole.
+    so the library encodes each new piece once, many in one call, and recurring
+    pieces come from a table. Texts with unusual white space go to it whole.
     """
     if path not in _LOADED:
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # one task, one core
-        from tokenizers import Tokenizer
-
-        tokenizer = Tokenizer.from_file(path)
-        tokenizer.no_truncation()
-        tokenizer.no_padding()
-
-        def encode(texts: list[str]) -> list[bytes]:
-            return [array("I", e.ids).tobytes() for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
-
-        names = [tokenizer.id_to_token(i) or "" for i in range(tokenizer.get_vocab_size(with_added_tokens=True))]
-        if tokenizer.normalizer is None:
-            _LOADED[path] = LibrarySpacedIds(encode, np.array([n.startswith("\u0120") for n in names]))
-        else:
-            _LOADED[path] = WordIds(encode, np.array([n.endswith("</w>") for n in names]))
+        library = _Library(path)
+        _LOADED[path] = (LibrarySpaced if library.tokenizer.normalizer is None else LibraryLowered)(library)
     return _LOADED[path]

@@ -37,17 +37,17 @@ def pieces(df: DataFrame, vocabulary: str, end_id: int, limit: int, id_col: str,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids_of = library_ids(vocabulary)
-        end = np.array([end_id], "<u4").tobytes()
+        end = np.array([end_id], "<u4")
         for batch in worker_for("library", batches):
             row, start, length, crc, total = [], [], [], [], []
-            for i, raw in enumerate(ids_of.texts(batch.column(1))):
-                raw += end
-                n = len(raw) // 4
+            for i, ids in enumerate(ids_of.texts(batch.column(1))):
+                ids = np.concatenate([ids, end])
+                n = len(ids)
                 for at in range(0, n, limit):
-                    part = raw[4 * at : 4 * (at + limit)]
+                    part = ids[at : at + limit]
                     row.append(i)
                     start.append(at)
-                    length.append(len(part) // 4)
+                    length.append(len(part))
                     crc.append(zlib.crc32(part))
                     total.append(n)
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int64())), *(pa.array(c, pa.int64()) for c in (start, length, crc, total))], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])

@@ -112,11 +112,11 @@ def write(df: DataFrame, folder: str, vocabulary: str, end_id: int = 0, id_col:
 
     def ids_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = library_ids(vocabulary)
-        end = np.array([end_id], "<u4").tobytes()
+        end = np.array([end_id], "<u4")
         for batch in worker_for("library", batches):
             packed = []
-            for raw in held.texts(batch.column(1)):
-                ids = np.frombuffer(raw + end, "<u4")
+            for ids in held.texts(batch.column(1)):
+                ids = np.concatenate([ids, end])
                 # the narrower form where all ids of the text fit
                 packed.append(b"\2" + ids.astype("<u2").tobytes() if ids.max() < 1 << 16 else b"\4" + ids.tobytes())
             part = [0 if d is None else int(np.searchsorted(bounds, d, "right")) for d in batch.column(0).to_pylist()]

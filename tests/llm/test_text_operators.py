@@ -33,7 +33,7 @@ def test_encoders_equal_the_library():
     import pyarrow as pa
 
     texts = random_texts()
-    own, lib_byte, lib_word = bpe.SpacedIds(bpe.ByteBpe(BYTE).packed), library_ids(BYTE), library_ids(WORD)
+    own, lib_byte, lib_word = bpe.BacktrackedPieces(bpe.ByteBpe(BYTE)), library_ids(BYTE), library_ids(WORD)
     for kept, path in ((own, BYTE), (lib_byte, BYTE), (lib_word, WORD)):
         t = Tokenizer.from_file(path)
         for text, ids in zip(texts, kept.texts(pa.array(texts))):
