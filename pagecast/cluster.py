@@ -9,6 +9,7 @@ a local checkpoint: a lost executor then costs a re-read, not the job.
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 import zipfile
@@ -56,6 +57,13 @@ class Written:
         drop_path(self.spark, self.path)
 
 
+def full_address(spark: SparkSession, path: str) -> str:
+    """The path with its file system, as workers outside the JVM need it."""
+    home = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    address = home.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(home).toString()
+    return re.sub(r"^file:/+", "file:///", address)
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
