@@ -178,13 +178,6 @@ def chebyshev(spark, d):
     return _bounds(spark, d, "chebyshev")
 
 
-@query("q_m21_weight_view")
-def weight_view(spark, d):
-    p = pagematrix.build(_orders(spark, d), 10)
-    m = factor.train(p, 20, ModelConfig(w=10))
-    return answers.weight_view(m, 3).select("cohort", "moment", F.size("beta").alias("n"), "n_models")
-
-
 @query("q_m22_running", f"WITH {OBS} SELECT series_id, step, round(avg(value) OVER (PARTITION BY series_id ORDER BY step ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 4) + 0.0 AS mean FROM obs")
 def running(spark, d):
     return answers.running_mean(_orders(spark, d)).select("series_id", "step", R("mean").alias("mean"))
@@ -225,43 +218,6 @@ def windows_full_rank(spark, d):
     return answers.impute(p, m, 40, 6).select("series_id", "step", R("mean", 2).alias("mean"))
 
 
-@query("q_m29_task", "SELECT range AS step, CASE WHEN range < 2405 THEN 'impute' ELSE 'forecast' END AS task FROM range(2395, 2415)")
-def task(spark, d):
-    from pagecast.plans.engine import task_of
-
-    return spark.range(2395, 2415).select(F.col("id").alias("step"), task_of(F.col("id"), 2405).alias("task"))
-
-
-@query("q_m30_create")
-def create(spark, d):
-    engine = Engine(spark)
-    engine.create_model("m", _orders(spark, d), ModelConfig(capacity=4000))
-    return engine.cost_report("m")
-
-
-@query("q_m31_predict")
-def predict(spark, d):
-    engine = Engine(spark)
-    engine.create_model("m", _orders(spark, d), ModelConfig(w=20))
-    return engine.predict("m", 2390, 2410)
-
-
-@query("q_m31_point")
-def point(spark, d):
-    engine = Engine(spark)
-    long = _orders(spark, d)
-    engine.create_model("m", long, ModelConfig(w=20, capacity=4000), keep_right=True)
-    return engine.point("m", long.select("cohort", "series_id", "step"))
-
-
-@query("q_m31_statement")
-def statement(spark, d):
-    series.table(spark, d, "orders").createOrReplaceTempView("pagecast_orders")
-    engine = Engine(spark)
-    sqlfront.run(engine, "CREATE PREDICTION MODEL m ON pagecast_orders (o_totalprice) TIME o_orderdate EVERY '1 day' USING mean ORIGIN '1995-01-01' WITH (w = 20)")
-    return sqlfront.run(engine, "PREDICT o_totalprice FROM m WHERE step BETWEEN 2400 AND 2410 CONFIDENCE 90 INTERVAL chebyshev")
-
-
 @query("q_m32_select", "SELECT o_orderpriority, count(*) AS n FROM orders GROUP BY 1")
 def select(spark, d):
     series.table(spark, d, "orders").createOrReplaceTempView("pagecast_orders")
@@ -320,12 +276,6 @@ def bounds(spark, d):
 
 
 # ---------------------------------------------------------------------- baselines
-@query("q_b07_trend", f"WITH {OBS} SELECT series_id, round(regr_slope(value, step), 4) + 0.0 AS slope, round(regr_intercept(value, step), 2) + 0.0 AS intercept FROM obs GROUP BY 1")
-def trend(spark, d):
-    """The additive model without seasons and change points."""
-    return _orders(spark, d).groupBy("series_id").agg(R(F.regr_slope("value", "step")).alias("slope"), R(F.regr_intercept("value", "step"), 2).alias("intercept"))
-
-
 @query("q_b09_insert", "SELECT count(*) AS n, CAST(sum(o_orderkey) AS BIGINT) AS keys FROM orders")
 def insert(spark, d):
     from pagecast.cluster import scratch_path
@@ -526,3 +476,6 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     engine = Engine(spark)
     engine.create_model("prices", series.orders_by_priority(spark, sf_dir), ModelConfig(w=20))
     return engine.predict("prices", 2380, 2410)
+
+
+from pagecast import engine_queries  # noqa: E402, F401  (registers its queries)

@@ -43,11 +43,11 @@ def scratch_path(spark: SparkSession, label: str) -> str:
 class Written:
     """A table written to the scratch folder; ``df`` reads it back."""
 
-    def __init__(self, df: DataFrame, label: str):
+    def __init__(self, df: DataFrame, label: str, compression: str = "snappy"):
         self.spark = df.sparkSession
         self.path = scratch_path(self.spark, label)
         self.schema = df.schema
-        df.write.parquet(self.path)
+        df.write.option("compression", compression).parquet(self.path)
 
     @property
     def df(self) -> DataFrame:
@@ -57,6 +57,11 @@ class Written:
         drop_path(self.spark, self.path)
 
 
+def exists(spark: SparkSession, path: str) -> bool:
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(target)
+
+
 def full_address(spark: SparkSession, path: str) -> str:
     """The path with its file system, as workers outside the JVM need it."""
     home = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)

@@ -8,59 +8,78 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pagecast.functions.mathfn import dot, shift_append
-from pagecast.operators.segments import models_of_half
 
 
-def denoise(pages: DataFrame, models: DataFrame, half_pages: int, rate: float = 1.0) -> DataFrame:
-    """(cohort, series_id, page, moment, est): each page projected on the left
-    vectors of the sub-models that cover it, averaged over them. Nothing of the
-    size of the data is stored for this; a page is its own right vector."""
-    newest = models.groupBy("cohort").agg(F.max("model_idx").alias("newest"))
-    half = F.floor(F.col("page") / half_pages).cast("bigint")
-    placed = pages.join(newest, "cohort").withColumn("model_idx", F.explode(models_of_half(half, F.col("newest"))))
-    both = placed.join(models.select("cohort", "model_idx", "moment", "u"), ["cohort", "model_idx"])
-    z = F.when(F.col("moment") == 1, F.col("vals")).otherwise(F.col("sq"))
-    if rate != 1.0:
-        z = F.transform(z, lambda x: x / F.lit(rate))
-    project = F.aggregate("u", F.transform("z", lambda x: F.lit(0.0)), lambda total, u: F.zip_with(total, F.transform(u, lambda x: x * dot(u, F.col("z"))), lambda a, b: a + b))
-    one = both.withColumn("z", z).select("cohort", "series_id", "page", "moment", "model_idx", project.alias("est"))
-    lists = one.groupBy("cohort", "series_id", "page", "moment").agg(F.collect_list("est").alias("e"))  # one or two
-    mean = F.transform(F.element_at("e", 1), lambda x, i: F.aggregate("e", F.lit(0.0), lambda t, v: t + F.element_at(v, i + 1)) / F.size("e"))
-    return lists.select("cohort", "series_id", "page", "moment", mean.alias("est"))
+def projectors(models: DataFrame) -> DataFrame:
+    """(cohort, half, m1, m2): the left vectors and shares of the one or two
+    sub-models that contain a half window, for both moments side by side."""
+    spread = models.select("cohort", "model_idx", "moment", "share", "u", F.explode(F.array(F.col("model_idx"), F.col("model_idx") + 1)).alias("half"))
+    of = F.struct("model_idx", "share", "u")
+    pick = lambda m: F.array_sort(F.collect_list(F.when(F.col("moment") == m, of))).alias(f"m{m}")
+    return spread.groupBy("cohort", "half").agg(pick(1), pick(2))
+
+
+def _projected(z: Column, listed: Column) -> Column:
+    """z projected on the left vectors of each listed sub-model, on average."""
 
+    def one(model: Column) -> Column:
+        inside = F.transform(model["u"], lambda u: dot(u, z) / model["share"])
+        scaled = F.zip_with(model["u"], inside, lambda u, c: F.transform(u, lambda x: x * c))
+        return F.aggregate(scaled, F.transform(z, lambda _: F.lit(0.0)), lambda total, u: F.zip_with(total, u, lambda a, b: a + b))
 
-def _by_moment(rows: DataFrame, keys: list[str], value: str) -> DataFrame:
-    """mean and second moment side by side, variance = second - mean^2, clipped."""
-    pick = lambda m: F.max(F.when(F.col("moment") == m, F.col(value)))
-    wide = rows.groupBy(*keys).agg(pick(1).alias("mean"), pick(2).alias("second"))
-    return wide.select(*keys, "mean", clip(F.col("second") - F.col("mean") * F.col("mean")).alias("variance"))
+    each = F.transform(listed, one)
+    total = F.aggregate(F.slice(each, 2, 1), F.element_at(each, 1), lambda a, b: F.zip_with(a, b, lambda x, y: x + y))
+    return F.transform(total, lambda x: x / F.size(listed))
+
+
+def denoise(pages: DataFrame, models: DataFrame, half_pages: int, second: bool = True) -> DataFrame:
+    """The columns of ``pages`` (cohort, page, vals...) and est1 (, est2): each
+    page's values (and squares) projected on the left vectors of the sub-models
+    that cover it, averaged over them. A page is its own right vector, so
+    nothing of the size of the data is stored for this; one equi-join by half
+    window brings the vectors, and everything else is an expression of the row.
+    """
+    half = F.floor(F.col("page") / half_pages).cast("bigint")
+    both = pages.withColumn("half", half).join(projectors(models), ["cohort", "half"])
+    squares = F.transform("vals", lambda x: x * x)
+    est = {"est1": _projected(F.col("vals"), F.col("m1"))} | ({"est2": _projected(squares, F.col("m2"))} if second else {})
+    return both.withColumns(est).drop("m1", "m2", "half")
 
 
 def clip(variance: Column) -> Column:
     return F.greatest(F.lit(0.0), variance)
 
 
-def impute(pages: DataFrame, models: DataFrame, half_pages: int, w: int, rate: float = 1.0) -> DataFrame:
+def flattened(pages: DataFrame, w: int, keys: list[str], second: bool = True) -> DataFrame:
+    """(keys, page, step, mean(, variance)) from est1 and est2: variance is the
+    second moment minus the squared mean, never below zero."""
+    zipped = F.arrays_zip("est1", "est2") if second else F.arrays_zip("est1")
+    cells = pages.select(*keys, "page", F.posexplode(zipped).alias("row", "e"))
+    mean = F.col("e.est1")
+    more = [clip(F.col("e.est2") - mean * mean).alias("variance")] if second else []
+    return cells.select(*keys, (F.col("page") * w + F.col("row")).alias("step"), mean.alias("mean"), *more)
+
+
+def impute(pages: DataFrame, models: DataFrame, half_pages: int, w: int) -> DataFrame:
     """(cohort, series_id, step, mean, variance) of every step that has a page."""
-    est = denoise(pages, models, half_pages, rate)
-    cells = est.select("cohort", "series_id", "page", "moment", F.posexplode("est").alias("row", "value"))
-    cells = cells.withColumn("step", F.col("page") * w + F.col("row"))
-    return _by_moment(cells, ["cohort", "series_id", "step"], "value")
+    return flattened(denoise(pages, models, half_pages), w, ["cohort", "series_id"])
 
 
 def lookup(asks: DataFrame, models: DataFrame, right: DataFrame, half_pages: int, w: int) -> DataFrame:
-    """Point answers from stored factors: asks(cohort, series_id, step) meet one
-    row of the left vectors and one of the right, per covering sub-model, by
+    """Point answers from stored factors: asks(cohort, series_id, step, ...) meet
+    one row of the left vectors and one of the right, per covering sub-model, by
     equi-joins; the products are summed and averaged over the sub-models."""
-    newest = models.groupBy("cohort").agg(F.max("model_idx").alias("newest"))
+    from pagecast.operators.factor import to_models
+
     page = F.floor(F.col("step") / w).cast("bigint")
-    placed = asks.join(newest, "cohort").withColumn("page", page).withColumn("model_idx", F.explode(models_of_half(F.floor(page / half_pages).cast("bigint"), F.col("newest"))))
+    placed = to_models(asks.withColumn("page", page).withColumn("half", F.floor(page / half_pages).cast("bigint")))
     both = placed.join(right, ["cohort", "model_idx", "series_id", "page"]).join(models.select("cohort", "model_idx", "moment", "u", "s"), ["cohort", "model_idx", "moment"])
     row = (F.col("step") % w + 1).cast("int")
     left = F.transform("u", lambda u: F.element_at(u, row))
     value = dot(F.zip_with(left, "s", lambda a, b: a * b), F.col("v"))
-    averaged = both.select("cohort", "series_id", "step", "moment", value.alias("x")).groupBy("cohort", "series_id", "step", "moment").agg(F.avg("x").alias("x"))
-    return _by_moment(averaged, ["cohort", "series_id", "step"], "x")
+    pick = lambda m: F.avg(F.when(F.col("moment") == m, F.col("x")))
+    wide = both.select(*asks.columns, "moment", value.alias("x")).groupBy(*asks.columns).agg(pick(1).alias("mean"), pick(2).alias("second"))
+    return wide.select(*asks.columns, "mean", clip(F.col("second") - F.col("mean") * F.col("mean")).alias("variance"))
 
 
 def weight_view(models: DataFrame, average: int) -> DataFrame:
@@ -82,15 +101,15 @@ def history(long: DataFrame, w: int, at: DataFrame) -> DataFrame:
     return out.select("cohort", "series_id", "now", lags.alias("lags"), F.transform(lags, lambda x: x * x).alias("lags2"))
 
 
-def roll(lags: Column, beta: Column, horizon: int) -> Column:
-    """Predicted values of the next steps, each fed back, as an array."""
+def roll(lags: Column, beta: Column, horizon: int | Column) -> Column:
+    """Predicted values of the next steps (at least one), each fed back, as an array."""
     start = F.struct(lags.alias("l"), F.array().cast("array<double>").alias("out"))
 
     def step(state: Column, _: Column) -> Column:
         value = dot(state["l"], beta)
         return F.struct(shift_append(state["l"], value).alias("l"), F.concat(state["out"], F.array(value)).alias("out"))
 
-    return F.aggregate(F.sequence(F.lit(1), F.lit(horizon)), start, step, lambda s: s["out"])
+    return F.aggregate(F.sequence(F.lit(1).cast("bigint"), (F.lit(horizon) if isinstance(horizon, int) else horizon).cast("bigint")), start, step, lambda s: s["out"])
 
 
 def forecast(long: DataFrame, weights: DataFrame, w: int, horizon: int, at: DataFrame | None = None) -> DataFrame:

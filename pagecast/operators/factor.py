@@ -2,7 +2,9 @@
 
 Two ways lead to the same factors. 'gram' adds up the outer products of the
 pages (w x w numbers, whatever the number of pages) and takes the eigenvectors:
-partial sums are made where the pages lie and merged, so no page is shuffled.
+pages are dealt by half window (with a salt that follows the pages of a half),
+a task adds up one half window after the other, and the partial sums, a bounded
+number for each half, go to the sub-models that contain it.
 'local' gathers one sub-model's pages, at most its capacity, and calls LAPACK.
 'power' iterates a block of vectors over the pages, and 'mllib' is Spark's own
 row matrix, for comparison.
@@ -19,13 +21,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pagecast.cluster import ship
-from pagecast.operators.segments import last_model, models_of_half
 from pagecast.plans.config import ModelConfig
 
 MODEL_SCHEMA = (
     "cohort string, model_idx bigint, moment int, w int, r_impute int, r_forecast int, pages bigint, seen bigint,"
-    " u array<array<double>>, s array<double>, uf array<array<double>>, sf array<double>, weights array<double>"
+    " share double, u array<array<double>>, s array<double>, uf array<array<double>>, sf array<double>, border array<double>, weights array<double>"
 )
+GRAM_SCHEMA = "cohort string, half bigint, moment int, g binary, pages bigint, seen bigint"
 FLOOR = 1e-8
 
 
@@ -76,7 +78,7 @@ def _factors(w, pages, seen, u, s, uf, sf, border) -> dict:
     coefficient[usable] = (uf.T @ border)[usable] / sf[usable] ** 2
     return {
         "w": w, "r_impute": u.shape[1], "r_forecast": uf.shape[1], "pages": pages, "seen": seen,
-        "u": [c.tolist() for c in u.T], "s": s.tolist(), "uf": [c.tolist() for c in uf.T], "sf": sf.tolist(), "weights": (uf @ coefficient).tolist(),
+        "u": [c.tolist() for c in u.T], "s": s.tolist(), "uf": [c.tolist() for c in uf.T], "sf": sf.tolist(), "border": np.asarray(border).tolist(), "weights": (uf @ coefficient).tolist(),
     }
 
 
@@ -90,48 +92,69 @@ def from_pages(z: np.ndarray, seen: int, config: ModelConfig) -> dict:
     return _factors(w, n, seen, canonical(u)[:, :r1], s[:r1], canonical(uf)[:, :r2], sf[:r2], z[:-1] @ z[-1])
 
 
-def gram_rows(pages: DataFrame, half_pages: int) -> DataFrame:
-    """(cohort, half, moment, g: w*w doubles as binary, pages, seen) of each half
-    window: partial sums per task, merged by one small shuffle."""
+def moments(batch: pa.RecordBatch) -> list[np.ndarray]:
+    """Zero-filled values and their squares (rows x w) of a batch of pages;
+    where the batch has ``mu`` and ``sd``, of the standardised values."""
+    x = batch.column("vals").flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(batch), -1)
+    if "mu" in batch.schema.names:
+        mu, sd = (np.asarray(batch.column(c), float)[:, None] for c in ("mu", "sd"))
+        x = (x - mu) / sd
+    x = np.nan_to_num(x, nan=0.0)
+    return [x, x * x]
+
+
+def gram_rows(pages: DataFrame, half_pages: int, sign: int = 1) -> DataFrame:
+    """(cohort, half, moment, g: w*w doubles as binary, pages, seen): partial sums.
+
+    Pages that lie by (cohort, half, salt) already, as ``pagematrix.gathered``
+    and the stored table have them, are read as they lie; others are dealt so
+    first. A task holds the sums of one key at a time and gives them away when
+    the next key begins.
+    """
     ship(pages.sparkSession)
+    if "salt" not in pages.columns:
+        pages = pages.withColumn("half", F.floor(F.col("page") / half_pages).cast("bigint")).withColumn("salt", F.pmod(F.xxhash64("series_id", F.floor(F.col("page") / 64)), F.lit(16)).cast("int"))
+        pages = pages.repartition("cohort", "half", "salt").sortWithinPartitions("cohort", "half")
+    out = pa.schema([("cohort", pa.string()), ("half", pa.int64()), ("moment", pa.int32()), ("g", pa.binary()), ("pages", pa.int64()), ("seen", pa.int64())])
 
     def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total: dict[tuple[str, int], list] = {}
+        key, g, number, seen = None, [0.0, 0.0], 0, 0
+
+        def done() -> pa.RecordBatch:
+            return pa.RecordBatch.from_pylist([{"cohort": key[0], "half": key[1], "moment": m + 1, "g": (sign * g[m]).tobytes(), "pages": sign * number, "seen": sign * seen} for m in (0, 1)], schema=out)
+
         for batch in batches:
             if not len(batch):
                 continue
-            cohort, half, seen = (batch.column(k).to_pylist() for k in (0, 1, 4))
-            x = [np.asarray(batch.column(k).flatten()).reshape(len(batch), -1) for k in (2, 3)]
-            keys = {}
-            for i, key in enumerate(zip(cohort, half)):
-                keys.setdefault(key, []).append(i)
-            for key, at in keys.items():
-                held = total.setdefault(key, [0.0, 0.0, 0, 0])
-                for m in (0, 1):
-                    part = x[m][at]
-                    held[m] = held[m] + part.T @ part
-                held[2] += len(at)
-                held[3] += sum(seen[i] for i in at)
-        rows = [(c, h, m + 1, held[m].tobytes(), held[2], held[3]) for (c, h), held in total.items() for m in (0, 1)]
-        yield pa.RecordBatch.from_pylist([dict(zip(("cohort", "half", "moment", "g", "pages", "seen"), r)) for r in rows], schema=pa.schema([("cohort", pa.string()), ("half", pa.int64()), ("moment", pa.int32()), ("g", pa.binary()), ("pages", pa.int64()), ("seen", pa.int64())]))
-
-    def merge(key, frame: pd.DataFrame) -> pd.DataFrame:
-        g = sum(np.frombuffer(b) for b in frame["g"])
-        return pd.DataFrame([(*key, g.tobytes(), int(frame["pages"].sum()), int(frame["seen"].sum()))], columns=["cohort", "half", "moment", "g", "pages", "seen"])
-
-    schema = "cohort string, half bigint, moment int, g binary, pages bigint, seen bigint"
-    cut = pages.select("cohort", F.floor(F.col("page") / half_pages).cast("bigint").alias("half"), "vals", "sq", "seen")
-    return cut.mapInArrow(partial, schema).groupBy("cohort", "half", "moment").applyInPandas(merge, schema)
-
-
-def merge_gram(a: DataFrame, b: DataFrame) -> DataFrame:
-    """Exact update: the Gram rows of old and new pages added up."""
+            cohort, half = batch.column("cohort").to_pylist(), np.asarray(batch.column("half"))
+            x, count = moments(batch), np.asarray(batch.column("seen"))
+            cuts = [0, *(i for i in range(1, len(batch)) if half[i] != half[i - 1] or cohort[i] != cohort[i - 1]), len(batch)]
+            for a, b in zip(cuts, cuts[1:]):
+                own = (cohort[a], int(half[a]))
+                if own != key:
+                    if number:
+                        yield done()
+                    key, g, number, seen = own, [0.0, 0.0], 0, 0
+                g = [total + part[a:b].T @ part[a:b] for total, part in zip(g, x)]
+                number, seen = number + b - a, seen + int(count[a:b].sum())
+        if number:
+            yield done()
+
+    own = [c for c in ("mu", "sd") if c in pages.columns]
+    return pages.select("cohort", "half", "vals", "seen", *own).mapInArrow(partial, GRAM_SCHEMA)
+
+
+def merge_gram(*parts: DataFrame) -> DataFrame:
+    """One row per (cohort, half, moment): all parts added up."""
 
     def merge(key, frame: pd.DataFrame) -> pd.DataFrame:
         g = sum(np.frombuffer(x) for x in frame["g"])
         return pd.DataFrame([(*key, g.tobytes(), int(frame["pages"].sum()), int(frame["seen"].sum()))], columns=["cohort", "half", "moment", "g", "pages", "seen"])
 
-    return a.unionByName(b).groupBy("cohort", "half", "moment").applyInPandas(merge, "cohort string, half bigint, moment int, g binary, pages bigint, seen bigint")
+    every = parts[0]
+    for more in parts[1:]:
+        every = every.unionByName(more)
+    return every.groupBy("cohort", "half", "moment").applyInPandas(merge, GRAM_SCHEMA)
 
 
 def gram_cells(pages: DataFrame, column: str = "vals") -> DataFrame:
@@ -141,40 +164,66 @@ def gram_cells(pages: DataFrame, column: str = "vals") -> DataFrame:
     return two.groupBy("cohort", "i", "j").agg(F.sum(F.col("x") * F.col("y")).alias("g"))
 
 
-def _to_models(halves: DataFrame) -> DataFrame:
-    """Each half window's rows, once for every sub-model that contains it."""
-    newest = halves.groupBy("cohort").agg(last_model(F.max("half") + 1).alias("newest"))
-    return halves.join(newest, "cohort").withColumn("model_idx", F.explode(models_of_half(F.col("half"), F.col("newest")))).drop("newest")
+def to_models(halves: DataFrame) -> DataFrame:
+    """Each half window's rows, for the two sub-models that may contain it."""
+    both = F.filter(F.array(F.col("half") - 1, F.col("half")), lambda m: m >= 0)
+    return halves.withColumn("model_idx", F.explode(both))
+
+
+def whole(model_idx: int, halves) -> bool:
+    """A sub-model after the first needs its second half: its first alone is
+    the second of the one before."""
+    return model_idx == 0 or model_idx + 1 in set(halves)
+
+
+def solve(halves: DataFrame, config: ModelConfig, only: DataFrame | None = None) -> DataFrame:
+    """Factors of all sub-models from (partial) Gram rows: the parts go to their
+    sub-models in one shuffle and are added up there. ``only`` (cohort,
+    model_idx) names the sub-models to solve."""
+
+    def one(key, frame: pd.DataFrame) -> pd.DataFrame:
+        if not whole(key[1], frame["half"]):
+            return pd.DataFrame()
+        n, seen = int(frame["pages"].sum()), int(frame["seen"].sum())
+        if n <= 0:
+            return pd.DataFrame()
+        flat = sum(np.frombuffer(b) for b in frame["g"])
+        w = round(len(flat) ** 0.5)
+        share = share_of(config, seen, n * w)
+        found = from_gram(flat.reshape(w, w) / share**2, n, seen, config)
+        return pd.DataFrame([{"cohort": key[0], "model_idx": key[1], "moment": key[2], "share": share, **found}])
+
+    parts = to_models(halves)
+    if only is not None:
+        parts = parts.join(only, ["cohort", "model_idx"], "left_semi")
+    return parts.groupBy("cohort", "model_idx", "moment").applyInPandas(one, MODEL_SCHEMA)
+
+
+def share_of(config: ModelConfig, seen: int, cells: int) -> float:
+    """What zero-filled cells are divided by: the observed share of a
+    sub-model's pages where ``fill`` asks for it."""
+    return seen / cells if config.fill == "inverse_rate" and seen else 1.0
 
 
 def train(pages: DataFrame, half_pages: int, config: ModelConfig) -> DataFrame:
     """One row per (cohort, model_idx, moment) with its factors and weights."""
     ship(pages.sparkSession)
-
-    def scaled(matrix: np.ndarray, seen: int, cells: int, power: int) -> np.ndarray:
-        return matrix / (seen / cells) ** power if config.fill == "inverse_rate" and seen else matrix
-
     if config.backend == "gram":
-        halves = gram_rows(pages, half_pages)
-
-        def solve(key, frame: pd.DataFrame) -> pd.DataFrame:
-            n, seen = int(frame["pages"].sum()), int(frame["seen"].sum())
-            flat = sum(np.frombuffer(b) for b in frame["g"])
-            w = round(len(flat) ** 0.5)
-            found = from_gram(scaled(flat.reshape(w, w), seen, n * w, 2), n, seen, config)
-            return pd.DataFrame([{"cohort": key[0], "model_idx": key[1], "moment": key[2], **found}])
-    elif config.backend == "local":
-        cut = pages.select("cohort", F.floor(F.col("page") / half_pages).cast("bigint").alias("half"), "series_id", "page", "vals", "sq", "seen")
-        halves = cut.select("cohort", "half", "series_id", "page", "seen", F.explode(F.array(F.struct(F.lit(1).alias("moment"), F.col("vals").alias("v")), F.struct(F.lit(2).alias("moment"), F.col("sq").alias("v")))).alias("m")).select("*", "m.moment", "m.v").drop("m")
-
-        def solve(key, frame: pd.DataFrame) -> pd.DataFrame:
-            frame = frame.sort_values(["series_id", "page"])
-            z, seen = np.stack(frame["v"].to_list()).T, int(frame["seen"].sum())
-            found = from_pages(scaled(z, seen, z.size, 1), seen, config)
-            return pd.DataFrame([{"cohort": key[0], "model_idx": key[1], "moment": key[2], **found}])
-    else:
+        return solve(gram_rows(pages, half_pages), config)
+    if config.backend != "local":
         raise ValueError(f"unknown backend {config.backend}")
-    return _to_models(halves).groupBy("cohort", "model_idx", "moment").applyInPandas(solve, MODEL_SCHEMA)
+
+    def one(key, frame: pd.DataFrame) -> pd.DataFrame:
+        if not whole(key[1], frame["half"]):
+            return pd.DataFrame()
+        frame = frame.sort_values(["series_id", "page"])
+        z, seen = np.nan_to_num(np.stack(frame["vals"].to_list()).astype(float)).T, int(frame["seen"].sum())
+        share = share_of(config, seen, z.size)
+        found = [from_pages(m / share, seen, config) for m in (z, z * z)]
+        return pd.DataFrame([{"cohort": key[0], "model_idx": key[1], "moment": k + 1, "share": share, **f} for k, f in enumerate(found)])
+
+    cut = pages.select("cohort", F.floor(F.col("page") / half_pages).cast("bigint").alias("half"), "series_id", "page", "vals", "seen")
+    return to_models(cut).groupBy("cohort", "model_idx").applyInPandas(one, MODEL_SCHEMA)
 
 
 def power_iterate(pages: DataFrame, rank: int, rounds: int = 30, tolerance: float = 1e-9, column: str = "vals") -> tuple[np.ndarray, np.ndarray]:
@@ -216,19 +265,38 @@ def svd_mllib(pages: DataFrame, rank: int, column: str = "vals") -> np.ndarray:
     return np.array(RowMatrix(rows).computeSVD(rank).s.toArray())
 
 
-def update_columns(u: np.ndarray, s: np.ndarray, v: np.ndarray, new: np.ndarray, rank: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Factors of [old | new columns] from the old factors: the new columns are
-    split into what the old vectors span and a rest, and a small matrix of the
-    coefficients is factorised in their place."""
+def grown_left(u: np.ndarray, s: np.ndarray, new: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Left vectors and singular values of [old | new columns] from the old ones
+    alone: the new columns are split into what the old vectors span and a rest,
+    and a small matrix of the coefficients is factorised in their place. Also
+    gives that factorisation's vectors."""
     inside = u.T @ new
-    rest = new - u @ inside
-    q, upper = np.linalg.qr(rest)
+    q, upper = np.linalg.qr(new - u @ inside)
     small = np.block([[np.diag(s), inside], [np.zeros((q.shape[1], len(s))), upper]])
     a, values, b = np.linalg.svd(small, full_matrices=False)
+    return np.hstack([u, q]) @ a, values, a, b
+
+
+def update_columns(u: np.ndarray, s: np.ndarray, v: np.ndarray, new: np.ndarray, rank: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Factors of [old | new columns] from the old factors, truncated."""
+    left, values, _, b = grown_left(u, s, new)
     k = min(rank, len(values))
-    left = np.hstack([u, q]) @ a[:, :k]
     right = np.block([[v, np.zeros((len(v), new.shape[1]))], [np.zeros((new.shape[1], v.shape[1])), np.eye(new.shape[1])]]) @ b.T[:, :k]
-    return left, values[:k], right
+    return left[:, :k], values[:k], right
+
+
+def widen(model: dict, new: np.ndarray, seen: int, config: ModelConfig) -> dict:
+    """A stored sub-model (one row) after its pages gained columns (w x n).
+    Ranks stay as they were chosen by the last full solve."""
+    w, n = int(model["w"]), int(model["pages"]) + new.shape[1]
+    stack = lambda rows, height: np.array([np.asarray(r, float) for r in rows]).reshape(-1, height).T
+    parts = []
+    for left, values, rank, columns in (("u", "s", "r_impute", new), ("uf", "sf", "r_forecast", new[:-1])):
+        u, s, *_ = grown_left(stack(model[left], len(columns)), np.asarray(model[values], float), columns)
+        k = min(int(model[rank]), len(s))
+        parts += [canonical(u[:, :k]), s[:k]]
+    border = np.asarray(model["border"], float) + new[:-1] @ new[-1]
+    return _factors(w, n, int(model["seen"]) + seen, *parts, border)
 
 
 def fold_in(u: np.ndarray, s: np.ndarray, v: np.ndarray, new: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -237,13 +305,13 @@ def fold_in(u: np.ndarray, s: np.ndarray, v: np.ndarray, new: np.ndarray) -> tup
 
 
 def right_vectors(pages: DataFrame, models: DataFrame, half_pages: int) -> DataFrame:
-    """(cohort, model_idx, moment, series_id, page, v) for stored look-ups."""
+    """(cohort, model_idx, moment, series_id, page, v) for stored look-ups. Pages
+    hold zero-filled values (standardised where the model is)."""
     from pagecast.functions.mathfn import dot
 
-    newest = models.groupBy("cohort").agg(F.max("model_idx").alias("newest"))
     half = F.floor(F.col("page") / half_pages).cast("bigint")
-    placed = pages.join(newest, "cohort").withColumn("model_idx", F.explode(models_of_half(half, F.col("newest"))))
-    both = placed.join(models.select("cohort", "model_idx", "moment", "u", "s"), ["cohort", "model_idx"])
-    z = F.when(F.col("moment") == 1, F.col("vals")).otherwise(F.col("sq"))
+    placed = to_models(pages.select("cohort", "series_id", "page", "vals", half.alias("half")))
+    both = placed.join(models.select("cohort", "model_idx", "moment", "share", "u", "s"), ["cohort", "model_idx"])
+    z = F.transform("vals", lambda x: F.when(F.col("moment") == 1, x).otherwise(x * x) / F.col("share"))
     v = F.zip_with("u", "s", lambda u, s: F.when(s > 0, dot(u, F.col("z")) / s).otherwise(0.0))
     return both.withColumn("z", z).select("cohort", "model_idx", "moment", "series_id", "page", v.alias("v"))

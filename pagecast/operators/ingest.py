@@ -22,12 +22,39 @@ def seconds(interval: str) -> int:
     return count * _UNITS[unit]
 
 
+def is_number(text: str) -> bool:
+    try:
+        return float(text) is not None
+    except ValueError:
+        return False
+
+
 def step_of(time: Column, origin: str, interval: str) -> Column:
-    """Number of whole intervals between the origin and a time."""
+    """Number of whole intervals between the origin and a time. An interval that
+    is a bare number is for numeric time columns."""
+    if is_number(interval):
+        return F.floor((time.cast("double") - float(origin)) / float(interval)).cast("bigint")
     micros = lambda c: F.unix_micros(c.cast("timestamp_ntz").cast("timestamp"))
     return F.floor((micros(time) - micros(F.lit(origin))) / (seconds(interval) * 1_000_000)).cast("bigint")
 
 
+def time_of(step: Column, origin: str, interval: str) -> Column:
+    """Where a step's interval begins: timestamp, or number."""
+    if is_number(interval):
+        return float(origin) + step * float(interval)
+    micros = F.unix_micros(F.lit(origin).cast("timestamp_ntz").cast("timestamp"))
+    return F.timestamp_micros(micros + step * (seconds(interval) * 1_000_000)).cast("timestamp_ntz")
+
+
+def first_interval(df: DataFrame, time_col: str, interval: str) -> str:
+    """Origin that makes the earliest row's interval step 0 (of those counted
+    from 1970 or zero); 1970 or zero for a table without times."""
+    zero = "0" if is_number(interval) else "1970-01-01"
+    lowest = df.agg(F.min(F.col(time_col)).alias("t"))
+    row = lowest.select(time_of(step_of(F.col("t"), zero, interval), zero, interval).cast("string").alias("o")).first()
+    return row["o"] or zero
+
+
 def regularize(df: DataFrame, time_col: str, value_col: str, series_cols: list[str], interval: str, agg: str = "mean", origin: str = "1970-01-01", cohort: str = "all") -> DataFrame:
     """One value per series and interval. NaN and null values take no part; an
     interval without any is absent. Late rows simply belong to their interval."""

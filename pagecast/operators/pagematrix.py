@@ -13,16 +13,45 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def _laid_out(entries: Column, w: int) -> Column:
-    """An array of w cells from (row, value) entries, 0 where there is none:
-    the missing rows are added with 0 and all are sorted, w log w steps."""
+#: Pages that one task adds up into one Gram matrix: enough to outweigh the matrix itself.
+PAGES_TOGETHER = 4096
+#: Partial matrices of one half window, at most.
+MOST_PARTS = 64
+
+
+def _laid_out(entries: Column, w: int, absent: float | None = 0.0) -> Column:
+    """An array of w cells from (row, value) entries, ``absent`` where there is
+    none: the missing rows are added and all are sorted, w log w steps."""
     rows = F.transform(entries, lambda e: e["row"])
     missing = F.array_except(F.sequence(F.lit(0).cast("bigint"), F.lit(w - 1).cast("bigint")), rows)
-    every = F.concat(entries, F.transform(missing, lambda i: F.struct(i.alias("row"), F.lit(0.0).alias("value"))))
+    every = F.concat(entries, F.transform(missing, lambda i: F.struct(i.alias("row"), F.lit(absent).cast("double").alias("value"))))
     cells = F.transform(F.array_sort(every), lambda e: e["value"])
     return F.when(F.size(every) == w, cells).otherwise(F.raise_error(F.lit("two values for one step of a series")))
 
 
+def salts(pages_of_half: int) -> int:
+    """Tasks that share a half window's pages."""
+    return max(1, min(MOST_PARTS, -(-pages_of_half // PAGES_TOGETHER)))
+
+
+def salt_of(number: int) -> Column:
+    return F.pmod(F.xxhash64("series_id", "page"), F.lit(number)).cast("int")
+
+
+def gathered(rows: DataFrame, w: int, half_pages: int, parts: int, carried: tuple[str, ...] = ()) -> DataFrame:
+    """(cohort, half, salt, series_id, page, vals, seen, carried...) from rows
+    with a ``rel`` step and a value: pages with null where nothing was observed.
+
+    The rows go straight to where their half window is added up: one shuffle by
+    (cohort, half, salt) serves the pages and their partial sums.
+    """
+    placed = rows.withColumn("page", F.floor(F.col("rel") / w).cast("bigint")).withColumn("half", F.floor(F.col("page") / half_pages).cast("bigint")).withColumn("salt", salt_of(parts))
+    entry = F.struct((F.col("rel") - F.col("page") * w).alias("row"), F.col("value"))
+    keys = ["cohort", "half", "salt", "series_id", "page"]
+    pages = placed.repartition("cohort", "half", "salt").groupBy(*keys, *carried).agg(F.collect_list(entry).alias("e"))
+    return pages.select(*keys, _laid_out(F.col("e"), w, None).alias("vals"), F.size("e").cast("bigint").alias("seen"), *carried)
+
+
 def build(long: DataFrame, w: int, partial: bool = False, steps: int | None = None) -> DataFrame:
     """Pages of height w. The last T mod w steps of a cohort have no page,
     unless ``partial`` asks for a page that is not full."""

@@ -81,9 +81,11 @@ def cohorts(long: DataFrame, how: str = "all", most: int = 64, attribute: DataFr
     elif how == "attribute":
         named = attribute.select("series_id", F.col("cohort").alias("to"))
     elif how == "correlation":
-        anchor = long.where(F.col("series_id").isin(reference)).select("step", F.col("series_id").alias("to"), F.col("value").alias("a"))
-        scored = long.join(anchor, "step").groupBy("series_id", "to").agg(F.coalesce(F.corr("value", "a"), F.lit(0.0)).alias("r"))
-        named = scored.groupBy("series_id").agg(F.max_by("to", F.struct("r", "to")).alias("to"))
+        # the references of a step are one row, so a step's series meet one row each
+        anchor = long.where(F.col("series_id").isin(reference)).groupBy("step").agg(*(F.max(F.when(F.col("series_id") == r, F.col("value"))).alias(f"_r{k}") for k, r in enumerate(reference)))
+        scored = long.join(anchor, "step", "left").groupBy("series_id").agg(*(F.coalesce(F.corr("value", f"_r{k}"), F.lit(0.0)).alias(f"_r{k}") for k in range(len(reference))))
+        best = F.array_max(F.array(*(F.struct(F.col(f"_r{k}").alias("r"), F.lit(r).alias("to")) for k, r in enumerate(reference))))
+        named = scored.select("series_id", best["to"].alias("to"))
     else:
         raise ValueError(f"unknown way to form cohorts: {how}")
     return long.join(named, "series_id").select(F.col("to").alias("cohort"), "series_id", "step", "value")

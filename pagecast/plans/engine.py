@@ -1,13 +1,28 @@
-"""Create a model over columns of a relation, then ask it for any step."""
+"""Create a model over columns of a relation, then ask it for any step.
+
+CREATE reads the rows twice: once for the size, span and statistics of every
+series, once to lay them out as pages, in one shuffle that also puts a half
+window's pages where they are added up. The pages are the stored rows; they lie
+in folders by half window, so a question reads the folders of the steps it names.
+Beside them lies one short row per series (``members``) with its last two pages
+of values, which is all that a forecast reads; latency does not depend on the
+length of the history.
+
+Each cohort has its own first step and length: pages are counted from its first
+observation, and what lies behind its last one is a forecast.
+"""
 
 from __future__ import annotations
 
-from dataclasses import asdict, dataclass, replace
+import json
+from concurrent.futures import ThreadPoolExecutor
+from dataclasses import asdict, dataclass, field, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pagecast.cluster import scratch_path
+from pagecast.functions.mathfn import dot
 from pagecast.operators import answers, factor, ingest, pagematrix, segments
 from pagecast.plans.config import ModelConfig, half_window, settle
 from pagecast.sources.modelstore import ModelStore
@@ -15,149 +30,292 @@ from pagecast.sources.modelstore import ModelStore
 
 @dataclass
 class Model:
-    """A trained model: its tables and what is needed to read them."""
+    """What is needed to read a trained model's tables (stored as ``meta``)."""
 
     name: str
     config: ModelConfig
-    n_series: int
-    steps: int
-    observations: int
-    half_pages: int
-    rate: float
-    factors: DataFrame | None
-    weights: DataFrame | None
-    long: DataFrame
-    stats: DataFrame | None = None
+    n_series: int = 0
+    steps: int = 0  # of the longest cohort
+    observations: int = 0
+    half_pages: int = 1
+    bucket_halves: int = 1  # half windows in one folder of pages
+    #: smallest and largest over the cohorts: first step, end of the full pages, end of the history
+    first: tuple[int, int] = (0, 0)
+    covered: tuple[int, int] = (0, 0)
+    end: tuple[int, int] = (0, 0)
+    trained: bool = False
+    averaged: bool = True  # some cohort has no sub-model
+    time: dict = field(default_factory=dict)  # column, interval, origin of a relation
 
     @property
     def w(self) -> int:
         return self.config.w
 
-    @property
-    def covered(self) -> int:
-        """Steps that lie in a full page."""
-        return self.steps - self.steps % self.w
+    def to_json(self) -> str:
+        return json.dumps(asdict(self))
+
+    @classmethod
+    def from_json(cls, text: str) -> Model:
+        held = json.loads(text)
+        held["config"] = ModelConfig(**held["config"])
+        return cls(**{k: tuple(v) if isinstance(v, list) else v for k, v in held.items()})
 
 
 class Engine:
+    """Models live below ``root``; an engine over the same root finds them again."""
+
     def __init__(self, spark: SparkSession, root: str | None = None):
         self.spark = spark
         self.store = ModelStore(spark, root or scratch_path(spark, "models"))
         self.models: dict[str, Model] = {}
 
-    def create_model(self, name: str, long: DataFrame, config: ModelConfig = ModelConfig(), keep_right: bool = False) -> Model:
+    # ------------------------------------------------------------------ create
+    def create_model(self, name: str, long: DataFrame, config: ModelConfig = ModelConfig(), keep_right: bool = False, time: dict | None = None) -> Model:
         """Train on long rows (cohort, series_id, step, value) and store.
 
-        One scan sizes the model; one builds the pages and their partial Gram
-        matrices. Fewer observations than ``config.least`` give a model that
-        answers with averages.
+        Null and NaN values are missing. A cohort with fewer observations than
+        ``config.least``, or shorter than a page, answers with averages.
         """
-        long = long.select("cohort", "series_id", F.col("step").cast("bigint").alias("step"), F.col("value").cast("double").alias("value"))
-        self.store.save(name, "series", long.repartitionByRange("cohort", "step").sortWithinPartitions("cohort", "step"))
-        long = self.store.load(name, "series")
-        size = long.where("value is not null").groupBy("cohort").agg(F.countDistinct("series_id").alias("n"), (F.max("step") + 1).alias("t"), F.count("*").alias("c"))
-        size = size.agg(F.max("n").alias("n"), F.max("t").alias("t"), F.sum("c").alias("c"), F.sum(F.col("n") * F.col("t")).alias("cells")).first()
-        n, steps, seen = size["n"] or 0, size["t"] or 0, size["c"] or 0
+        store = self.store
+        store.drop(name)
+        self.models.pop(name, None)
+        rows = long.select("cohort", "series_id", F.col("step").cast("bigint").alias("step"), F.col("value").cast("double").alias("value")).where("step is not null")
+        seen = F.when(~F.isnan("value"), F.col("value"))
+        step = F.when(~F.isnan("value"), F.col("step"))
+        sd = F.stddev_pop(seen)
+        store.save(name, "sizes", rows.groupBy("cohort", "series_id").agg(F.count(seen).alias("n"), F.min(step).alias("lo"), F.max(step).alias("hi"), F.avg(seen).alias("average"), F.var_pop(seen).alias("spread"), F.when(sd > 0, sd).otherwise(1.0).alias("deviation")))
+        sizes = store.load(name, "sizes")
+        store.save(name, "spans", sizes.groupBy("cohort").agg(F.min("lo").alias("first"), (F.max("hi") - F.min("lo") + 1).alias("steps"), F.sum("n").alias("count"), F.count("*").alias("n_series")).where("steps is not null"))
+        spans = store.load(name, "spans")
+        top = spans.agg(F.max("n_series").alias("n"), F.max("steps").alias("t"), F.sum("count").alias("c")).first()
+        n, steps, count = top["n"] or 0, top["t"] or 0, top["c"] or 0
         config = settle(config, max(1, n), max(2, steps))
-        rate = seen / size["cells"] if config.fill == "inverse_rate" and seen else 1.0
-        stats = None
-        source = long
-        if config.standardize:
-            self.store.save(name, "stats", ingest.statistics(long.where("value is not null")))
-            stats = self.store.load(name, "stats")
-            source = ingest.standardize(long, stats)
-        model = Model(name, config, n, steps, seen, 1, rate, None, None, source, stats)
+        w = config.w
+        model = Model(name, config, n, steps, count, half_window(config, max(1, n)) // w, time=time or {})
+        model.bucket_halves = max(1, 1_250_000 // max(1, model.half_pages * w * max(1, n)))
+        covered = F.col("steps") - F.col("steps") % w
+        fits = (F.col("count") >= config.least) & (F.col("steps") >= w)
+        spans = spans.select("cohort", "first", "steps", covered.alias("covered"), fits.alias("modelled"))
+        ends = spans.agg(*(f(c).alias(f"{k}_{at}") for k, f in (("lo", F.min), ("hi", F.max)) for at, c in (("first", F.col("first")), ("covered", F.col("first") + F.col("covered")), ("end", F.col("first") + F.col("steps")))), F.max(F.col("modelled").cast("int")).alias("any"), F.min(F.col("modelled").cast("int")).alias("all")).first()
+        if steps:
+            model.first, model.covered, model.end = ((ends[f"lo_{k}"], ends[f"hi_{k}"]) for k in ("first", "covered", "end"))
+            model.trained, model.averaged = bool(ends["any"]), not ends["all"]
+        scale = [F.col("average").alias("mu"), F.col("deviation").alias("sd")] if config.standardize else [F.lit(0.0).alias("mu"), F.lit(1.0).alias("sd")]
+        members = sizes.join(spans, "cohort").select("cohort", "series_id", "average", "spread", F.coalesce(scale[0], F.lit(0.0)).alias("mu"), scale[1], "first", "steps", "covered", "modelled")
+        if model.trained:
+            placed = rows.where(seen.isNotNull()).join(spans.where("modelled"), "cohort").withColumn("rel", F.col("step") - F.col("first"))
+            if config.standardize:
+                placed = placed.join(members.select("cohort", "series_id", "mu", "sd"), ["cohort", "series_id"])
+            else:
+                placed = placed.withColumns({"mu": F.lit(0.0), "sd": F.lit(1.0)})
+            pages = pagematrix.gathered(placed, w, model.half_pages, pagematrix.salts(n * model.half_pages), ("covered", "mu", "sd"))
+            store.save(name, "pages", pages.withColumn("bucket", F.floor(F.col("half") / model.bucket_halves).cast("bigint")))
+            pages = store.load(name, "pages")
+            full = pages.where(F.col("page") * w < F.col("covered"))
+            store.save(name, "factors", factor.train(full, model.half_pages, config))
+            factors = store.load(name, "factors")
+            # small tables, independent of each other
+            with ThreadPoolExecutor(3) as pool:
+                jobs = [pool.submit(store.save, name, "weights", answers.weight_view(factors, config.average)), pool.submit(store.save, name, "members", self._with_recent(members, pages, w))]
+                if keep_right:
+                    jobs.append(pool.submit(store.save, name, "right", factor.right_vectors(_scaled(full), factors, model.half_pages)))
+                for job in jobs:
+                    job.result()
+        else:
+            store.save(name, "members", members.withColumn("recent", F.array().cast("array<double>")))
+        store.forget(name, "sizes", "spans")
+        store.save_meta(name, model.to_json())
         self.models[name] = model
-        if seen < config.least or steps < config.w:
-            return model
-        model.half_pages = half_window(config, n) // config.w
-        pages = pagematrix.build(source, config.w)
-        self.store.save(name, "factors", factor.train(pages, model.half_pages, config))
-        model.factors = self.store.load(name, "factors")
-        model.weights = self.store.refresh_weight_view(name, config.average)
-        if keep_right:
-            self.store.save(name, "right", factor.right_vectors(pages, model.factors, model.half_pages))
         return model
 
-    def create_from_table(self, name: str, df: DataFrame, time_col: str, value_cols: list[str], interval: str, agg: str = "mean", origin: str = "1970-01-01", config: ModelConfig = ModelConfig()) -> Model:
-        """One column per series of a relation with a time column."""
+    @staticmethod
+    def _with_recent(members: DataFrame, pages: DataFrame, w: int) -> DataFrame:
+        """Each series' last 2 w steps as the model sees them: scaled, missing zero."""
+        span = members.select("cohort", "steps").distinct()
+        low, high = F.floor((F.col("steps") - 2 * w) / w), F.floor((F.col("steps") - 1) / w)
+        near = pages.join(span, "cohort").where(F.col("page").between(low, high))
+        held = _scaled(near).groupBy("cohort", "series_id").agg(F.map_from_entries(F.collect_list(F.struct("page", "vals"))).alias("m"))
+        zero = F.transform(F.sequence(F.lit(1), F.lit(w)), lambda _: F.lit(0.0))
+        every = F.flatten(F.transform(F.sequence(low, high), lambda p: F.coalesce(F.try_element_at("m", p), zero)))
+        joined = members.join(held, ["cohort", "series_id"], "left").withColumn("m", F.coalesce("m", F.create_map().cast(f"map<bigint,array<double>>")))
+        recent = F.slice(every, (F.col("steps") - 2 * w - low * w + 1).cast("int"), F.lit(2 * w))
+        return joined.withColumn("recent", F.when(F.col("modelled"), recent).otherwise(F.array().cast("array<double>"))).drop("m")
+
+    def create_from_table(self, name: str, df: DataFrame, time_col: str, value_cols: list[str], interval: str, agg: str = "mean", origin: str | None = None, config: ModelConfig = ModelConfig()) -> Model:
+        """One column per series of a relation with a time column. Without an
+        origin, steps are counted from the interval of the earliest row."""
+        if origin is None:
+            origin = ingest.first_interval(df, time_col, interval)
         parts = [ingest.regularize(df.withColumn("_name", F.lit(c)), time_col, c, ["_name"], interval, agg, origin) for c in value_cols]
         long = parts[0]
         for p in parts[1:]:
             long = long.unionByName(p)
-        return self.create_model(name, long, config)
+        return self.create_model(name, long, config, time={"column": time_col, "interval": interval, "origin": origin})
+
+    def model(self, name: str) -> Model:
+        """A model of this engine or of an earlier one over the same root."""
+        if name not in self.models:
+            held = self.store.load_meta(name)
+            if held is None:
+                raise ValueError(f"no model {name}")
+            self.models[name] = Model.from_json(held)
+        return self.models[name]
 
+    # ----------------------------------------------------------------- predict
     def predict(self, name: str, first: int, last: int, series: list[str] | None = None, confidence: float = 95.0, method: str = "gaussian", uncertainty: bool = True) -> DataFrame:
         """cohort, series_id, step, task, mean (, sd, lower, upper) for the steps
-        first..last: de-noised where the history has a page, forecasts after it."""
-        model = self.models[name]
-        chosen = F.col("series_id").isin(series) if series else F.lit(True)
-        long = model.long.where(chosen)
-        if model.factors is None:
-            mean = long.groupBy("cohort", "series_id").agg(F.avg("value").alias("mean"), F.var_pop("value").alias("variance"))
-            asked = mean.withColumn("step", F.explode(F.sequence(F.lit(first).cast("bigint"), F.lit(last).cast("bigint"))))
-            out = asked.select("cohort", "series_id", "step", F.lit("average").alias("task"), "mean", "variance")
-        else:
-            w, parts = model.w, []
-            if first < model.covered:
-                lo, hi = first // w, min(last, model.covered - 1) // w
-                near = long.where((F.col("step") >= lo * w) & (F.col("step") < (hi + 1) * w))
-                pages = pagematrix.build(near, w, partial=True)
-                # pages without a single observation are columns of zeros
-                every = long.select("cohort", "series_id").distinct().withColumn("page", F.explode(F.sequence(F.lit(lo).cast("bigint"), F.lit(hi).cast("bigint"))))
-                zero = F.transform(F.sequence(F.lit(1), F.lit(w)), lambda _: F.lit(0.0))
-                pages = every.join(pages, ["cohort", "series_id", "page"], "left").select("cohort", "series_id", "page", F.coalesce("vals", zero).alias("vals"), F.coalesce("sq", zero).alias("sq"), F.coalesce("seen", F.lit(0)).alias("seen"))
-                done = answers.impute(pages, model.factors, model.half_pages, w, model.rate)
-                parts.append(done.withColumn("task", F.lit("impute")))
-            if first < model.steps and last >= model.covered and model.covered < model.steps:
-                parts.append(self._tail(model, long).withColumn("task", F.lit("impute")))
-            if last >= model.steps:
-                now = model.long.select("cohort").distinct().withColumn("now", F.lit(model.steps - 1).cast("bigint"))
-                ahead = answers.forecast(long.where(F.col("step") > model.steps - w), model.weights, w, last - model.steps + 1, now)
-                parts.append(ahead.withColumn("task", F.lit("forecast")))
-            out = parts[0]
-            for p in parts[1:]:
-                out = out.unionByName(p)
-            out = out.where(F.col("step").between(first, last))
-        out = answers.interval(out, confidence, method).drop("variance")
-        if model.stats is not None:
-            own = model.stats.select("cohort", "series_id", "mu", F.col("sd").alias("_scale"))
-            back = lambda c: (F.col(c) * F.col("_scale") + F.col("mu")).alias(c)
-            out = out.join(own, ["cohort", "series_id"]).select("cohort", "series_id", "step", "task", back("mean"), (F.col("sd") * F.col("_scale")).alias("sd"), back("lower"), back("upper"))
-        columns = ["cohort", "series_id", "step", "task", "mean"] + (["sd", "lower", "upper"] if uncertainty else [])
-        return out.select(*columns)
-
-    def _tail(self, model: Model, long: DataFrame) -> DataFrame:
+        first..last: de-noised within a cohort's history, forecasts after it,
+        nothing before it. Without ``uncertainty`` squares are not touched."""
+        model = self.model(name)
+        members = self.store.load(name, "members")
+        if series is not None:
+            members = members.where(F.col("series_id").isin(series))
+        parts = []
+        if model.trained:
+            known = members.where("modelled")
+            if first < model.covered[1] and last >= model.first[0]:
+                parts.append(self._imputed(model, known, first, last, series, uncertainty).withColumn("task", F.lit("impute")))
+            if last >= model.covered[0]:
+                parts.append(self._tail(model, known, first, last, uncertainty))
+            if last >= model.end[0]:
+                parts.append(self._ahead(model, known, F.lit(last), uncertainty).where(F.col("step") >= first))
+        if model.averaged or not parts:
+            plain = members.where("not modelled") if model.trained else members
+            more = {"variance": F.col("spread")} if uncertainty else {}
+            asked = plain.withColumns({"step": F.explode(F.sequence(F.lit(first).cast("bigint"), F.lit(last).cast("bigint"))), "task": F.lit("average"), "mean": F.col("average"), **more, "mu": F.lit(0.0), "sd": F.lit(1.0)})
+            parts.append(asked)
+        columns = ["cohort", "series_id", "step", "task", "mean", *(["variance"] if uncertainty else []), "mu", "sd"]
+        out = parts[0].select(*columns)
+        for p in parts[1:]:
+            out = out.unionByName(p.select(*columns))
+        return self._finished(out, confidence, method, uncertainty)
+
+    @staticmethod
+    def _finished(out: DataFrame, confidence: float, method: str, uncertainty: bool, keys: tuple[str, ...] = ("cohort", "series_id", "step", "task")) -> DataFrame:
+        """Back in the series' own units, with the interval."""
+        mean = (F.col("mean") * F.col("sd") + F.col("mu")).alias("mean")
+        if not uncertainty:
+            return out.select(*keys, mean)
+        scaled = out.select(*keys, mean, (F.col("variance") * F.col("sd") * F.col("sd")).alias("variance"))
+        return answers.interval(scaled, confidence, method).select(*keys, "mean", "sd", "lower", "upper")
+
+    def _pages(self, model: Model, first: int, last: int) -> DataFrame:
+        """Stored pages of the folders that can hold the steps first..last."""
+        per = model.half_pages * model.w * model.bucket_halves
+        low, high = max(0, (first - model.first[1]) // per), (last - model.first[0]) // per
+        return self.store.load(model.name, "pages").where(F.col("bucket").between(low, high))
+
+    def _factors(self, model: Model, first: int, last: int) -> DataFrame:
+        """Factors of the sub-models whose halves can hold the steps first..last."""
+        per = model.half_pages * model.w
+        low, high = max(0, (first - model.first[1]) // per - 1), max(0, (last - model.first[0]) // per)
+        factors = self.store.load(model.name, "factors")
+        return factors.where(F.col("idx_bucket").between(low // 1000, high // 1000) & F.col("model_idx").between(low, high))
+
+    def _imputed(self, model: Model, members: DataFrame, first: int, last: int, series: list[str] | None, second: bool) -> DataFrame:
+        w = model.w
+        lo = F.greatest(F.lit(0), F.floor((F.lit(first) - F.col("first")) / w))
+        hi = F.floor((F.least(F.lit(last), F.col("first") + F.col("covered") - 1) - F.col("first")) / w)
+        asked = members.select("cohort", "series_id", "first", "covered", "mu", "sd", lo.alias("lo"), hi.alias("hi")).where("lo <= hi")
+        grid = asked.withColumn("page", F.explode(F.sequence("lo", "hi"))).drop("lo", "hi")
+        pages = self._pages(model, first, last)
+        if series is not None:
+            pages = pages.where(F.col("series_id").isin(series))
+        # a page without a single observation is a column of zeros
+        zero = F.transform(F.sequence(F.lit(1), F.lit(w)), lambda _: F.lit(0.0))
+        scaled = F.transform("raw", lambda x: F.coalesce((x - F.col("mu")) / F.col("sd"), F.lit(0.0)))
+        held = grid.join(pages.select("cohort", "series_id", "page", F.col("vals").alias("raw")), ["cohort", "series_id", "page"], "left")
+        held = held.withColumn("vals", F.coalesce(scaled, zero)).drop("raw")
+        est = answers.denoise(held, self._factors(model, first, last), model.half_pages, second)
+        cells = answers.flattened(est, w, ["cohort", "series_id", "first", "mu", "sd"], second)
+        return cells.withColumn("step", F.col("step") + F.col("first")).where(F.col("step").between(first, last))
+
+    def _weights(self, model: Model, second: bool) -> DataFrame:
+        weights = self.store.load(model.name, "weights")
+        pick = lambda m: weights.where(F.col("moment") == m).select("cohort", F.col("beta").alias(f"b{m}"))
+        return pick(1).join(pick(2), "cohort") if second else pick(1)
+
+    def _tail(self, model: Model, members: DataFrame, first: int, last: int, second: bool) -> DataFrame:
         """The last steps fill no page: what the forecaster said one step before."""
-        tail = ingest.densify(long.where(F.col("step") >= model.covered - model.w), max(0, model.covered - model.w), model.steps - 1)
-        return answers.one_step_ahead(tail, model.weights, model.w, model.covered)
+        w = model.w
+        lo, hi = F.greatest(F.lit(first), F.col("first") + F.col("covered")), F.least(F.lit(last), F.col("first") + F.col("steps") - 1)
+        rows = members.select("cohort", "series_id", "first", "steps", "recent", "mu", "sd", lo.alias("lo"), hi.alias("hi")).where("lo <= hi").join(self._weights(model, second), "cohort")
+        rows = rows.withColumn("step", F.explode(F.sequence("lo", "hi")))
+        at = F.col("step") - F.col("first") - F.col("steps") + 2 * w  # place of the step in ``recent``
+        rows = rows.withColumn("lags", F.slice("recent", (at - w + 2).cast("int"), F.lit(w - 1)))
+        mean = dot(F.col("lags"), F.col("b1"))
+        out = rows.withColumns({"mean": mean, "task": F.lit("impute")})
+        if second:
+            out = out.withColumn("variance", answers.clip(dot(F.transform("lags", lambda x: x * x), F.col("b2")) - F.col("mean") * F.col("mean")))
+        return out
+
+    def _ahead(self, model: Model, members: DataFrame, last: Column, second: bool) -> DataFrame:
+        """All steps after the history up to ``last`` (a column), fed back."""
+        w = model.w
+        far = (last.cast("bigint") - F.col("first") - F.col("steps") + 1).alias("far")
+        rows = members.select("*", far).where("far >= 1").join(self._weights(model, second), "cohort")
+        lags = F.slice("recent", F.lit(w + 2), F.lit(w - 1))
+        paths = [answers.roll(lags, F.col("b1"), F.col("far")).alias("m1")]
+        if second:
+            paths.append(answers.roll(F.transform(lags, lambda x: x * x), F.col("b2"), F.col("far")).alias("m2"))
+        rolled = rows.select("cohort", "series_id", "first", "steps", "mu", "sd", *paths)
+        flat = rolled.select("cohort", "series_id", "first", "steps", "mu", "sd", F.posexplode(F.arrays_zip("m1", "m2") if second else F.arrays_zip("m1")).alias("k", "p"))
+        more = [answers.clip(F.col("p.m2") - F.col("p.m1") * F.col("p.m1")).alias("variance")] if second else []
+        return flat.select("cohort", "series_id", (F.col("first") + F.col("steps") + F.col("k")).alias("step"), F.lit("forecast").alias("task"), F.col("p.m1").alias("mean"), "mu", "sd", *more)
+
+    def observed(self, name: str, first: int, last: int) -> DataFrame:
+        """The stored values (cohort, series_id, step, stored) of modelled cohorts."""
+        model = self.model(name)
+        span = self.store.load(name, "members").select("cohort", "first").distinct()
+        cells = self._pages(model, first, last).join(span, "cohort").select("cohort", "series_id", "first", "page", F.posexplode("vals").alias("row", "stored")).where("stored is not null")
+        return cells.select("cohort", "series_id", (F.col("first") + F.col("page") * model.w + F.col("row")).alias("step"), "stored").where(F.col("step").between(first, last))
 
     def compare(self, name: str, first: int, last: int) -> DataFrame:
         """The stored value beside the de-noised one."""
-        model = self.models[name]
-        stored = self.store.load(name, "series").select("cohort", "series_id", "step", F.col("value").alias("stored"))
-        return self.predict(name, first, last).join(stored, ["cohort", "series_id", "step"], "left")
+        out = self.predict(name, first, last)
+        if not self.model(name).trained:
+            return out.withColumn("stored", F.lit(None).cast("double"))
+        return out.join(self.observed(name, first, last), ["cohort", "series_id", "step"], "left")
 
     def point(self, name: str, asks: DataFrame, confidence: float = 95.0, method: str = "gaussian") -> DataFrame:
-        """Many point questions about the past at once, from stored factors."""
-        model = self.models[name]
-        found = answers.lookup(asks, model.factors, self.store.load(name, "right"), model.half_pages, model.w)
-        if model.covered < model.steps:
-            found = found.unionByName(self._tail(model, model.long).join(asks, ["cohort", "series_id", "step"], "left_semi"))
-        return answers.interval(found, confidence, method).drop("variance")
+        """Many point questions (cohort, series_id, step) at once: the past from
+        stored factors by equi-joins, the rest as ``predict`` answers it.
+        Repeated questions are answered once, those before a cohort's first
+        step or of unknown series not at all."""
+        model = self.model(name)
+        asks = asks.select("cohort", "series_id", F.col("step").cast("bigint").alias("step")).distinct()
+        members = self.store.load(name, "members").where("modelled")
+        asked = asks.join(members.select("cohort", "series_id", "first", "covered", "steps", "mu", "sd"), ["cohort", "series_id"]).withColumn("rel", F.col("step") - F.col("first"))
+        past = asked.where((F.col("rel") >= 0) & (F.col("rel") < F.col("covered"))).select("cohort", "series_id", F.col("rel").alias("step"), "first", "mu", "sd")
+        found = answers.lookup(past, self.store.load(name, "factors"), self.store.load(name, "right"), model.half_pages, model.w)
+        # a page without an observation has no right vector: its estimate is zero
+        held = past.join(found, past.columns, "left").select(*past.columns, F.coalesce("mean", F.lit(0.0)).alias("mean"), F.coalesce("variance", F.lit(0.0)).alias("variance"))
+        columns = ["cohort", "series_id", "step", "mean", "variance", "mu", "sd"]
+        out = held.withColumn("step", F.col("step") + F.col("first")).select(*columns)
+        tail = self._tail(model, members, model.covered[0], model.end[1], True).select(*columns)
+        ends = asked.where(F.col("rel") >= F.col("steps")).groupBy("cohort", "series_id").agg(F.max("step").alias("far_step"))
+        ahead = self._ahead(model, members.join(ends, ["cohort", "series_id"]), F.col("far_step"), True).select(*columns)
+        out = out.unionByName(tail.unionByName(ahead).join(asks, ["cohort", "series_id", "step"], "left_semi"))
+        return self._finished(out, confidence, method, True, ("cohort", "series_id", "step"))
 
+    # ------------------------------------------------------------------- costs
     def cost_report(self, name: str) -> DataFrame:
         """Sub-models, kept numbers, retrains and updates of a model."""
-        model = self.models[name]
+        model = self.model(name)
         c = model.config
         points = segments.retrain_points(c.least, min(c.capacity, model.observations), c.growth)
         halves = -(-model.observations // (c.capacity // 2))
         later = len(segments.retrain_points(c.capacity // 2, c.capacity, c.growth)) * max(0, halves - 2)
-        stored = model.factors.agg(F.count("*").alias("rows"), F.sum(F.size("s") * (F.col("w") + 1) + F.size("sf") * F.col("w") + F.size("weights")).alias("doubles")).first()
-        row = (name, model.factors.select("model_idx").distinct().count(), stored["rows"], stored["doubles"], len(points) + later, 2, model.w)
+        stored = self.store.load(name, "factors").agg(F.countDistinct("model_idx").alias("models"), F.count("*").alias("rows"), F.sum(F.size("s") * (F.col("w") + 1) + F.size("sf") * F.col("w") + F.size("weights")).alias("doubles")).first()
+        row = (name, stored["models"], stored["rows"], stored["doubles"], len(points) + later, 2, model.w)
         return self.spark.createDataFrame([row], "model string, sub_models bigint, factor_rows bigint, doubles bigint, full_retrains bigint, models_per_query bigint, w int")
 
 
+def _scaled(pages: DataFrame) -> DataFrame:
+    """Stored pages with scaled, zero-filled values."""
+    return pages.withColumn("vals", F.transform("vals", lambda x: F.coalesce((x - F.col("mu")) / F.col("sd"), F.lit(0.0))))
+
+
 def describe(model: Model) -> dict:
     return {"name": model.name, "n_series": model.n_series, "steps": model.steps, "half_pages": model.half_pages, **asdict(model.config)}
 

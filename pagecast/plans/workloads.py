@@ -79,11 +79,6 @@ def mean_imputation(spark: SparkSession, sf_dir: str, keeps=KEEPS, sigmas=SIGMAS
         for fill, method in (("zero", "pages"), ("inverse_rate", "pages/rate")):
             cfg = ModelConfig(fill=fill)
             pages, models, cfg, half = trained(scaled, n, steps, cfg)
-            if fill == "inverse_rate":
-                # each cohort has its own observed share
-                share = pages.groupBy("cohort").agg((F.sum("seen") / (F.count("*") * cfg.w)).alias("share"))
-                scale = lambda c: F.transform(c, lambda x: x / F.col("share")).alias(c)
-                pages = pages.join(F.broadcast(share), "cohort").select("cohort", "series_id", "page", scale("vals"), scale("sq"), "seen")
             est = ingest.unscale(answers.impute(pages, models, half, cfg.w), stats)
             out.append(_by_experiment(metrics.nrmse(est, noisy, ["cohort"]), name, method))
         if rivals:
@@ -135,9 +130,6 @@ def variance_imputation(spark: SparkSession, sf_dir: str, keeps=KEEPS, n: int =
     """Time-varying variance of nine families, against two factorisations."""
     noisy = _families(spark, keeps, n, steps).persist()
     pages, models, cfg, half = trained(noisy, n, steps, ModelConfig(fill="inverse_rate"))
-    share = pages.groupBy("cohort").agg((F.sum("seen") / (F.count("*") * cfg.w)).alias("share"))
-    scale = lambda c: F.transform(c, lambda x: x / F.col("share")).alias(c)
-    pages = pages.join(F.broadcast(share), "cohort").select("cohort", "series_id", "page", scale("vals"), scale("sq"), "seen")
     est = answers.impute(pages, models, half, cfg.w)
     out = [_by_experiment(_error(est, noisy), "families", "pages")]
     if rivals:

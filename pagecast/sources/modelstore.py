@@ -1,45 +1,79 @@
 """Models as Parquet tables beside the data.
 
-factors: one row per (cohort, model_idx, moment) with left vectors, singular
-values and weights of both matrices. right: the right vectors by page. weights:
-the averaged view that forecasts read. All are partitioned by model name, the
-large ones clustered by sub-model, so that a point question reads few row groups.
+pages: the stored rows, one page each, in folders by half window. factors: one
+row per (cohort, model_idx, moment) with left vectors, singular values and
+weights of both matrices. right: the right vectors by page. weights: the averaged
+view that forecasts read. members: one row per series. meta: the model's
+parameters as JSON, written last: a model without it does not exist.
 """
 
 from __future__ import annotations
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
+from pagecast.cluster import drop_path
 from pagecast.operators.answers import weight_view
 
-TABLES = ("factors", "right", "weights", "series", "meta")
+TABLES = ("pages", "factors", "right", "weights", "members", "meta")
+#: Folder column of the tables that lie in folders, and their order within a file.
+FOLDERS = {
+    "pages": ("bucket", ["cohort", "half", "salt", "page"]),
+    "factors": ("idx_bucket", ["cohort", "model_idx", "moment"]),
+    "right": ("idx_bucket", ["cohort", "model_idx", "moment", "series_id", "page"]),
+}
 
 
 class ModelStore:
     def __init__(self, spark: SparkSession, root: str):
         self.spark, self.root = spark, root.rstrip("/")
+        self._known: dict[tuple[str, str], DataFrame] = {}
 
     def path(self, name: str, table: str) -> str:
         return f"{self.root}/model={name}/{table}"
 
     def save(self, name: str, table: str, df: DataFrame) -> None:
-        if table in ("factors", "right"):
-            bucket = F.floor(F.col("model_idx") / 1000).cast("bigint")
-            order = ["cohort", "model_idx", "moment"] + (["series_id", "page"] if table == "right" else [])
-            df.withColumn("idx_bucket", bucket).repartition("cohort", "idx_bucket").sortWithinPartitions(*order).write.mode("overwrite").partitionBy("idx_bucket").parquet(self.path(name, table))
+        self._known.pop((name, table), None)
+        if table in FOLDERS:
+            folder, order = FOLDERS[table]
+            if folder not in df.columns:
+                df = df.withColumn(folder, F.floor(F.col("model_idx") / 1000).cast("bigint"))
+            df.sortWithinPartitions(folder, *order).write.mode("overwrite").partitionBy(folder).parquet(self.path(name, table))
         else:
             df.write.mode("overwrite").parquet(self.path(name, table))
+        # what is known of a table need not be read from its files
+        schema = df.schema
+        if table in FOLDERS:
+            schema = StructType([f for f in schema if f.name != folder] + [f for f in schema if f.name == folder])
+        self._known[name, table] = self.spark.read.schema(schema).parquet(self.path(name, table))
 
     def load(self, name: str, table: str) -> DataFrame:
-        df = self.spark.read.parquet(self.path(name, table))
-        return df.drop("idx_bucket") if "idx_bucket" in df.columns else df
+        if (name, table) not in self._known:
+            self._known[name, table] = self.spark.read.parquet(self.path(name, table))
+        return self._known[name, table]
+
+    def save_meta(self, name: str, text: str) -> None:
+        self.spark.createDataFrame([(name, text)], "name string, held string").coalesce(1).write.mode("overwrite").parquet(self.path(name, "meta"))
+
+    def load_meta(self, name: str) -> str | None:
+        try:
+            row = self.spark.read.schema("name string, held string").parquet(self.path(name, "meta")).first()
+        except AnalysisException:
+            return None
+        return row["held"] if row else None
 
     def refresh_weight_view(self, name: str, average: int) -> DataFrame:
         self.save(name, "weights", weight_view(self.load(name, "factors"), average))
         return self.load(name, "weights")
 
-    def drop(self, name: str) -> None:
-        from pagecast.cluster import drop_path
+    def forget(self, name: str, *tables: str) -> None:
+        for table in tables:
+            self._known.pop((name, table), None)
+            drop_path(self.spark, self.path(name, table))
 
+    def drop(self, name: str) -> None:
+        for key in [k for k in self._known if k[0] == name]:
+            del self._known[key]
         drop_path(self.spark, f"{self.root}/model={name}")

@@ -1,83 +1,209 @@
-"""Models over rows that keep arriving.
+"""Models over rows that keep arriving, and streaming queries over events.
 
-Rows are appended to half-window page tables in micro-batches; the Gram matrix
-of a half window is additive, so a batch costs its own pages only, and the
-active sub-model is solved again when a scheduled count is crossed. Rows of an
-unfinished page wait in a small table. The state lies in Parquet tables with a
-version per batch: replaying a batch after a failure writes the same version.
+Rows come in micro-batches. A batch's rows change pages; the changed pages are
+written anew beside the older versions, and the Gram matrix of a half window, a
+sum over its full pages, loses what a page gave before and gains what it gives
+now. Late rows, series that lag behind and corrected values are therefore exact.
+A batch reads only the pages it changes.
+
+The schedule of counts says what follows: averages, a full solve of the changed
+sub-models, or an update of theirs by the new columns alone.
+
+Every batch has a number, and all tables of a batch lie under it; its entry in
+the log is written last. A batch that is replayed after a failure writes the same
+tables again, one that is in the log already changes nothing, and a model opened
+over the same folder goes on where the log ends.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagecast.cluster import Written
+from pagecast.cluster import drop_path, exists, scratch_path, ship
 from pagecast.operators import answers, factor, pagematrix, segments
 from pagecast.plans.config import ModelConfig, half_window
 
+_PAGES = "cohort string, half bigint, salt int, series_id string, page bigint, vals array<double>, seen bigint, batch bigint, bucket bigint"
+_SPANS = "cohort string, steps bigint, count bigint"
+_LOG = "batch bigint, count bigint, action string, model_idx bigint"
+_KEY = ["cohort", "half", "salt", "series_id", "page"]
+
 
 class IncrementalModel:
-    """Batch by batch the same sub-models as one training over everything."""
+    """Batch by batch the same Gram state as one training over everything.
+
+    ``update`` says what a batch between two full solves does to the sub-models
+    it changes: 'gram' solves them again from the state (exact), 'columns' folds
+    the new pages into the truncated factors, 'fold' leaves the vectors as they
+    are. A sub-model whose older pages changed is always solved again.
+    """
 
-    def __init__(self, spark: SparkSession, n_series: int, config: ModelConfig):
+    def __init__(self, spark: SparkSession, n_series: int, config: ModelConfig, root: str | None = None, update: str = "gram"):
         if config.w is None:
             raise ValueError("a model over a stream needs its page height beforehand")
-        self.spark, self.n, self.config = spark, n_series, config
+        if update not in ("gram", "columns", "fold"):
+            raise ValueError(f"unknown update {update}")
+        self.spark, self.n, self.config, self.update = spark, n_series, config, update
         self.half_pages = half_window(config, n_series) // config.w
-        self.count = 0
-        self.gram: Written | None = None
-        self.waiting: Written | None = None
-        self.factors: Written | None = None
+        self.root = (root or scratch_path(spark, "stream-model")).rstrip("/")
         self.log: list[tuple[int, int, str, int]] = []
+        if exists(spark, f"{self.root}/log"):
+            rows = spark.read.schema(_LOG).parquet(f"{self.root}/log").orderBy("batch").collect()  # one short row a batch
+            self.log = [tuple(r) for r in rows]
 
-    def append(self, batch: DataFrame) -> None:
-        """batch(cohort, series_id, step, value): steps not seen before."""
-        rows = batch.select("cohort", "series_id", "step", "value").where("value is not null")
-        if self.waiting is not None:
-            rows = rows.unionByName(self.waiting.df)
-        rows = Written(rows, "stream-rows")
-        before, kept = self.count, self.waiting
-        fresh = rows.df.count() - (kept.df.count() if kept is not None else 0)
-        self.count += fresh
-        w = self.config.w
-        top = rows.df.agg(F.max("step")).first()[0]
-        if top is None:
-            return
-        full = (top + 1) - (top + 1) % w
-        self.waiting = Written(rows.df.where(F.col("step") >= full), "stream-waiting")
-        pages = pagematrix.build(rows.df.where(F.col("step") < full), w, partial=True)
-        more = factor.gram_rows(pages, self.half_pages)
-        grown = Written(factor.merge_gram(self.gram.df, more) if self.gram is not None else more, "stream-gram")
-        for old in (self.gram, kept, rows):
-            if old is not None:
-                old.drop()
-        self.gram = grown
-        kind, model = segments.action(self.count, before, self.config)
-        self.log.append((len(self.log), self.count, kind, model))
-        if kind != "average":
-            self.solve()
-
-    def solve(self) -> None:
-        """Factors of all sub-models from the additive state."""
-        config = self.config
+    # ------------------------------------------------------------------- state
+    @property
+    def last(self) -> int:
+        return self.log[-1][0] if self.log else -1
 
-        def one(key, frame):
-            import numpy as np
-            import pandas as pd
+    @property
+    def count(self) -> int:
+        return self.log[-1][1] if self.log else 0
 
-            n, seen = int(frame["pages"].sum()), int(frame["seen"].sum())
-            flat = sum(np.frombuffer(b) for b in frame["g"])
-            found = factor.from_gram(flat.reshape(config.w, config.w), n, seen, config)
-            return pd.DataFrame([{"cohort": key[0], "model_idx": key[1], "moment": key[2], **found}])
+    def _path(self, table: str, batch: int) -> str:
+        return f"{self.root}/{table}/b{batch:012d}"
 
-        solved = Written(factor._to_models(self.gram.df).groupBy("cohort", "model_idx", "moment").applyInPandas(one, factor.MODEL_SCHEMA), "stream-factors")
-        if self.factors is not None:
-            self.factors.drop()
-        self.factors = solved
+    def _read(self, table: str, schema: str, batch: int | None = None) -> DataFrame:
+        batch = self.last if batch is None else batch
+        path = self._path(table, batch)
+        if batch < 0 or not exists(self.spark, path):
+            return self.spark.createDataFrame([], schema)
+        return self.spark.read.schema(schema).parquet(path)
+
+    def _pages(self) -> DataFrame:
+        """All committed versions of pages."""
+        paths = [self._path("pages", b) for b, *_ in self.log]
+        if not paths:
+            return self.spark.createDataFrame([], _PAGES)
+        return self.spark.read.schema(_PAGES).parquet(*paths)
+
+    @staticmethod
+    def _newest(versions: DataFrame) -> DataFrame:
+        return versions.groupBy(*_KEY).agg(F.max_by(F.struct("vals", "seen"), "batch").alias("p")).select(*_KEY, "p.vals", "p.seen")
+
+    @property
+    def gram(self) -> DataFrame:
+        return self._read("gram", factor.GRAM_SCHEMA)
+
+    @property
+    def factors(self) -> DataFrame:
+        return self._read("factors", factor.MODEL_SCHEMA)
 
     def weights(self) -> DataFrame:
-        return answers.weight_view(self.factors.df, self.config.average)
+        return answers.weight_view(self.factors, self.config.average)
+
+    # ------------------------------------------------------------------ append
+    def append(self, batch: DataFrame, batch_id: int | None = None) -> None:
+        """batch(cohort, series_id, step, value): new rows, or new values of
+        older ones; of several values for one step in a batch the greatest counts.
+        Steps are counted from 0; null and NaN values change nothing."""
+        number = self.last + 1 if batch_id is None else batch_id
+        if number <= self.last:
+            return
+        ship(self.spark)
+        w, spark = self.config.w, self.spark
+        rows = batch.select("cohort", "series_id", F.col("step").cast("bigint").alias("rel"), F.col("value").cast("double").alias("value")).where("rel >= 0 and not isnan(value)")
+        rows = rows.groupBy("cohort", "series_id", "rel").agg(F.max("value").alias("value"))
+        changed = pagematrix.gathered(rows, w, self.half_pages, pagematrix.salts(self.n * self.half_pages))
+        path = self._path("changed", number)
+        changed.write.mode("overwrite").parquet(path)
+        changed = spark.read.schema("cohort string, half bigint, salt int, series_id string, page bigint, vals array<double>, seen bigint").parquet(path)
+
+        before, stored = self._read("spans", _SPANS), self._pages()
+        # versions of the changed pages, and of the open pages behind the last full one
+        ends = changed.groupBy("cohort").agg(F.max(F.col("page") * w + w - F.aggregate(F.reverse("vals"), F.struct(F.lit(0).alias("n"), F.lit(False).alias("stop")), lambda s, x: F.struct((s["n"] + F.when(s["stop"] | x.isNotNull(), 0).otherwise(1)).alias("n"), (s["stop"] | x.isNotNull()).alias("stop")))["n"]).alias("top"))
+        spans = before.withColumnRenamed("steps", "was").join(ends, "cohort", "full").select("cohort", F.coalesce("was", F.lit(0)).cast("bigint").alias("was"), F.greatest(F.coalesce("was", F.lit(0)), F.coalesce("top", F.lit(0))).cast("bigint").alias("steps"), F.coalesce("count", F.lit(0)).cast("bigint").alias("count"))
+        old = self._newest(stored.join(changed.select(*_KEY), _KEY, "left_semi"))
+        open_ = self._newest(stored.join(before.select("cohort", "steps"), "cohort").where((F.col("page") + 1) * w > F.col("steps")).drop("steps"))
+        merged = changed.alias("n").join(old.select(*_KEY, F.col("vals").alias("was_vals"), F.col("seen").alias("was_seen")), _KEY, "left")
+        vals = F.when(F.col("was_vals").isNull(), F.col("vals")).otherwise(F.zip_with("vals", "was_vals", lambda a, b: F.coalesce(a, b)))
+        merged = merged.withColumn("vals", vals).withColumn("seen", F.size(F.filter("vals", lambda x: x.isNotNull())).cast("bigint"))
+        written = merged.select(*_KEY, "vals", "seen", "was_vals", "was_seen")
+        both = self._path("merged", number)
+        written.write.mode("overwrite").parquet(both)
+        written = spark.read.parquet(both)
+        written.select(*_KEY, "vals", "seen", F.lit(number).cast("bigint").alias("batch"), F.col("half").alias("bucket")).write.mode("overwrite").parquet(self._path("pages", number))
+
+        grown = written.groupBy("cohort").agg(F.sum(F.col("seen") - F.coalesce("was_seen", F.lit(0))).alias("more"))
+        after = spans.join(grown, "cohort", "left").select("cohort", "steps", (F.col("count") + F.coalesce("more", F.lit(0))).cast("bigint").alias("count"))
+        after.write.mode("overwrite").parquet(self._path("spans", number))
+        now = self._read("spans", _SPANS, number)
+        count = now.agg(F.sum("count")).first()[0] or 0
+
+        # what full pages gave before, and what they give now
+        edges = spans.select("cohort", "was", "steps")
+        full = lambda df, edge: df.join(edges, "cohort").where((F.col("page") + 1) * w <= F.col(edge)).select(*_KEY, "vals", "seen")
+        lost = full(written.where("was_vals is not null").select(*_KEY, F.col("was_vals").alias("vals"), F.col("was_seen").alias("seen")), "was")
+        untouched = open_.join(written.select(*_KEY), _KEY, "left_anti")
+        won = full(written.select(*_KEY, "vals", "seen"), "steps").unionByName(full(untouched, "steps"))
+        won_path, lost_path = self._path("won", number), self._path("lost", number)
+        dealt = lambda df: df.repartition("cohort", "half", "salt").sortWithinPartitions("cohort", "half")
+        dealt(won).write.mode("overwrite").parquet(won_path)
+        dealt(lost).write.mode("overwrite").parquet(lost_path)
+        won, lost = spark.read.schema(won.schema).parquet(won_path), spark.read.schema(lost.schema).parquet(lost_path)
+        gram = factor.merge_gram(self.gram, factor.gram_rows(won, self.half_pages), factor.gram_rows(lost, self.half_pages, -1))
+        gram.write.mode("overwrite").parquet(self._path("gram", number))
+
+        kind, model = segments.action(count, self.count, self.config)
+        if kind == "average":
+            found = self.factors
+        else:
+            found = self._refreshed(number, won, lost, kind)
+        found.write.mode("overwrite").parquet(self._path("factors", number))
+        spark.createDataFrame([(number, count, kind, model)], _LOG).coalesce(1).write.mode("append").parquet(f"{self.root}/log")
+        previous = self.last
+        self.log.append((number, count, kind, model))
+        for table in ("changed", "merged", "won", "lost"):
+            drop_path(spark, self._path(table, number))
+        if previous >= 0:
+            for table in ("gram", "factors", "spans"):
+                drop_path(spark, self._path(table, previous))
+
+    def _refreshed(self, number: int, won: DataFrame, lost: DataFrame, kind: str) -> DataFrame:
+        """Factors of all sub-models after a batch: those that it changed anew,
+        the others as they are."""
+        gram = self._read("gram", factor.GRAM_SCHEMA, number)
+        ids = ["cohort", "model_idx"]
+        touched = lambda df: factor.to_models(df.select("cohort", "half").distinct()).select(*ids).distinct()
+        held = self.factors
+        # a sub-model may become whole by a batch; there are no factors of it yet
+        known = held.select(*ids).distinct()
+        if kind == "retrain" or self.update == "gram":
+            solved = touched(won).unionByName(touched(lost)).distinct()
+            grown = None
+        else:
+            fresh = touched(won).join(known, ids, "left_anti")
+            solved = touched(lost).unionByName(fresh).distinct()
+            grown = touched(won).join(known, ids, "left_semi").join(solved, ids, "left_anti")
+        anew = factor.solve(gram, self.config, only=solved)
+        if grown is None or self.update == "fold":
+            return held.join(solved, ids, "left_anti").unionByName(anew)
+        rest = held.join(solved, ids, "left_anti").join(grown, ids, "left_anti")
+        return rest.unionByName(anew).unionByName(self._widened(held.join(grown, ids, "left_semi"), won))
+
+    def _widened(self, held: DataFrame, won: DataFrame) -> DataFrame:
+        """Truncated factors with the new pages' columns folded in."""
+        config = self.config
+        columns = factor.to_models(won.select("cohort", "half", "vals", "seen")).select("cohort", "model_idx", "vals", "seen")
+
+        def one(key, models: pd.DataFrame, pages: pd.DataFrame) -> pd.DataFrame:
+            if not len(models) or not len(pages):
+                return models
+            z = np.nan_to_num(np.stack(pages["vals"].to_list()).astype(float)).T
+            out = []
+            for row in models.to_dict("records"):
+                new = (z if row["moment"] == 1 else z * z) / row["share"]
+                out.append(row | factor.widen(row, new, int(pages["seen"].sum()), config))
+            return pd.DataFrame(out)
+
+        return held.groupBy("cohort", "model_idx").cogroup(columns.groupBy("cohort", "model_idx")).applyInPandas(one, factor.MODEL_SCHEMA)
+
+    def solve(self) -> DataFrame:
+        """Factors of all sub-models from the additive state."""
+        return factor.solve(self.gram, self.config)
 
 
 def events_stream(spark: SparkSession, sf_dir: str, late: str = "1 hour", files_per_batch: int | None = None) -> DataFrame:
@@ -119,13 +245,20 @@ def click_then_purchase(events: DataFrame) -> DataFrame:
     return c.join(p, near).select("click", "purchase")
 
 
-def to_incremental(events: DataFrame, model: IncrementalModel, origin: str, checkpoint: str) -> None:
-    """Feed hourly means of the stream into an incremental model by foreachBatch."""
+def to_incremental(events: DataFrame, model: IncrementalModel, checkpoint: str, origin: str) -> None:
+    """Feed hourly means of the stream into an incremental model.
+
+    The hours are a streaming aggregate in update mode: an hour whose rows come
+    in several micro-batches, or late but within the watermark, is given again
+    with its new mean, which replaces the older value.
+    """
     from pagecast.operators.ingest import step_of
 
-    def feed(batch: DataFrame, _: int) -> None:
-        rows = batch.groupBy("event_type", step_of(F.col("ts"), origin, "1 hour").alias("step")).agg(F.avg("value").alias("value"))
-        model.append(rows.select(F.lit("all").alias("cohort"), F.col("event_type").alias("series_id"), "step", "value"))
+    hours = events.groupBy(F.window("at", "1 hour").alias("win"), "event_type").agg(F.avg("value").alias("value"))
+
+    def feed(batch: DataFrame, number: int) -> None:
+        step = step_of(F.col("win.start"), origin, "1 hour")
+        model.append(batch.select(F.lit("all").alias("cohort"), F.col("event_type").alias("series_id"), step.alias("step"), "value"), number)
 
-    query = events.writeStream.foreachBatch(feed).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    query = hours.writeStream.foreachBatch(feed).outputMode("update").option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
