@@ -478,4 +478,4 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return engine.predict("prices", 2380, 2410)
 
 
-from pagecast import engine_queries  # noqa: E402, F401  (registers its queries)
+from pagecast import engine_queries, surface_queries  # noqa: E402, F401  (registers its queries)

@@ -230,10 +230,10 @@ def hourly(events: DataFrame) -> DataFrame:
     return events.groupBy(F.window("at", "1 hour").alias("win"), "event_type").agg(F.count("*").alias("n")).select(F.col("win.start").alias("hour"), "event_type", "n")
 
 
-def score(arriving: DataFrame, weights: DataFrame, limits: DataFrame) -> DataFrame:
+def score(arriving: DataFrame, limits: DataFrame) -> DataFrame:
     """Stream-static join: flags arriving values outside their interval.
-    limits(event_type, lower, upper) is a small model output."""
-    return arriving.join(F.broadcast(limits), "event_type").withColumn("odd", ~F.col("value").between(F.col("lower"), F.col("upper")))
+    limits(event_type, lower, upper) is an answer of a model, a row per series."""
+    return arriving.join(limits, "event_type").withColumn("odd", ~F.col("value").between(F.col("lower"), F.col("upper")))
 
 
 def click_then_purchase(events: DataFrame) -> DataFrame:
