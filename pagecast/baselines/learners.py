@@ -10,6 +10,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+from statistics import NormalDist
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -17,6 +19,9 @@ from pyspark.sql import DataFrame
 from pagecast.cluster import ship
 
 
+Forecaster = Callable[[int], np.ndarray]
+
+
 # ---------------------------------------------------------------- factorisation
 def trmf_fit(y: np.ndarray, rank: int = 5, lags: tuple[int, ...] = (1, 2, 24), lam_f: float = 0.1, lam_x: float = 0.1, lam_w: float = 0.1, rounds: int = 12, trace: list | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Series factors f (n x r), time factors x (r x t) and lag weights (r x lags)
@@ -32,7 +37,7 @@ def trmf_fit(y: np.ndarray, rank: int = 5, lags: tuple[int, ...] = (1, 2, 24), l
     f = rng.normal(0, 0.3, (n, rank))
     w = np.zeros((rank, len(lags)))
     w[:, 0] = 0.5
-    most = max(lags)
+    most, own = max(lags), np.arange(rank)
 
     def residual(k: int, at: np.ndarray) -> np.ndarray:
         return x[k, at] - sum(w[k, i] * x[k, at - l] for i, l in enumerate(lags))
@@ -50,16 +55,15 @@ def trmf_fit(y: np.ndarray, rank: int = 5, lags: tuple[int, ...] = (1, 2, 24), l
             fs = f[seen[:, s]]
             a = fs.T @ fs + lam_x * 0.1 * np.eye(rank)
             b = fs.T @ z[seen[:, s], s]
-            for k in range(rank):
-                # own residual, and those of later steps that look back to this one
-                if s >= most:
-                    a[k, k] += lam_x
-                    b[k] += lam_x * sum(w[k, i] * x[k, s - l] for i, l in enumerate(lags))
-                for i, l in enumerate(lags):
-                    if most <= s + l < t:
-                        other = x[k, s + l] - sum(w[k, j] * x[k, s + l - m] for j, m in enumerate(lags) if j != i)
-                        a[k, k] += lam_x * w[k, i] ** 2
-                        b[k] += lam_x * w[k, i] * other
+            # own residual, and those of later steps that look back to this one
+            if s >= most:
+                a[own, own] += lam_x
+                b += lam_x * sum(w[:, i] * x[:, s - l] for i, l in enumerate(lags))
+            for i, l in enumerate(lags):
+                if most <= s + l < t:
+                    other = x[:, s + l] - sum(w[:, j] * x[:, s + l - m] for j, m in enumerate(lags) if j != i)
+                    a[own, own] += lam_x * w[:, i] ** 2
+                    b += lam_x * w[:, i] * other
             x[:, s] = np.linalg.solve(a, b)
         at = np.arange(most, t)
         for k in range(rank):
@@ -75,13 +79,21 @@ def trmf_impute(y: np.ndarray, **options) -> np.ndarray:
     return f @ x
 
 
-def trmf_forecast(y: np.ndarray, horizon: int, lags: tuple[int, ...] = (1, 2, 24), **options) -> np.ndarray:
+def trmf_fitted(y: np.ndarray, lags: tuple[int, ...] = (1, 2, 24), **options) -> Forecaster:
     f, x, w = trmf_fit(y, lags=lags, **options)
     used = tuple(l for l in lags if l < y.shape[1]) or (1,)
-    x = np.hstack([x, np.zeros((len(x), horizon))])
-    for s in range(y.shape[1], x.shape[1]):
-        x[:, s] = sum(w[:, i] * x[:, s - l] for i, l in enumerate(used))
-    return (f @ x)[:, -horizon:]
+
+    def ahead(horizon: int) -> np.ndarray:
+        every = np.hstack([x[:, -max(used) :], np.zeros((len(x), horizon))])
+        for s in range(every.shape[1] - horizon, every.shape[1]):
+            every[:, s] = sum(w[:, i] * every[:, s - l] for i, l in enumerate(used))
+        return f @ every[:, every.shape[1] - horizon :]
+
+    return ahead
+
+
+def trmf_forecast(y: np.ndarray, horizon: int, **options) -> np.ndarray:
+    return trmf_fitted(y, **options)(horizon)
 
 
 def trmf_variance(y: np.ndarray, **options) -> np.ndarray:
@@ -90,26 +102,34 @@ def trmf_variance(y: np.ndarray, **options) -> np.ndarray:
 
 
 # --------------------------------------------------------------------- additive
-def additive_fit_forecast(y: np.ndarray, horizon: int, changepoints: int = 8, periods: tuple[float, ...] = (24.0, 168.0), order: int = 3, ridge: float = 0.1) -> np.ndarray:
+def additive_fitted(y: np.ndarray, changepoints: int = 8, periods: tuple[float, ...] = (24.0, 168.0), order: int = 3, ridge: float = 0.1) -> Forecaster:
     """Each series by itself: a piecewise linear trend and Fourier terms, ridge
     least squares on observed steps."""
     n, t = y.shape
-    every = np.arange(t + horizon) / t
     knots = np.linspace(0, 0.8, changepoints + 1)[1:]
-    columns = [np.ones_like(every), every, *(np.maximum(0, every - k) for k in knots)]
-    for p in periods:
-        for k in range(1, order + 1):
-            columns += [np.cos(2 * np.pi * k * every * t / p), np.sin(2 * np.pi * k * every * t / p)]
-    design = np.stack(columns, 1)
+
+    def terms(steps: np.ndarray) -> np.ndarray:
+        at = steps / t
+        columns = [np.ones_like(at), at, *(np.maximum(0, at - k) for k in knots)]
+        for p in periods:
+            for k in range(1, order + 1):
+                columns += [np.cos(2 * np.pi * k * steps / p), np.sin(2 * np.pi * k * steps / p)]
+        return np.stack(columns, 1)
+
+    design = terms(np.arange(t))
     penalty = ridge * np.eye(design.shape[1])
     penalty[0, 0] = penalty[1, 1] = 1e-9
-    out = np.zeros((n, horizon))
+    found = np.zeros((n, design.shape[1]))
     for i in range(n):
         at = np.flatnonzero(~np.isnan(y[i]))
         if len(at):
             a = design[at]
-            out[i] = design[t:] @ np.linalg.solve(a.T @ a + penalty, a.T @ y[i, at])
-    return out
+            found[i] = np.linalg.solve(a.T @ a + penalty, a.T @ y[i, at])
+    return lambda horizon: found @ terms(np.arange(t, t + horizon)).T
+
+
+def additive_fit_forecast(y: np.ndarray, horizon: int, **options) -> np.ndarray:
+    return additive_fitted(y, **options)(horizon)
 
 
 # ---------------------------------------------------------------------- networks
@@ -170,7 +190,7 @@ class Recurrent:
             dh, dc = da @ p["wh"].T, dc * f
         return grads
 
-    def fit(self, x: np.ndarray, y: np.ndarray, epochs: int = 12, batch: int = 64, rate: float = 0.01) -> Recurrent:
+    def fit(self, x: np.ndarray, y: np.ndarray, epochs: int = 12, batch: int = 128, rate: float = 0.01) -> Recurrent:
         rng = np.random.default_rng(5)
         first = {k: np.zeros_like(v) for k, v in self.p.items()}
         second = {k: np.zeros_like(v) for k, v in self.p.items()}
@@ -190,48 +210,77 @@ class Recurrent:
         return self
 
 
-def _samples(y: np.ndarray, window: int, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Windows and targets of all series, scaled by series, gaps carried forward."""
+def _samples(y: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Windows and targets of all series, scaled by series, gaps carried forward.
+    Every window of every series is there: training takes them in mini-batches."""
     mu = np.nan_to_num(np.nanmean(y, axis=1, keepdims=True))
     sd = np.nan_to_num(np.nanstd(y, axis=1, keepdims=True))
     sd[sd == 0] = 1.0
     z = pd.DataFrame((y - mu) / sd).ffill(axis=1).fillna(0.0).to_numpy()
-    starts = [(i, s) for i in range(len(z)) for s in range(z.shape[1] - window)]
-    if len(starts) > most:
-        starts = [starts[k] for k in np.random.default_rng(9).choice(len(starts), most, replace=False)]
-    x = np.stack([z[i, s : s + window] for i, s in starts]) if starts else np.zeros((0, window))
-    target = np.array([z[i, s + window] for i, s in starts])
-    return x, target, z, np.hstack([mu, sd])
+    if z.shape[1] <= window:
+        return np.zeros((0, window)), np.zeros(0), z, np.hstack([mu, sd])
+    runs = np.lib.stride_tricks.sliding_window_view(z, window + 1, axis=1).reshape(-1, window + 1)
+    return runs[:, :-1], runs[:, -1], z, np.hstack([mu, sd])
 
 
-def recurrent_forecast(y: np.ndarray, horizon: int, window: int = 24, hidden: int = 12, epochs: int = 6, most: int = 1500) -> np.ndarray:
+def recurrent_fitted(y: np.ndarray, window: int = 24, hidden: int = 12, epochs: int = 6) -> Forecaster:
     """A recurrent network on pooled windows, its predictions fed back."""
-    x, target, z, scale = _samples(y, window, most)
+    x, target, z, scale = _samples(y, window)
     net = Recurrent(hidden).fit(x, target, epochs)
-    state, out = z[:, -window:].copy(), []
-    for _ in range(horizon):
-        value = net.forward(state)[0][:, 0]
-        out.append(value)
-        state = np.hstack([state[:, 1:], value[:, None]])
-    return np.stack(out, 1) * scale[:, 1:] + scale[:, :1]
 
+    def ahead(horizon: int) -> np.ndarray:
+        state, out = z[:, -window:].copy(), []
+        for _ in range(horizon):
+            value = net.forward(state)[0][:, 0]
+            out.append(value)
+            state = np.hstack([state[:, 1:], value[:, None]])
+        return np.stack(out, 1) * scale[:, 1:] + scale[:, :1]
+
+    return ahead
 
-def probabilistic_forecast(y: np.ndarray, horizon: int, window: int = 24, hidden: int = 12, epochs: int = 6, most: int = 1500, paths: int = 30) -> tuple[np.ndarray, np.ndarray]:
-    """Mean and standard deviation over sampled paths of a network that emits a
+
+def recurrent_forecast(y: np.ndarray, horizon: int, **options) -> np.ndarray:
+    return recurrent_fitted(y, **options)(horizon)
+
+
+def probabilistic_fitted(y: np.ndarray, window: int = 24, hidden: int = 12, epochs: int = 6, paths: int = 100) -> Callable[..., tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Mean and interval ends over sampled paths of a network that emits a
     location and a spread."""
-    x, target, z, scale = _samples(y, window, most)
+    x, target, z, scale = _samples(y, window)
     net = Recurrent(hidden, probabilistic=True).fit(x, target, epochs)
-    rng = np.random.default_rng(13)
-    n = len(z)
-    state = np.repeat(z[:, -window:], paths, axis=0)
-    drawn = []
-    for _ in range(horizon):
-        out = net.forward(state)[0]
-        value = out[:, 0] + np.exp(np.clip(out[:, 1], -6, 2)) * rng.normal(size=len(out))
-        drawn.append(value.reshape(n, paths))
-        state = np.hstack([state[:, 1:], value[:, None]])
-    drawn = np.stack(drawn, 1)
-    return drawn.mean(2) * scale[:, 1:] + scale[:, :1], drawn.std(2) * scale[:, 1:]
+
+    def ahead(horizon: int, confidence: float = 95.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        rng = np.random.default_rng(13)
+        n = len(z)
+        state = np.repeat(z[:, -window:], paths, axis=0)
+        drawn = []
+        for _ in range(horizon):
+            out = net.forward(state)[0]
+            value = out[:, 0] + np.exp(np.clip(out[:, 1], -6, 2)) * rng.normal(size=len(out))
+            drawn.append(value.reshape(n, paths))
+            state = np.hstack([state[:, 1:], value[:, None]])
+        drawn = np.stack(drawn, 1)
+        low, high = np.quantile(drawn, [0.5 - confidence / 200, 0.5 + confidence / 200], axis=2)
+        back = lambda v: v * scale[:, 1:] + scale[:, :1]
+        return back(drawn.mean(2)), back(low), back(high)
+
+    return ahead
+
+
+def deviation_of(low: np.ndarray, high: np.ndarray, confidence: float = 95.0) -> np.ndarray:
+    """The standard deviation that a Gaussian interval of this width has."""
+    return (high - low) / (2 * NormalDist().inv_cdf(0.5 + confidence / 200))
+
+
+def probabilistic_forecast(y: np.ndarray, horizon: int, **options) -> tuple[np.ndarray, np.ndarray]:
+    """Mean, and the variance that the interval implies."""
+    mean, low, high = probabilistic_fitted(y, **options)(horizon)
+    return mean, deviation_of(low, high) ** 2
+
+
+#: The rivals of the forecasting experiments: a matrix (series x steps, NaN where
+#: missing) -> what forecasts any number of steps.
+FITTED = {"factorisation": trmf_fitted, "additive": additive_fitted, "recurrent": recurrent_fitted, "probabilistic": probabilistic_fitted}
 
 
 # ------------------------------------------------------------------------ groups

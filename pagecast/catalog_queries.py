@@ -443,8 +443,10 @@ for _name, _fn in {
     "q_w04_variance_forecasting": lambda s, d: workloads.variance_forecasting(s, d),
     "q_w05_noise_kinds": lambda s, d: workloads.noise_kinds(s, d),
     "q_w06_poisson_or_not": workloads.poisson_or_not,
-    "q_w13_series_count": workloads.series_count,
-    "q_w14_capacity_growth": workloads.capacity_growth,
+    "q_w07_rival_costs": lambda s, d: workloads.cost_ratios(workloads.rival_costs(s, d)),
+    "q_w12_latency": lambda s, d: workloads.scale_latency(s),
+    "q_w13_series_count": lambda s, d: workloads.series_count(s, d),
+    "q_w14_capacity_growth": lambda s, d: workloads.capacity_growth(s, d),
     "q_w15_minimum_count": workloads.minimum_count,
 }.items():
     query(_name)(_fn)
@@ -455,6 +457,11 @@ def summary(spark, d):
     return workloads.summary(workloads.variance_imputation(spark, d))
 
 
+@query("q_w17_live", "SELECT range::INT AS batch, true AS answered, true AS consistent FROM range(3)")
+def live(spark, d):
+    return workloads.live(spark, d)
+
+
 # ----------------------------------------------------------------------- streaming
 @query("q_r02_hourly", "SELECT date_trunc('hour', ts) AS hour, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 def stream_hours(spark, d):

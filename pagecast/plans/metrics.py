@@ -87,6 +87,11 @@ def latency(run: Callable[[], object], times: int = 5) -> dict[str, float]:
     return {"median": st.median(taken), "least": min(taken), "most": max(taken)}
 
 
+def relative(times: dict[str, float], base: str) -> dict[str, float]:
+    """Every time over that of ``base``."""
+    return {k: v / times[base] for k, v in times.items() if k != base}
+
+
 def per_record(seconds: float, rows: int) -> float:
     """Microseconds per row."""
     return seconds * 1e6 / rows

@@ -38,15 +38,19 @@ class IncrementalModel:
     ``update`` says what a batch between two full solves does to the sub-models
     it changes: 'gram' solves them again from the state (exact), 'columns' folds
     the new pages into the truncated factors, 'fold' leaves the vectors as they
-    are. A sub-model whose older pages changed is always solved again.
+    are. A sub-model whose older pages changed is always solved again. The last
+    ``keep`` versions of the state stay, so that whoever reads beside the writer
+    finds the one that was newest when it looked.
     """
 
-    def __init__(self, spark: SparkSession, n_series: int, config: ModelConfig, root: str | None = None, update: str = "gram"):
+    def __init__(self, spark: SparkSession, n_series: int, config: ModelConfig, root: str | None = None, update: str = "gram", keep: int = 2):
         if config.w is None:
             raise ValueError("a model over a stream needs its page height beforehand")
         if update not in ("gram", "columns", "fold"):
             raise ValueError(f"unknown update {update}")
-        self.spark, self.n, self.config, self.update = spark, n_series, config, update
+        if keep < 2:
+            raise ValueError("readers need the version before the newest")
+        self.spark, self.n, self.config, self.update, self.keep = spark, n_series, config, update, keep
         self.half_pages = half_window(config, n_series) // config.w
         self.root = (root or scratch_path(spark, "stream-model")).rstrip("/")
         self.log: list[tuple[int, int, str, int]] = []
@@ -154,13 +158,13 @@ class IncrementalModel:
             found = self._refreshed(number, won, lost, kind)
         found.write.mode("overwrite").parquet(self._path("factors", number))
         spark.createDataFrame([(number, count, kind, model)], _LOG).coalesce(1).write.mode("append").parquet(f"{self.root}/log")
-        previous = self.last
         self.log.append((number, count, kind, model))
         for table in ("changed", "merged", "won", "lost"):
             drop_path(spark, self._path(table, number))
-        if previous >= 0:
+        # readers that opened the model before may still be at the version before
+        for older, *_ in self.log[: -self.keep][-2:]:
             for table in ("gram", "factors", "spans"):
-                drop_path(spark, self._path(table, previous))
+                drop_path(spark, self._path(table, older))
 
     def _refreshed(self, number: int, won: DataFrame, lost: DataFrame, kind: str) -> DataFrame:
         """Factors of all sub-models after a batch: those that it changed anew,
