@@ -13,7 +13,7 @@ fitted on a bounded sample of labelled documents on the driver and broadcast.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -22,10 +22,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from pagecast.cluster import ship
-from pagecast.llm.words import mix, utf8, worker_for
+from pagecast.cluster import Written, ship
+from pagecast.llm.words import mix, strings, utf8, worker_for
 
 PASSAGE_WORDS = 64
+#: Bytes of text whose passages are described together (some 60 bytes are held for each).
+SHARE = 1 << 18
 BUCKETS = 48
 _HAND = 18
 WIDTH = _HAND + BUCKETS
@@ -35,8 +37,9 @@ WIDTH = _HAND + BUCKETS
 class FitPlan:
     #: labelled documents that the model is fitted on, at most (least hash of the id first)
     documents: int = 8192
-    #: passages of one document in the fit, at most, evenly spaced; scores use all
-    passages: int = 64
+    #: passages of the fit together; documents are taken whole, in the order of
+    #: their ids' hashes, until the next would go beyond
+    passages: int = 250_000
     epochs: int = 24
     batch: int = 256
     code: int = 16
@@ -60,10 +63,46 @@ with np.errstate(over="ignore"):
     _POWER = np.multiply.accumulate(np.concatenate([[np.uint64(1)], np.full(255, 0x9E3779B97F4A7C15, np.uint64)]))
 
 
-def passages(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+def _cut(raw: bytes) -> Iterator[bytes]:
+    """A long text in parts of whole passages."""
+    at, window = 0, SHARE
+    while len(raw) - at > window:
+        space = _IS_SPACE[np.frombuffer(raw, np.uint8, window, at)]
+        starts = np.flatnonzero(~space & np.concatenate([[True], space[:-1]]))
+        words = max(0, len(starts) - 1) // PASSAGE_WORDS * PASSAGE_WORDS
+        if words:
+            yield raw[at : at + int(starts[words])]
+            at, window = at + int(starts[words]), SHARE
+        else:  # less than a passage of very long words
+            window *= 2
+    yield raw[at:]
+
+
+def bags(texts: Iterable[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """``passages`` of some whole texts at a time, in order: those of many short
+    ones, or of one long text, which is described part by part."""
+    held: list[bytes] = []
+    size = 0
+    for text in texts:
+        raw = utf8(text)
+        if held and size + len(raw) > SHARE:
+            yield passages(held)
+            held, size = [], 0
+        if len(raw) > SHARE:
+            parts = [passages([part])[0] for part in _cut(raw)]
+            if len(parts) > 1 and not parts[-1].any():  # white space behind the last passage
+                parts.pop()
+            yield np.concatenate(parts), np.array([sum(map(len, parts))])
+        else:
+            held.append(raw)
+            size += len(raw)
+    if held:
+        yield passages(held)
+
+
+def passages(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     """Features of all passages of all texts, and the number of passages of
     each text. A text without words is one passage of zeros."""
-    raw = [utf8(t) for t in texts]
     sizes = np.array([len(r) + 1 for r in raw], np.int64)
     data = np.frombuffer(b"\n".join(raw) + b"\n", np.uint8) if raw else np.empty(0, np.uint8)
     space = _IS_SPACE[data]
@@ -185,11 +224,14 @@ class AttentionBag:
             "bias": np.array([d_logit.sum()]),
         }
 
+    def scaled(self, features: np.ndarray) -> np.ndarray:
+        return np.clip((features - self.mean) / self.scale, -8, 8)
+
     def fit(self, bags: list[np.ndarray], labels: np.ndarray) -> AttentionBag:
         plan = self.plan
-        every = np.concatenate(bags)
-        self.mean, self.scale = every.mean(0), every.std(0) + 1e-3
-        bags = [np.clip((b - self.mean) / self.scale, -8, 8) for b in bags]
+        number = sum(map(len, bags))
+        self.mean = sum(b.sum(0, dtype=np.float64) for b in bags) / number
+        self.scale = np.sqrt(sum(((b - self.mean) ** 2).sum(0) for b in bags) / number) + 1e-3
         rng = np.random.default_rng(5)
         first = {k: np.zeros_like(v) for k, v in self.p.items()}
         second = {k: np.zeros_like(v) for k, v in self.p.items()}
@@ -200,7 +242,7 @@ class AttentionBag:
             for at in range(0, len(order), plan.batch):
                 chosen = order[at : at + plan.batch]
                 sizes = np.array([len(bags[i]) for i in chosen])
-                probability, kept = self.forward(np.concatenate([bags[i] for i in chosen]), np.cumsum(sizes) - sizes)
+                probability, kept = self.forward(self.scaled(np.concatenate([bags[i] for i in chosen])), np.cumsum(sizes) - sizes)
                 step += 1
                 for k, d in self.gradient(probability, labels[chosen], kept).items():
                     d = d + plan.decay * self.p[k]
@@ -209,12 +251,9 @@ class AttentionBag:
                     self.p[k] -= rate * (first[k] / (1 - 0.9**step)) / (np.sqrt(second[k] / (1 - 0.999**step)) + 1e-8)
         return self
 
-    def scores(self, texts: list[str | None]) -> np.ndarray:
-        if not texts:
-            return np.empty(0)
-        features, sizes = passages(texts)
-        x = np.clip((features - self.mean) / self.scale, -8, 8)
-        return self.forward(x, np.cumsum(sizes) - sizes)[0]
+    def scores(self, texts: Iterable[str | None]) -> np.ndarray:
+        found = [self.forward(self.scaled(features), np.cumsum(sizes) - sizes)[0] for features, sizes in bags(texts)]
+        return np.concatenate(found) if found else np.empty(0)
 
 
 def held_out(doc_id) -> F.Column:
@@ -225,30 +264,39 @@ def fit(docs: DataFrame, labels: DataFrame, plan: FitPlan = FitPlan(), id_col: s
     """A model from the labelled documents that are not held out; None without any.
 
     Null ids and labels take no part; an id with several labels counts as 1 if
-    half of them are. Only ids, labels and texts are read.
+    half of them are; of rows that share an id the greatest text is taken. Only
+    ids, labels and texts are read, and of a document every passage.
     """
     ship(docs.sparkSession)
     known = labels.select(F.col(id_col).alias("doc_id"), F.col(label_col).alias("label")).where("doc_id is not null and label is not null")
     known = known.where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg((F.avg("label") >= 0.5).cast("int").alias("label"))
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(plan.documents)
     texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).join(F.broadcast(chosen), "doc_id")
+    texts = texts.groupBy("doc_id", "label").agg(F.max("text").alias("text")).select(F.col("doc_id").cast("string"), F.xxhash64("doc_id").alias("place"), "label", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in worker_for("classifier", batches):
-            features, sizes = passages(batch.column("text").to_pylist())
-            out = []
-            for at, n in zip(np.cumsum(sizes) - sizes, sizes):
-                some = np.unique(np.linspace(at, at + n - 1, min(n, plan.passages)).astype(np.int64))
-                out.append(features[some].astype(np.float16).tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("label"), pa.array(out, pa.binary())], ["doc_id", "label", "features"])
-
-    kind = docs.schema[id_col].dataType.simpleString()
-    rows = texts.select("doc_id", "text", "label").mapInArrow(run, f"doc_id {kind}, label int, features binary").collect()
-    if not rows:
+            at = 0
+            for features, sizes in bags(strings(batch.column("text"))):
+                own = [part.astype(np.float16).tobytes() for part in np.split(features, np.cumsum(sizes)[:-1])]
+                few = batch.slice(at, len(sizes))
+                at += len(sizes)
+                yield pa.RecordBatch.from_arrays([few.column(0), few.column(1), few.column(2), pa.array(sizes, pa.int64()), pa.array(own, pa.binary())], ["doc_id", "place", "label", "n", "features"])
+
+    made = Written(texts.mapInArrow(run, "doc_id string, place bigint, label int, n bigint, features binary"), "quality-bags")
+    # at most ``plan.documents`` short rows
+    sizes = sorted((r["place"], r["doc_id"], r["n"]) for r in made.df.select("place", "doc_id", "n").collect())
+    fits = int(np.searchsorted(np.cumsum([n for *_, n in sizes]), plan.passages, "right")) if sizes else 0
+    if not fits:
+        made.drop()
         return None
-    rows.sort(key=lambda r: (r["doc_id"], r["features"]))
-    bags = [np.frombuffer(r["features"], np.float16).reshape(-1, WIDTH).astype(np.float64) for r in rows]
-    return AttentionBag(plan).fit(bags, np.array([r["label"] for r in rows], np.float64))
+    place, doc_id, _ = sizes[fits - 1]
+    upto = (F.col("place") < place) | (F.col("place") == place) & (F.col("doc_id") <= doc_id)
+    rows = made.df.where(upto).collect()
+    made.drop()
+    rows.sort(key=lambda r: (r["place"], r["doc_id"]))
+    found = [np.frombuffer(r["features"], np.float16).reshape(-1, WIDTH) for r in rows]
+    return AttentionBag(plan).fit(found, np.array([r["label"] for r in rows], np.float64))
 
 
 def with_scores(df: DataFrame, model: AttentionBag | None, text_col: str = "text", score_col: str = "score") -> DataFrame:
@@ -265,7 +313,7 @@ def with_scores(df: DataFrame, model: AttentionBag | None, text_col: str = "text
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in worker_for("classifier", batches):
             column = batch.column(at)
-            parts = [shared.value.scores(column.slice(k, 256).to_pylist()) for k in range(0, len(column), 256)] if shared.value else [np.full(len(column), 0.5)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(parts) if parts else np.empty(0), pa.float64())], [*batch.schema.names, score_col])
+            found = shared.value.scores(strings(column)) if shared.value else np.full(len(column), 0.5)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.float64())], [*batch.schema.names, score_col])
 
     return df.mapInArrow(run, StructType([*df.schema, StructField(score_col, DoubleType())]))
