@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
 from pagecast.cluster import Written, ship
-from pagecast.llm.words import strings, utf8, worker_for, window_hashes, word_hashes
+from pagecast.llm.words import strings, unused_prefix, utf8, window_hashes, word_hashes, worker_for
 
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 _SYMBOLS = re.compile(rb"[#*$%&|<>]")
@@ -151,21 +151,23 @@ def judged(df: DataFrame, text_col: str = "text", lang_col: str = "lang", source
     counted = with_counts(df, text_col, prefix)
     # the second pass over the texts is cheaper than keeping or shuffling them
     bound = fences(with_counts(df.select(text_col, F.col(lang_col).alias("_l"), F.col(source_col).alias("_s")), text_col, prefix), "_l", "_s", prefix, min_docs)
-    bound = bound.select(F.col("_lang").alias("_b_lang"), F.col("_source").alias("_b_source"), *(F.col(c).alias(f"_b_{c}") for c in bound.columns[2:]))
+    b = unused_prefix("_b_", counted)
+    bound = bound.select(F.col("_lang").alias(f"{b}lang"), F.col("_source").alias(f"{b}source"), *(F.col(c).alias(f"{b}{c}") for c in bound.columns[2:]))
     bound = Written(bound, "quality-fences").df
     if bound.count() <= BROADCAST_PAIRS:
         bound = F.broadcast(bound)
-    both = counted.join(bound, counted[lang_col].eqNullSafe(F.col("_b_lang")) & counted[source_col].eqNullSafe(F.col("_b_source")), "left")
+    both = counted.join(bound, counted[lang_col].eqNullSafe(F.col(f"{b}lang")) & counted[source_col].eqNullSafe(F.col(f"{b}source")), "left")
     failed = _base_failed(prefix)
     inside = F.lit(True)
     for name, value in _ratios(prefix).items():
         value = F.coalesce(value, F.lit(0.0))
-        inside = inside & F.coalesce(value <= F.col(f"_b_{name}_most"), F.lit(True))
-        if f"_b_{name}_least" in both.columns:
-            inside = inside & F.coalesce(value >= F.col(f"_b_{name}_least"), F.lit(True))
+        inside = inside & F.coalesce(value <= F.col(f"{b}{name}_most"), F.lit(True))
+        if f"{b}{name}_least" in both.columns:
+            inside = inside & F.coalesce(value >= F.col(f"{b}{name}_least"), F.lit(True))
     return both.select(*counted.columns, failed.alias(prefix + "base_failed"), (~failed & inside).alias(prefix + "kept"))
 
 
 def filtered(df: DataFrame, **options) -> DataFrame:
     """``df`` without the documents that the rules reject; same columns."""
-    return judged(df, **options).where("_q_kept").select(*df.columns)
+    prefix = unused_prefix("_q_", df)
+    return judged(df, prefix=prefix, **options).where(F.col(f"{prefix}kept")).select(*df.columns)

@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 from pagecast.cluster import Written, ship
-from pagecast.llm.words import mix, strings, utf8, word_hashes, worker_for
+from pagecast.llm.words import mix, strings, unused, utf8, word_hashes, worker_for
 
 #: Fixed: a sentence ends with its last mark or at a line's end, white space after it included.
 _SENTENCE = re.compile(r"(?:[^.!?\n]|[.!?]+(?![.!?\s]))*(?:[.!?]+[ \t\r\x0b\x0c]*\n?|\n|$)")
@@ -147,7 +147,7 @@ def remove_repeats(df: DataFrame, plan: SpanPlan = SpanPlan(), id_col: str = "do
     """
     spark = df.sparkSession
     ship(spark)
-    key, gone = "_span_doc", "_span_gone"
+    key, gone = unused("_span_doc", df), unused("_span_gone", df)
     docs = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     cut = removals(docs, plan)
     cut = cut.select(F.col("doc_id").alias(key), F.col("gone").alias(gone))

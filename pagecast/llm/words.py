@@ -62,6 +62,22 @@ def _give_back() -> None:
         trim(0)
 
 
+def unused(name: str, *frames) -> str:
+    """A column name that none of the tables has."""
+    taken = {c.lower() for f in frames for c in f.columns}
+    while name in taken:
+        name += "_"
+    return name
+
+
+def unused_prefix(prefix: str, *frames) -> str:
+    """A prefix that no column of the tables begins with."""
+    taken = [c.lower() for f in frames for c in f.columns]
+    while any(c.startswith(prefix) for c in taken):
+        prefix = "_" + prefix
+    return prefix
+
+
 def strings(column: pa.Array) -> Iterator[str | None]:
     """The texts of a column, few at a time as Python strings."""
     for at in range(0, len(column), 256):
