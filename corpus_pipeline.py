@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from pagecast.cluster import Written
 from pagecast.llm import near_dedup, packing, quality_classifier, quality_rules, substring_dedup
+from pagecast.llm.words import unused
 
 #: Documents below this probability of being good are rejected.
 LEAST_SCORE = 0.3
@@ -21,8 +22,9 @@ LEAST_SCORE = 0.3
 def classify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Reject what the attention-based quality classifier scores low."""
     model = quality_classifier.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    scored = quality_classifier.with_scores(docs, model, score_col="_pipeline_score")
-    return scored.where(F.col("_pipeline_score") >= LEAST_SCORE).select(*docs.columns)
+    score = unused("_score", docs)
+    scored = quality_classifier.with_scores(docs, model, score_col=score)
+    return scored.where(F.col(score) >= LEAST_SCORE).select(*docs.columns)
 
 
 def apply_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -58,7 +60,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs, held = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
-        docs = Written(stage(spark, docs, sf_dir), f"pipeline-{name}").df
+        made = Written(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        if held is not None:
+            held.drop()
+        docs, held = made.df, made
     return docs
