@@ -23,13 +23,16 @@ BATCH_ROWS = 2000
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder; a private one only where the session names none."""
+    """The shared folder; a private one only where the session names none and
+    driver and workers are one process. Elsewhere a folder has to be named."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     held = spark.sparkContext._jsc.sc().getCheckpointDir()
     if held.isDefined():
         return held.get().rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir has to name a folder that all executors share")
     if not _OWN_DIR:
         _OWN_DIR.append(tempfile.mkdtemp(prefix="pagecast-"))
         spark.sparkContext.setCheckpointDir(f"file://{_OWN_DIR[0]}")
@@ -79,7 +82,8 @@ def ship(spark: SparkSession) -> None:
     """Hand this package to the workers once per application, so that a
     cluster without it on its path can run the vectorised stages. Batches to
     the workers are kept small: whole documents are long rows, and both sides
-    of the pipe hold a batch."""
+    of the pipe hold a batch. For that, and for as long as the session lives,
+    its setting of rows in a batch is lowered to BATCH_ROWS."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     app = spark.sparkContext.applicationId
