@@ -9,9 +9,12 @@ chunk is one table lookup per codebook. The best of each chunk are compared
 exactly on the original vectors, and the chunks' answers are merged.
 
 Vectors are packed into chunks of a fixed number of rows, queries into blocks
-of a fixed number; a task handles one chunk with one block of queries, so its
+of a fixed number; a task meets one chunk with one block at a time, so its
 memory does not depend on the table, and the share of vectors that is compared
-exactly is the same at every size.
+exactly is the same at every size. Both lie in written tables that the tasks
+scan: neither vectors nor codes are shuffled for the meeting, and a chunk is
+read once for every block of queries, a quarter of a byte for each pair of a
+query and a vector of 64 components. Only the ten best of a chunk move on.
 """
 
 from __future__ import annotations
@@ -36,7 +39,7 @@ class SearchPlan:
     sample_rows: int = 8192  # rows that the codebooks are fitted on, at most
     rounds: int = 4
     chunk_rows: int = 4096
-    block_queries: int = 512
+    block_queries: int = 2048
     rerank: int = 224  # of each chunk, compared exactly for each query
     neighbours: int = 10
 
@@ -163,10 +166,11 @@ def search(df: DataFrame, is_query: Column, plan: SearchPlan = SearchPlan(), id_
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(codes, pa.binary()), pa.array(norms, pa.binary())], ["ids", "vectors", "n", "codes", "norms"])
 
     index = Written(index.mapInArrow(encoded, "ids binary, vectors binary, n bigint, codes binary, norms binary"), "vector-index").df
-    queries = _chunks(rows.where("q").select("id", "v"), plan.block_queries, "queries", spark)
+    queries = Written(_chunks(rows.where("q").select("id", "v"), plan.block_queries, "queries", spark), "vector-queries").df
+    kept.drop()
     queries = queries.select(F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors"), F.col("n").alias("q_n"))
     # every block of the stated queries meets every chunk, as packed rows
-    met = index.join(queries, F.lit(True), "inner").repartition(max(8, spark.sparkContext.defaultParallelism))
+    met = index.hint("shuffle_replicate_nl").join(queries, F.lit(True), "inner")
 
     def answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         books = shared.value
