@@ -32,15 +32,16 @@ def _projected(z: Column, listed: Column) -> Column:
     return F.transform(total, lambda x: x / F.size(listed))
 
 
-def denoise(pages: DataFrame, models: DataFrame, half_pages: int, second: bool = True) -> DataFrame:
+def denoise(pages: DataFrame, projecting: DataFrame, half_pages: int, second: bool = True) -> DataFrame:
     """The columns of ``pages`` (cohort, page, vals...) and est1 (, est2): each
     page's values (and squares) projected on the left vectors of the sub-models
     that cover it, averaged over them. A page is its own right vector, so
     nothing of the size of the data is stored for this; one equi-join by half
-    window brings the vectors, and everything else is an expression of the row.
+    window with ``projectors`` brings the vectors, and everything else is an
+    expression of the row.
     """
     half = F.floor(F.col("page") / half_pages).cast("bigint")
-    both = pages.withColumn("half", half).join(projectors(models), ["cohort", "half"])
+    both = pages.withColumn("half", half).join(projecting, ["cohort", "half"])
     squares = F.transform("vals", lambda x: x * x)
     est = {"est1": _projected(F.col("vals"), F.col("m1"))} | ({"est2": _projected(squares, F.col("m2"))} if second else {})
     return both.withColumns(est).drop("m1", "m2", "half")
@@ -62,7 +63,7 @@ def flattened(pages: DataFrame, w: int, keys: list[str], second: bool = True) ->
 
 def impute(pages: DataFrame, models: DataFrame, half_pages: int, w: int) -> DataFrame:
     """(cohort, series_id, step, mean, variance) of every step that has a page."""
-    return flattened(denoise(pages, models, half_pages), w, ["cohort", "series_id"])
+    return flattened(denoise(pages, projectors(models), half_pages), w, ["cohort", "series_id"])
 
 
 def lookup(asks: DataFrame, models: DataFrame, right: DataFrame, half_pages: int, w: int) -> DataFrame:

@@ -13,25 +13,29 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-#: Pages that one task adds up into one Gram matrix: enough to outweigh the matrix itself.
-PAGES_TOGETHER = 4096
+#: Pages that one task adds up into one Gram matrix, at least; never fewer than
+#: three for each of their rows, so that a matrix is smaller than what it sums up.
+PAGES_TOGETHER = 256
 #: Partial matrices of one half window, at most.
 MOST_PARTS = 64
 
 
 def _laid_out(entries: Column, w: int, absent: float | None = 0.0) -> Column:
     """An array of w cells from (row, value) entries, ``absent`` where there is
-    none: the missing rows are added and all are sorted, w log w steps."""
+    none: the missing rows are added and all are sorted, w log w steps. A page
+    that came complete and in order is taken as it is."""
     rows = F.transform(entries, lambda e: e["row"])
-    missing = F.array_except(F.sequence(F.lit(0).cast("bigint"), F.lit(w - 1).cast("bigint")), rows)
+    full = F.sequence(F.lit(0).cast("bigint"), F.lit(w - 1).cast("bigint"))
+    missing = F.array_except(full, rows)
     every = F.concat(entries, F.transform(missing, lambda i: F.struct(i.alias("row"), F.lit(absent).cast("double").alias("value"))))
     cells = F.transform(F.array_sort(every), lambda e: e["value"])
-    return F.when(F.size(every) == w, cells).otherwise(F.raise_error(F.lit("two values for one step of a series")))
+    values = F.transform(entries, lambda e: e["value"])
+    return F.when(rows == full, values).when(F.size(every) == w, cells).otherwise(F.raise_error(F.lit("two values for one step of a series")))
 
 
-def salts(pages_of_half: int) -> int:
+def salts(pages_of_half: int, w: int) -> int:
     """Tasks that share a half window's pages."""
-    return max(1, min(MOST_PARTS, -(-pages_of_half // PAGES_TOGETHER)))
+    return max(1, min(MOST_PARTS, -(-pages_of_half // max(PAGES_TOGETHER, 3 * w))))
 
 
 def salt_of(number: int) -> Column:

@@ -108,18 +108,22 @@ class Engine:
                 placed = placed.join(members.select("cohort", "series_id", "mu", "sd"), ["cohort", "series_id"])
             else:
                 placed = placed.withColumns({"mu": F.lit(0.0), "sd": F.lit(1.0)})
-            pages = pagematrix.gathered(placed, w, model.half_pages, pagematrix.salts(n * model.half_pages), ("covered", "mu", "sd"))
+            pages = pagematrix.gathered(placed, w, model.half_pages, pagematrix.salts(n * model.half_pages, w), ("covered", "mu", "sd"))
             store.save(name, "pages", pages.withColumn("bucket", F.floor(F.col("half") / model.bucket_halves).cast("bigint")))
             pages = store.load(name, "pages")
             full = pages.where(F.col("page") * w < F.col("covered"))
             store.save(name, "factors", factor.train(full, model.half_pages, config))
             factors = store.load(name, "factors")
             # small tables, independent of each other
-            with ThreadPoolExecutor(3) as pool:
-                jobs = [pool.submit(store.save, name, "weights", answers.weight_view(factors, config.average)), pool.submit(store.save, name, "members", self._with_recent(members, pages, w))]
-                if keep_right:
-                    jobs.append(pool.submit(store.save, name, "right", factor.right_vectors(_scaled(full), factors, model.half_pages)))
-                for job in jobs:
+            tables = {
+                "weights": answers.weight_view(factors, config.average),
+                "projectors": answers.projectors(factors).withColumn("idx_bucket", F.floor(F.col("half") / 1000).cast("bigint")),
+                "members": self._with_recent(members, pages, w),
+            }
+            if keep_right:
+                tables["right"] = factor.right_vectors(_scaled(full), factors, model.half_pages)
+            with ThreadPoolExecutor(len(tables)) as pool:
+                for job in [pool.submit(store.save, name, table, df) for table, df in tables.items()]:
                     job.result()
         else:
             store.save(name, "members", members.withColumn("recent", F.array().cast("array<double>")))
@@ -205,12 +209,12 @@ class Engine:
         low, high = max(0, (first - model.first[1]) // per), (last - model.first[0]) // per
         return self.store.load(model.name, "pages").where(F.col("bucket").between(low, high))
 
-    def _factors(self, model: Model, first: int, last: int) -> DataFrame:
-        """Factors of the sub-models whose halves can hold the steps first..last."""
+    def _projectors(self, model: Model, first: int, last: int) -> DataFrame:
+        """The vectors of the half windows that can hold the steps first..last."""
         per = model.half_pages * model.w
-        low, high = max(0, (first - model.first[1]) // per - 1), max(0, (last - model.first[0]) // per)
-        factors = self.store.load(model.name, "factors")
-        return factors.where(F.col("idx_bucket").between(low // 1000, high // 1000) & F.col("model_idx").between(low, high))
+        low, high = max(0, (first - model.first[1]) // per), max(0, (last - model.first[0]) // per)
+        held = self.store.load(model.name, "projectors")
+        return held.where(F.col("idx_bucket").between(low // 1000, high // 1000) & F.col("half").between(low, high))
 
     def _imputed(self, model: Model, members: DataFrame, first: int, last: int, series: list[str] | None, second: bool) -> DataFrame:
         w = model.w
@@ -226,7 +230,7 @@ class Engine:
         scaled = F.transform("raw", lambda x: F.coalesce((x - F.col("mu")) / F.col("sd"), F.lit(0.0)))
         held = grid.join(pages.select("cohort", "series_id", "page", F.col("vals").alias("raw")), ["cohort", "series_id", "page"], "left")
         held = held.withColumn("vals", F.coalesce(scaled, zero)).drop("raw")
-        est = answers.denoise(held, self._factors(model, first, last), model.half_pages, second)
+        est = answers.denoise(held, self._projectors(model, first, last).drop("idx_bucket"), model.half_pages, second)
         cells = answers.flattened(est, w, ["cohort", "series_id", "first", "mu", "sd"], second)
         return cells.withColumn("step", F.col("step") + F.col("first")).where(F.col("step").between(first, last))
 

@@ -111,7 +111,7 @@ class IncrementalModel:
         w, spark = self.config.w, self.spark
         rows = batch.select("cohort", "series_id", F.col("step").cast("bigint").alias("rel"), F.col("value").cast("double").alias("value")).where("rel >= 0 and not isnan(value)")
         rows = rows.groupBy("cohort", "series_id", "rel").agg(F.max("value").alias("value"))
-        changed = pagematrix.gathered(rows, w, self.half_pages, pagematrix.salts(self.n * self.half_pages))
+        changed = pagematrix.gathered(rows, w, self.half_pages, pagematrix.salts(self.n * self.half_pages, w))
         path = self._path("changed", number)
         changed.write.mode("overwrite").parquet(path)
         changed = spark.read.schema("cohort string, half bigint, salt int, series_id string, page bigint, vals array<double>, seen bigint").parquet(path)
