@@ -1,8 +1,10 @@
 """Text operators against brute force on small, awkward inputs."""
 
+import io
 import random
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import public_tokenizers
@@ -228,15 +230,65 @@ def test_classifier_learns_and_scores_everything(spark):
 
 def test_passages_count_every_word():
     texts = ODD + ["a " * 129]
-    features, bags = quality_classifier.passages(texts)
+    raw = [(t or "").encode() for t in texts]
+    features, bags = quality_classifier.passages(raw)
     assert len(features) == bags.sum() and bags[-1] == 3 and bags[0] == bags[1] == 1 and not np.isnan(features).any()
-    for t in texts:
+    for t in raw:
         alone, n = quality_classifier.passages([t])
-        at = int(np.cumsum(bags)[texts.index(t)] - n[0])
+        at = int(np.cumsum(bags)[raw.index(t)] - n[0])
         assert np.allclose(alone, features[at : at + n[0]], atol=1e-6)
 
 
+def test_long_texts_are_described_in_parts(monkeypatch):
+    rng = random.Random(8)
+    word = lambda: "".join(rng.choice("abcXYZ.,#1é") for _ in range(rng.choice([1, 3, 6, 40])))
+    texts = [" ".join(word() for _ in range(rng.choice([0, 5, 64, 65, 128, 700, 3000]))) + rng.choice(["", " \n ", "\n" * 900]) for _ in range(40)] + [None, " " * 5000, "x" * 9000]
+    want, sizes = quality_classifier.passages([(t or "").encode() for t in texts])
+    model = quality_classifier.AttentionBag()
+    scores = model.scores(texts)
+    monkeypatch.setattr(quality_classifier, "SHARE", 600)
+    found = list(quality_classifier.bags(texts))
+    assert np.concatenate([n for _, n in found]).tolist() == sizes.tolist()
+    assert np.allclose(np.concatenate([f for f, _ in found]), want, atol=1e-6)
+    assert np.allclose(model.scores(texts), scores)
+
+
+def test_scores_equal_a_plain_forward_pass(spark):
+    """The operator's score of a document against loops over its passages."""
+    docs = frame(spark, [(k, ("fine words of a house. " if k % 2 else "#$% 12 || ") * (1 + k % 90)) for k in range(120)])
+    marks = spark.createDataFrame([(k, k % 2) for k in range(120)], "doc_id long, quality int")
+    model = quality_classifier.fit(docs, marks)
+    p = model.p
+    for r in quality_classifier.with_scores(docs.drop("score"), model).collect():
+        features, _ = quality_classifier.passages([r["text"].encode()])
+        codes, weights = [], []
+        for row in features:
+            h = np.tanh(np.clip((row - model.mean) / model.scale, -8, 8) @ p["code"] + p["code_bias"])
+            codes.append(h)
+            weights.append(float((np.tanh(h @ p["show"]) / (1 + np.exp(-(h @ p["let"])))) @ p["weight"]))
+        weights = np.exp(np.array(weights) - max(weights))
+        z = sum(w * h for w, h in zip(weights / weights.sum(), codes))
+        assert abs(r["score"] - 1 / (1 + np.exp(-(z @ p["score"] + p["bias"][0])))) < 1e-9
+
+
 # ------------------------------------------------------------------------- packing
+def test_shortest_pack_comes_first():
+    assert sorted(packing.shortest_pack_first({60: 1, 50: 1, 5: 2}, 100)) == [([50, 5, 5], 1), ([60], 1)]
+    rng = random.Random(1)
+    for _ in range(50):
+        histogram = {rng.randint(1, 40): rng.randint(1, 9) for _ in range(rng.randint(1, 12))}
+        packs = []
+        for length in sorted(histogram, reverse=True):
+            for _ in range(histogram[length]):
+                least = min(packs, key=sum, default=None)
+                if least is None or sum(least) + length > 40:
+                    packs.append([length])
+                else:
+                    least.append(length)
+        got = [p for p, n in packing.shortest_pack_first(histogram, 40) for _ in range(n)]
+        assert Counter(map(sum, got)) == Counter(map(sum, packs))
+
+
 def check_packing(rows, ids, limit=4096):
     by_seq, by_doc = {}, {}
     for r in rows:
@@ -291,18 +343,40 @@ def test_number_streams_round_trip():
 
 def test_token_files_round_trip(spark, monkeypatch):
     monkeypatch.setattr(token_files, "FILE_IDS", 500)
+    monkeypatch.setattr(token_files, "SEGMENT", 64)
     t = Tokenizer.from_file(BYTE)
-    rows = [(37 * k % 11 - 5, x) for k, x in enumerate(ODD)]
+    rows = [(37 * k % 11 - 5, x) for k, x in enumerate(ODD)] + [(2, x) for x in ODD * 3]
     got = sorted(token_files.round_trip(frame(spark, rows), BYTE).collect(), key=lambda r: r["start"])
     at = 0
-    for r, (doc, text) in zip(got, sorted(rows)):
-        want = t.encode(text or "", add_special_tokens=False).ids + [0]
-        assert (r["doc_id"], r["start"], r["n_tokens"], r["ids_crc32"]) == (doc, at, len(want), zlib.crc32(np.array(want, "<u4").tobytes()))
-        at += len(want)
+    encoded = [(doc, t.encode(text or "", add_special_tokens=False).ids + [0]) for doc, text in rows]
+    want = Counter((doc, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes())) for doc, ids in encoded)
+    assert Counter((r["doc_id"], r["n_tokens"], r["ids_crc32"]) for r in got) == want
+    assert [r["doc_id"] for r in got] == sorted(doc for doc, _ in rows)
+    for r in got:  # gapless, in order
+        assert r["start"] == at
+        at += r["n_tokens"]
     assert len(got) == len(rows) and token_files.round_trip(frame(spark, [(None, "a"), (None, None)]), BYTE).count() == 2
     assert token_files.round_trip(frame(spark, rows).where("false"), BYTE).count() == 0
+
+
+@pytest.mark.parametrize("segment", [1, 4, 7, 1 << 17])
+def test_token_file_format(monkeypatch, segment):
+    monkeypatch.setattr(token_files, "SEGMENT", segment)
+    rng = random.Random(segment)
+    docs = [(None if k % 5 == 0 else k, np.array([rng.randrange(1 << rng.choice([7, 15, 23, 31])) for _ in range(rng.choice([0, 1, 3, 9, 40]))], np.uint32)) for k in range(40)]
+    for some in (docs, docs[:1], [], [(1, np.empty(0, np.uint32))] * 3):
+        file, out = token_files.FileWriter(), io.BytesIO()
+        for doc, ids in some:
+            file.add(doc, ids)
+        file.write(out)
+        got = [(d, int(s), r.tolist()) for part in token_files.parse_file(io.BytesIO(out.getvalue())) for d, s, r in zip(*part)]
+        starts = np.cumsum([0] + [len(i) for _, i in some])
+        assert got == [(d, int(s), i.tolist()) for (d, i), s in zip(some, starts)]
+    file, out = token_files.FileWriter(), io.BytesIO()
+    file.add(1, np.array([5], np.uint32))
+    file.write(out)
     with pytest.raises(ValueError):
-        token_files.parse_file(token_files.file_bytes([1], [np.array([5], "<u4")])[:-1])
+        list(token_files.parse_file(io.BytesIO(out.getvalue()[:-1])))
 
 
 # ---------------------------------------------------------------------------- pages
