@@ -341,3 +341,62 @@ def variance_ahead(spark, d):
     engine = _one(spark, d, ModelConfig(w=2, r_impute=2, r_forecast=1))
     end = engine.model("m").end[1]
     return engine.predict("m", end, end + 6).select("series_id", "step", R(F.col("sd") ** 2 / 1e6, 2).alias("variance"))
+
+
+_EST = f"{_P2}, g AS (SELECT {_SUMS} FROM p), x AS (SELECT 0.5 * atan2(2 * ab, aa - bb) AS x1, 0.5 * atan2(2 * ab2, aa2 - bb2) AS x2 FROM g), e AS (SELECT series_id, page * 2 + i.range AS r, (a * cos(x1) + b * sin(x1)) * CASE WHEN i.range = 0 THEN cos(x1) ELSE sin(x1) END AS mean, (a * a * cos(x2) + b * b * sin(x2)) * CASE WHEN i.range = 0 THEN cos(x2) ELSE sin(x2) END AS second FROM p, x, range(2) i), v AS (SELECT series_id, r, mean, greatest(0, second - mean * mean) AS variance FROM e)"
+
+
+def _with_cohort(spark, d) -> DataFrame:
+    rows = _orders(spark, d)
+    lo = rows.agg(F.min("step").alias("lo"))
+    pages = pagematrix.build(rows.join(F.broadcast(lo)).withColumn("step", F.col("step") - F.col("lo")), 2)
+    return answers.impute(pages, factor.train(pages, 1 << 20, ModelConfig(w=2, r_impute=1, r_forecast=1)), 1 << 20, 2)
+
+
+@query("q_m39_ratio", f"WITH {_EST} SELECT round(avg(variance) / avg(mean), 3) + 0.0 AS ratio, round(avg((abs(variance - mean) <= 0.15 * abs(mean))::INT), 6) + 0.0 AS near, 'other' AS verdict FROM v")
+def ratio(spark, d):
+    """The dispersion test on latent estimates of prices."""
+    out = answers.poisson_check(_with_cohort(spark, d))
+    return out.select(R("ratio", 3).alias("ratio"), R("share", 6).alias("near"), "verdict")
+
+
+@query("q_a13_variance_error", f"WITH {_EST}, t AS (SELECT series_id, r, variance, 1e9 + 1e8 * (r % 7) AS truth FROM v), s AS (SELECT series_id, sum((variance - truth) ** 2) AS e, count(*) AS n, var_pop(truth) AS vt FROM t GROUP BY 1) SELECT round(sqrt(sum(e / vt) / sum(n)), 4) + 0.0 AS nrmse FROM s")
+def variance_error(spark, d):
+    """The error measure on variances, against a stated one."""
+    from pagecast.plans import metrics
+
+    est = _with_cohort(spark, d)
+    truth = est.select("cohort", "series_id", "step", (1e9 + 1e8 * (F.col("step") % 7)).alias("latent_variance"))
+    return metrics.nrmse(est, truth, predicted="variance", true="latent_variance").select(R("nrmse", 4).alias("nrmse"))
+
+
+@query("q_a12_relative", "WITH t(n, nrmse, s) AS (VALUES (1, 0.8, 2.0), (10, 0.5, 13.6), (40, 0.1, 32.4)) SELECT n::INT AS n, round(nrmse::DOUBLE / 0.8, 6) + 0.0 AS nrmse, round(s::DOUBLE / 2.0, 6) + 0.0 AS s FROM t")
+def relative(spark, d):
+    """Measures over their value for a single series."""
+    from pagecast.plans import metrics
+
+    rows = spark.createDataFrame([(1, 0.8, 2.0), (10, 0.5, 13.6), (40, 0.1, 32.4)], "n int, nrmse double, s double")
+    return metrics.relative_to_first(rows, "n", ["nrmse", "s"]).select("n", R("nrmse", 6).alias("nrmse"), R("s", 6).alias("s"))
+
+
+@query("q_m40_kinds", "WITH o AS (SELECT 'whole' AS series_id, o_orderkey // 16 AS r, count(*)::DOUBLE AS value FROM orders GROUP BY 2 UNION ALL SELECT 'flag', o_orderkey // 16, max(o_totalprice > 150000)::INT::DOUBLE FROM orders GROUP BY 2), e AS (SELECT max(r) + 1 AS t FROM o), g AS (SELECT s.series_id, unnest(generate_series(0, e.t - e.t % 2 - 1)) AS step FROM e, (SELECT DISTINCT series_id FROM o) s) SELECT g.series_id, g.step::BIGINT AS step, round(coalesce(value, 0), 6) + 0.0 AS mean FROM g LEFT JOIN o ON o.series_id = g.series_id AND o.r = g.step")
+def kinds(spark, d):
+    """Integer and boolean observations through the same path as floats."""
+    o = series.table(spark, d, "orders")
+    step = F.floor(F.col("o_orderkey") / 16).cast("bigint").alias("step")
+    counts = o.groupBy(step).agg(F.count("*").cast("int").alias("value"))
+    flags = o.groupBy(step).agg(F.max(F.col("o_totalprice") > 150000).alias("value"))
+    long = counts.select(F.lit("all").alias("cohort"), F.lit("whole").alias("series_id"), "step", "value").unionByName(flags.select(F.lit("all").alias("cohort"), F.lit("flag").alias("series_id"), "step", F.col("value").cast("int").alias("value")))
+    engine = Engine(spark)
+    zero = long.unionByName(spark.createDataFrame([("all", "whole", 0, None)], "cohort string, series_id string, step bigint, value int"))
+    engine.create_model("m", zero, ModelConfig(w=2, r_impute=2, r_forecast=1))
+    model = engine.model("m")
+    return engine.predict("m", 0, model.covered[1] - 1, uncertainty=False).select("series_id", "step", R("mean", 6).alias("mean"))
+
+
+@query("q_a10_relative", "SELECT 'impute' AS kind, 2.0::DOUBLE AS x UNION ALL SELECT 'forecast', 3.5")
+def relative_times(spark, d):
+    """Times of questions over that of a point SELECT."""
+    from pagecast.plans import metrics
+
+    return spark.createDataFrame(list(metrics.relative({"select": 2.0, "impute": 4.0, "forecast": 7.0}, "select").items()), "kind string, x double")

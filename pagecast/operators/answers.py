@@ -94,8 +94,8 @@ def weight_view(models: DataFrame, average: int) -> DataFrame:
 def history(long: DataFrame, w: int, at: DataFrame) -> DataFrame:
     """(cohort, series_id, now, lags, lags2): the last w - 1 steps before and at
     ``at``(cohort, now) per series, absent ones zero, of values and squares."""
-    recent = long.join(F.broadcast(at), "cohort").where((F.col("step") <= F.col("now")) & (F.col("step") > F.col("now") - (w - 1)) & F.col("value").isNotNull())
-    every = long.select("cohort", "series_id").distinct().join(F.broadcast(at), "cohort")
+    recent = long.join(at, "cohort").where((F.col("step") <= F.col("now")) & (F.col("step") > F.col("now") - (w - 1)) & F.col("value").isNotNull())
+    every = long.select("cohort", "series_id").distinct().join(at, "cohort")
     held = recent.groupBy("cohort", "series_id").agg(F.map_from_entries(F.collect_list(F.struct((F.col("step") - F.col("now") + (w - 2)).cast("int"), "value"))).alias("m"))
     lags = F.transform(F.sequence(F.lit(0), F.lit(w - 2)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0)))
     out = every.join(held, ["cohort", "series_id"], "left").withColumn("m", F.coalesce("m", F.create_map().cast("map<int,double>")))

@@ -91,4 +91,4 @@ def with_rank(long: DataFrame) -> DataFrame:
     """0-based rank of each series' name within its cohort."""
     names = long.select("cohort", "series_id").distinct()
     ranked = names.withColumn("rank", (F.row_number().over(Window.partitionBy("cohort").orderBy("series_id")) - 1).cast("bigint"))
-    return long.join(F.broadcast(ranked), ["cohort", "series_id"])
+    return long.join(ranked, ["cohort", "series_id"])
