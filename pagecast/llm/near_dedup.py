@@ -39,15 +39,21 @@ from pyspark.sql import functions as F
 
 from pagecast.cluster import Written, ship
 from pagecast.llm.components import connected_components
-from pagecast.llm.words import mix, shingle_set, strings, worker_for
+from pagecast.llm.words import mix, shingle_set, strings, unused, utf8, worker_for
 
 
 #: Ids of texts to compare are broadcast up to this number (16 MB); more are left to the shuffle joins.
 BROADCAST_IDS = 2_000_000
 
 
-#: Members of a bucket whose texts one task holds from either side.
-BLOCK = 256
+#: Members of a bucket, and bytes of their texts, that one task holds from either side, about.
+BLOCK, BLOCK_BYTES = 256, 1 << 22
+#: Blocks of one side that a task meets with all blocks of the other.
+BLOCKS_TOGETHER = 8
+#: Pairs with one pivot that one task compares.
+PAIRS_TOGETHER = 2000
+#: Shingles times permutations whose images are held at once.
+IMAGES = 1 << 16
 
 
 @dataclass(frozen=True)
@@ -68,12 +74,15 @@ def _multipliers(count: int) -> tuple[np.ndarray, np.ndarray]:
 def signature(shingles: np.ndarray, plan: DedupPlan) -> np.ndarray:
     """Smallest and largest value of each permutation, side by side."""
     scale, shift = _MULTIPLIERS.setdefault(plan.permutations, _multipliers(plan.permutations))
-    out = np.empty(2 * plan.permutations, np.uint64)
+    out = np.empty((plan.permutations, 2), np.uint64)
+    some = max(1, min(plan.permutations, IMAGES // max(1, len(shingles))))
     with np.errstate(over="ignore"):
-        for k in range(plan.permutations):
-            image = shingles * scale[k] + shift[k]
-            out[2 * k], out[2 * k + 1] = image.min(), image.max()
-    return out
+        for k in range(0, plan.permutations, some):
+            image = shingles * scale[k : k + some, None]
+            image += shift[k : k + some, None]
+            image.min(axis=1, out=out[k : k + some, 0])
+            image.max(axis=1, out=out[k : k + some, 1])
+    return out.reshape(-1)
 
 
 _MULTIPLIERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -91,36 +100,36 @@ def bands(shingles: np.ndarray, plan: DedupPlan) -> np.ndarray:
 
 
 def _summaries(docs: DataFrame, plan: DedupPlan) -> DataFrame:
-    """(doc_id, n_shingles, digest, bands); a text without words has no digest."""
+    """(doc_id, n_shingles, n_bytes, digest, bands); a text without words has no digest."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in worker_for("shingles", batches):
-            sizes, digests, keys = [], [], []
+            sizes, lengths, digests, keys = [], [], [], []
             last: tuple[str | None, tuple] = (None, ())
             for text in strings(batch.column(1)):
                 if text is None or text != last[0]:
                     found = shingle_set(text, plan.shingle_words)
                     if len(found):
                         # a shorter set and a longer one never share a digest
-                        last = (text, (len(found), xxhash.xxh3_128_digest(found.tobytes()), bands(found, plan).view(np.int64)))
+                        last = (text, (len(found), len(utf8(text)), xxhash.xxh3_128_digest(found.tobytes()), bands(found, plan).view(np.int64)))
                     else:
-                        last = (text, (0, None, None))
-                for column, value in zip((sizes, digests, keys), last[1]):
+                        last = (text, (0, 0, None, None))
+                for column, value in zip((sizes, lengths, digests, keys), last[1]):
                     column.append(value)
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.array(keys, pa.list_(pa.int64()))],
-                ["doc_id", "n_shingles", "digest", "bands"],
+                [batch.column(0), pa.array(sizes, pa.int64()), pa.array(lengths, pa.int64()), pa.array(digests, pa.binary()), pa.array(keys, pa.list_(pa.int64()))],
+                ["doc_id", "n_shingles", "n_bytes", "digest", "bands"],
             )
 
-    return docs.mapInArrow(run, "doc_id bigint, n_shingles bigint, digest binary, bands array<bigint>")
+    return docs.mapInArrow(run, "doc_id bigint, n_shingles bigint, n_bytes bigint, digest binary, bands array<bigint>")
 
 
 def _confirmed(pairs: DataFrame, docs: DataFrame, plan: DedupPlan) -> DataFrame:
     """pairs(a, b) -> (a, b, linked, close) from the full shingle sets.
 
     Texts travel, not sets: they compress to a third of the sets' size. Rows
-    are small in number (a few for each member), and a hot pivot's pairs can be
-    split over tasks, as nothing above the joins needs them together.
+    are small in number (a few for each member). A hot pivot's pairs are dealt
+    over tasks by a salt that follows their number, and its text goes to each.
     """
 
     def side(name: str) -> DataFrame:
@@ -148,7 +157,11 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, plan: DedupPlan) -> DataFrame:
                 close.append(100 * both >= reach * union)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(linked, pa.bool_()), pa.array(close, pa.bool_())], ["a", "b", "linked", "close"])
 
-    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_text", "b_text")
+    shares = F.ceil(F.count("*") / PAIRS_TOGETHER)
+    pivots = pairs.groupBy("b").agg(shares.alias("shares"))
+    dealt = pairs.join(pivots, "b").withColumn("salt", F.pmod(F.xxhash64("a"), F.col("shares"))).drop("shares")
+    everywhere = side("b").join(pivots, "b").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("shares") - 1))).drop("shares")
+    both = dealt.join(side("a"), "a").join(everywhere, ["b", "salt"]).select("a", "b", "a_text", "b_text")
     compared = both.mapInArrow(run, "a bigint, b bigint, linked boolean, close boolean")
     # rows that share an id are one node: one of their texts is enough
     return compared.groupBy("a", "b").agg(F.max("linked").alias("linked"), F.max("close").alias("close"))
@@ -157,8 +170,9 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, plan: DedupPlan) -> DataFrame:
 class _Links:
     """The pairs compared so far and the components of the links among them."""
 
-    def __init__(self, docs: DataFrame, plan: DedupPlan):
+    def __init__(self, docs: DataFrame, plan: DedupPlan, lengths: DataFrame):
         self.docs, self.plan = docs, plan
+        self.lengths = lengths  # (id, n_bytes) of all members
         self.checked: list[Written] = []
         self.component: Written | None = None
 
@@ -192,28 +206,37 @@ class _Links:
         Few pairs are compared one by one, each once. Many are compared in
         blocks of members: a task gets the texts of two blocks, compares them
         exactly and returns no more links than connect what is linked, so pairs
-        are never rows.
+        are never rows. Blocks are bounded in members and in bytes; a large
+        group's left blocks are dealt over tasks by a salt that follows their
+        number, and its right blocks go to each.
         """
         other = left if right is None else right
-        size = lambda df, name: df.groupBy(*keys).agg(F.count("*").alias(name))
-        sizes = Written(size(left, "n").join(size(other, "m"), keys), "dedup-sizes")
+
+        def size(df: DataFrame, name: str) -> DataFrame:
+            blocks = F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n_bytes") / BLOCK_BYTES), F.lit(1))
+            return df.join(self.lengths, "id").groupBy(*keys).agg(F.count("*").alias(name), blocks.alias(f"{name}_blocks"))
+
+        sizes = Written(size(left, "n").join(size(other, "m"), keys).withColumn("shares", F.ceil(F.col("n_blocks") / BLOCKS_TOGETHER)), "dedup-sizes")
         total = sizes.df.agg(F.sum(F.col("n") * F.col("m"))).first()[0] or 0
         if not total:
+            sizes.drop()
             return
         renamed = other.select(*keys, F.col("id").alias("z"))
         if total <= many:
             self.compare(left.join(renamed, keys).where("id <> z").select(F.greatest("id", "z").alias("a"), F.least("id", "z").alias("b")))
+            sizes.drop()
             return
-        ids = Written(left.select("id").unionByName(other.select("id")).distinct(), "dedup-ids").df
-        wanted = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+        ids = Written(left.select("id").unionByName(other.select("id")).distinct(), "dedup-ids")
+        wanted = F.broadcast(ids.df) if ids.df.count() <= BROADCAST_IDS else ids.df
         texts = self.docs.join(wanted, F.col("doc_id") == F.col("id"), "left_semi").select(F.col("doc_id").alias("id"), "text")
 
         def blocks(df: DataFrame, count: str, name: str) -> DataFrame:
-            number = F.ceil(F.col(count) / BLOCK)
-            cut = df.join(sizes.df, keys).withColumn(f"{name}_block", F.pmod(F.xxhash64("id"), number)).select(*keys, "id", f"{name}_block")
-            return cut.join(texts, "id").groupBy(*keys, f"{name}_block").agg(F.collect_list(F.struct("id", "text")).alias(name))
+            cut = df.join(sizes.df, keys).withColumn(f"{name}_block", F.pmod(F.xxhash64("id"), F.col(f"{count}_blocks"))).select(*keys, "shares", "id", f"{name}_block")
+            return cut.join(texts, "id").groupBy(*keys, "shares", f"{name}_block").agg(F.collect_list(F.struct("id", "text")).alias(name))
 
-        met = blocks(left, "n", "x").join(blocks(other, "m", "y"), keys)
+        dealt = blocks(left, "n", "x").withColumn("salt", F.pmod(F.col("x_block"), F.col("shares"))).drop("shares")
+        everywhere = blocks(other, "m", "y").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("shares") - 1))).drop("shares")
+        met = dealt.join(everywhere, [*keys, "salt"])
         if right is None:
             met = met.where("x_block <= y_block")
         merged, plan = right is not None, self.plan
@@ -226,6 +249,8 @@ class _Links:
 
         found = met.select("x", "y").mapInArrow(run, "a bigint, b bigint")
         self.add(found.distinct().select("a", "b", F.lit(True).alias("linked"), F.lit(True).alias("close")))
+        sizes.drop()
+        ids.drop()
 
 
 def _forest(xs: list[dict], ys: list[dict], plan: DedupPlan, merged: bool) -> list[tuple[int, int]]:
@@ -283,13 +308,14 @@ def near_duplicates(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str =
     known = Written(_summaries(docs, plan), "dedup-summaries")
     some = known.df.where("digest is not null and doc_id is not null")
     # copies share their bands, so any of them will do
-    classes = Written(some.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), "dedup-classes")
+    classes = Written(some.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.max("n_bytes").alias("n_bytes")), "dedup-classes")
     many = classes.df.count()
 
     banded = classes.df.select(F.col("rep").alias("id"), F.explode("bands").alias("bucket")).distinct()
     several = banded.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
     active = Written(banded.join(several, "bucket"), "dedup-buckets")
-    links = _Links(docs, plan)
+    # an id with several texts has the lengths of all
+    links = _Links(docs, plan, classes.df.groupBy(F.col("rep").alias("id")).agg(F.sum("n_bytes").alias("n_bytes")))
 
     # every member with its bucket's pivot
     first = active.df.groupBy("bucket").agg(F.min("id").alias("pivot"))
@@ -304,8 +330,9 @@ def near_duplicates(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str =
     # members that are not linked with the pivot, with each other, where they lie in different components
     rest = Written(links.placed(seen.df.where("not linked").select("bucket", "id"), "id", "own"), "dedup-rest")
     going = rest.df.groupBy("bucket").agg(F.min("own").alias("least"), F.max("own").alias("most")).where("least <> most").select("bucket")
-    links.compare_groups(Written(rest.df.join(going, "bucket").select("bucket", "id"), "dedup-going").df, None, ["bucket"], many)
-    for old in (active, met, seen, apart, rest):
+    going = Written(rest.df.join(going, "bucket").select("bucket", "id"), "dedup-going")
+    links.compare_groups(going.df, None, ["bucket"], many)
+    for old in (active, met, seen, apart, rest, going):
         old.drop()
 
     member = some.select("digest", F.col("doc_id"), "n_shingles").join(classes.df.select("digest", "rep"), "digest")
@@ -320,14 +347,15 @@ def keep_one(df: DataFrame, plan: DedupPlan = DedupPlan(), id_col: str = "doc_id
     """``df`` with one document of each group of near-duplicates, the one with
     the smallest id; of rows that repeat its id, one. Rows with a null id, and
     texts without words, stay. Columns are those of ``df``."""
-    found = Written(near_duplicates(df, plan, id_col, text_col).select(F.col(id_col).alias("_dup_id"), "kept"), "dedup-verdicts")
-    gone = found.df.where("not kept").select("_dup_id").distinct()
+    own = unused("_dup_id", df)
+    found = Written(near_duplicates(df, plan, id_col, text_col).select(F.col(id_col).alias(own), F.col("kept").alias("kept")), "dedup-verdicts")
+    gone = found.df.where("not kept").select(own).distinct()
     if gone.count() <= BROADCAST_IDS:
         gone = F.broadcast(gone)
-    out = df.join(gone, df[id_col] == F.col("_dup_id"), "left_anti")
-    repeated = found.df.where("kept and _dup_id is not null").groupBy("_dup_id").count().where("count > 1").select("_dup_id")
+    out = df.join(gone, df[id_col] == F.col(own), "left_anti")
+    repeated = found.df.where(F.col("kept") & F.col(own).isNotNull()).groupBy(own).count().where("count > 1").select(own)
     if repeated.limit(1).count():
-        at = out[id_col] == F.col("_dup_id")
+        at = out[id_col] == F.col(own)
         out = out.join(repeated, at, "left_anti").unionByName(out.join(repeated, at, "left_semi").dropDuplicates([id_col]))
     return out
 
