@@ -20,6 +20,8 @@ _OWN_DIR: list[str] = []
 _SHIPPED: set[str] = set()
 #: Rows of a batch that a Python worker gets, at most (a setting of queries, not of the session's start).
 BATCH_ROWS = 2000
+#: Bytes of such a batch, about: rows are whole texts, or blocks of them.
+BATCH_BYTES = 16 << 20
 
 
 def scratch_root(spark: SparkSession) -> str:
@@ -83,9 +85,12 @@ def ship(spark: SparkSession) -> None:
     cluster without it on its path can run the vectorised stages. Batches to
     the workers are kept small: whole documents are long rows, and both sides
     of the pipe hold a batch. For that, and for as long as the session lives,
-    its setting of rows in a batch is lowered to BATCH_ROWS."""
+    its settings of rows and bytes in a batch are lowered to these bounds."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    most = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch").rstrip("b")
+    if most.isdigit() and int(most) > BATCH_BYTES:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", f"{BATCH_BYTES}b")
     app = spark.sparkContext.applicationId
     if app in _SHIPPED:
         return
