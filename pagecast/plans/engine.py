@@ -115,8 +115,11 @@ class Engine:
             store.save(name, "factors", factor.train(full, model.half_pages, config))
             factors = store.load(name, "factors")
             # small tables, independent of each other
+            weights = answers.weight_view(factors, config.average)
+            beta = lambda m: F.max(F.when(F.col("moment") == m, F.col("beta"))).alias(f"b{m}")
             tables = {
-                "weights": answers.weight_view(factors, config.average),
+                "weights": weights,
+                "betas": weights.groupBy("cohort").agg(beta(1), beta(2)),
                 "projectors": answers.projectors(factors).withColumn("idx_bucket", F.floor(F.col("half") / 1000).cast("bigint")),
                 "members": self._with_recent(members, pages, w),
             }
@@ -235,9 +238,7 @@ class Engine:
         return cells.withColumn("step", F.col("step") + F.col("first")).where(F.col("step").between(first, last))
 
     def _weights(self, model: Model, second: bool) -> DataFrame:
-        weights = self.store.load(model.name, "weights")
-        pick = lambda m: weights.where(F.col("moment") == m).select("cohort", F.col("beta").alias(f"b{m}"))
-        return pick(1).join(pick(2), "cohort") if second else pick(1)
+        return self.store.load(model.name, "betas").select("cohort", "b1", *(["b2"] if second else []))
 
     def _tail(self, model: Model, members: DataFrame, first: int, last: int, second: bool) -> DataFrame:
         """The last steps fill no page: what the forecaster said one step before."""

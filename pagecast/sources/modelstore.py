@@ -4,8 +4,9 @@ pages: the stored rows, one page each, in folders by half window. factors: one
 row per (cohort, model_idx, moment) with left vectors, singular values and
 weights of both matrices. projectors: the left vectors again, by the half window
 that they answer for. right: the right vectors by page. weights: the averaged
-view that forecasts read. members: one row per series. meta: the model's
-parameters as JSON, written last: a model without it does not exist.
+weights, a row per cohort and moment; betas: the same, a row per cohort, as
+forecasts read them. members: one row per series. meta: the model's parameters
+as JSON, written last: a model without it does not exist.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from pyspark.sql.types import StructType
 from pagecast.cluster import drop_path
 from pagecast.operators.answers import weight_view
 
-TABLES = ("pages", "factors", "projectors", "right", "weights", "members", "meta")
+TABLES = ("pages", "factors", "projectors", "right", "weights", "betas", "members", "meta")
 #: Folder column of the tables that lie in folders, and their order within a file.
 FOLDERS = {
     "pages": ("bucket", ["cohort", "half", "salt", "page"]),
