@@ -188,15 +188,16 @@ def _draws(spark: SparkSession, n: int, draws: int, steps: int) -> DataFrame:
     return cells.select(F.concat(F.lit("d"), "draw").alias("cohort"), F.format_string("s%04d", "k").alias("series_id"), (rank % 10).alias("rank"), (rank + F.col("draw") * 1000).alias("own"), "step")
 
 
-def series_count(spark: SparkSession, sf_dir: str, counts=(1, 10, 40, 80, 160, 400), steps: int = 300, sigma: float = 0.5, draws: int = 50, costs: bool = False) -> DataFrame:
+def series_count(spark: SparkSession, sf_dir: str, counts=(1, 10, 40, 80, 160, 400), steps: int = 300, sigma: float = 0.5, draws: int = 50, most_series: int = 4000, costs: bool = False) -> DataFrame:
     """One-step forecast error of a series as more related series share its
-    model, over random choices of them; with ``costs`` also the seconds of
+    model, over ``draws`` choices of them, or as many as have ``most_series``
+    series together; with ``costs`` also the seconds of
     training and the milliseconds of a point forecast, all relative to the
     smallest count."""
     out = []
     cut = steps - steps // 10
     for n in counts:
-        cells = _draws(spark, n, draws, steps)
+        cells = _draws(spark, n, max(1, min(draws, most_series // n)), steps)
         latent = synth.planted_mean(F.col("step"), F.col("rank"), steps)
         noisy = cells.withColumn("latent", latent).withColumn("value", F.col("latent") + sigma * noise.gauss(F.col("step"), F.col("own"), 1))
         pages, models, cfg, _ = trained(noisy.where(F.col("step") < cut), n, cut)
