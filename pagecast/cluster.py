@@ -21,7 +21,7 @@ _SHIPPED: set[str] = set()
 #: Rows of a batch that a Python worker gets, at most (a setting of queries, not of the session's start).
 BATCH_ROWS = 2000
 #: Bytes of such a batch, about: rows are whole texts, or blocks of them.
-BATCH_BYTES = 16 << 20
+BATCH_BYTES = 8 << 20
 
 
 def scratch_root(spark: SparkSession) -> str:
