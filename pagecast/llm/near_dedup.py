@@ -132,12 +132,11 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, plan: DedupPlan) -> DataFrame:
     over tasks by a salt that follows their number, and its text goes to each.
     """
 
-    def side(name: str) -> DataFrame:
-        ids = pairs.select(F.col(name).alias("doc_id")).distinct()
-        texts = docs
+    def side(name: str, ids: DataFrame) -> DataFrame:
+        """The texts of the ids, beside whatever else ``ids`` has."""
         if ids.count() <= BROADCAST_IDS:
-            texts = texts.join(F.broadcast(ids), "doc_id", "left_semi")
-        return texts.select(F.col("doc_id").alias(name), F.col("text").alias(f"{name}_text"))
+            ids = F.broadcast(ids)
+        return docs.select(F.col("doc_id").alias(name), F.col("text").alias(f"{name}_text")).join(ids, name)
 
     # a member that is linked with z, where z is linked with the pivot, is at least this close
     reach = 2 * plan.percent - 100
@@ -157,11 +156,10 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, plan: DedupPlan) -> DataFrame:
                 close.append(100 * both >= reach * union)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(linked, pa.bool_()), pa.array(close, pa.bool_())], ["a", "b", "linked", "close"])
 
-    shares = F.ceil(F.count("*") / PAIRS_TOGETHER)
-    pivots = pairs.groupBy("b").agg(shares.alias("shares"))
+    pivots = pairs.groupBy("b").agg(F.ceil(F.count("*") / PAIRS_TOGETHER).alias("shares"))
     dealt = pairs.join(pivots, "b").withColumn("salt", F.pmod(F.xxhash64("a"), F.col("shares"))).drop("shares")
-    everywhere = side("b").join(pivots, "b").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("shares") - 1))).drop("shares")
-    both = dealt.join(side("a"), "a").join(everywhere, ["b", "salt"]).select("a", "b", "a_text", "b_text")
+    everywhere = side("b", pivots).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("shares") - 1))).drop("shares")
+    both = dealt.join(side("a", pairs.select("a").distinct()), "a").join(everywhere, ["b", "salt"]).select("a", "b", "a_text", "b_text")
     compared = both.mapInArrow(run, "a bigint, b bigint, linked boolean, close boolean")
     # rows that share an id are one node: one of their texts is enough
     return compared.groupBy("a", "b").agg(F.max("linked").alias("linked"), F.max("close").alias("close"))

@@ -46,7 +46,7 @@ _CLASS = _classes()
 class PieceTable:
     """Pieces of one to sixteen bytes -> ids, for a worker's lifetime."""
 
-    def __init__(self, bits: int = 21):
+    def __init__(self, bits: int = 20):
         self.bits, self.slots = bits, 1 << bits
         self.most = self.slots * 6 // 10
         self._empty()
@@ -141,7 +141,7 @@ class PieceIds:
     #: Bytes of text handled together.
     SHARE = 1_000_000
 
-    def __init__(self, special: list[str], bits: int = 21):
+    def __init__(self, special: list[str], bits: int = 20):
         self.table = PieceTable(bits)
         self.special = [s.encode() for s in special]
 
