@@ -20,6 +20,13 @@ def _same(df, sql: str, folder: str, *tables: str) -> None:
     assert sorted(map(tuple, df.select(*names).collect())) == sorted(want)
 
 
+@pytest.mark.skipif(not os.path.isdir(SF), reason="no test tables")
+@pytest.mark.parametrize("name", ["q_m24_schedule", "q_m25_fold"])
+def test_second_batch_before_the_next_full_solve(spark, name):
+    """With some 5,700 prices in the first batch, counts from 100 on had a full solve at 6,400."""
+    _same(QUERIES[name](spark, SF), ORACLES[name], SF, "orders")
+
+
 def test_scored_beyond_a_million_rows(spark, tmp_path):
     kind = F.when(F.col("id") % 3 == 0, "click").otherwise("view")
     rows = spark.range(1_000_100).select(F.col("id").alias("event_id"), (F.lit("2024-01-01").cast("timestamp_ntz") + F.make_dt_interval(secs=F.col("id") % 2_000_000)).alias("ts"), (F.col("id") % 9).alias("user_id"), kind.alias("event_type"), (F.col("id") * 7919 % 1009).cast("double").alias("value"))
