@@ -34,3 +34,10 @@ def test_scored_beyond_a_million_rows(spark, tmp_path):
     found = QUERIES["q_r07_scored"](spark, str(tmp_path)).groupBy("odd").agg(F.count("*").alias("n"), F.sum("event_id").alias("ids"))
     sql = f"SELECT odd, count(*) AS n, sum(event_id)::BIGINT AS ids FROM ({ORACLES['q_r07_scored']}) GROUP BY 1"
     _same(found, sql, str(tmp_path), "events")
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="no test tables")
+def test_sessions_stay_off_the_driver(spark):
+    found = QUERIES["q_r02_sessions"](spark, SF)
+    assert found.inputFiles()  # a memory table has none: its rows are in the driver
+    _same(found, ORACLES["q_r02_sessions"], SF, "events")
