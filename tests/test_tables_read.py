@@ -7,6 +7,7 @@ from pagecast.catalog_queries import QUERIES
 NAMES = [
     "q_a03_wbc",
     "q_a04_mean_error",
+    "q_a05_wins",
 ]
 
 
