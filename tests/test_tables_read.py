@@ -8,6 +8,7 @@ NAMES = [
     "q_a03_wbc",
     "q_a04_mean_error",
     "q_a05_wins",
+    "q_a08_speedups",
 ]
 
 
