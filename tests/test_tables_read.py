@@ -9,6 +9,7 @@ NAMES = [
     "q_a04_mean_error",
     "q_a05_wins",
     "q_a08_speedups",
+    "q_a10_relative",
 ]
 
 
