@@ -10,6 +10,7 @@ NAMES = [
     "q_a05_wins",
     "q_a08_speedups",
     "q_a10_relative",
+    "q_a12_relative",
 ]
 
 
