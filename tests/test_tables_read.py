@@ -11,6 +11,7 @@ NAMES = [
     "q_a08_speedups",
     "q_a10_relative",
     "q_a12_relative",
+    "q_b13_capabilities",
 ]
 
 
