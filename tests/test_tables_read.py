@@ -12,6 +12,7 @@ NAMES = [
     "q_a10_relative",
     "q_a12_relative",
     "q_b13_capabilities",
+    "q_d08_recursive",
 ]
 
 
