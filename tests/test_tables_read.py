@@ -13,6 +13,7 @@ NAMES = [
     "q_a12_relative",
     "q_b13_capabilities",
     "q_d08_recursive",
+    "q_f03_probit",
 ]
 
 
