@@ -14,6 +14,7 @@ NAMES = [
     "q_b13_capabilities",
     "q_d08_recursive",
     "q_f03_probit",
+    "q_f11_gauss",
 ]
 
 
