@@ -15,6 +15,7 @@ NAMES = [
     "q_d08_recursive",
     "q_f03_probit",
     "q_f11_gauss",
+    "q_f11_planted",
 ]
 
 
